@@ -29,11 +29,12 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(29))
 
 
-@lru_cache(maxsize=1)
-def _byte_values() -> np.ndarray:
-    """A 64-bit value for each byte; ASCII capitals have those of the small letters."""
+@lru_cache(maxsize=2)
+def _byte_values(fold: bool = True) -> np.ndarray:
+    """A 64-bit value for each byte; with fold, ASCII capitals have those of the small letters."""
     v = mix64(np.arange(1, 257, dtype=np.uint64) * np.uint64(_BASE))
-    v[65:91] = v[97:123]
+    if fold:
+        v[65:91] = v[97:123]
     return v
 
 
@@ -92,22 +93,31 @@ class Chunk:
         self.ends = np.flatnonzero(inside & ~after) + 1
         self.word_at = np.searchsorted(self.starts, self.offsets)
 
-    def word_hashes(self) -> np.ndarray:
-        if not len(self.starts):
+    def span_hashes(self, starts: np.ndarray, ends: np.ndarray, fold: bool = True) -> np.ndarray:
+        """A hash of the bytes of each span."""
+        if not len(starts):
             return np.zeros(0, dtype=np.uint64)
         up, down = _powers(len(self.data) + 1)
         total = np.zeros(len(self.data) + 1, dtype=np.uint64)
-        np.cumsum(_byte_values()[self.data] * up[:-1], out=total[1:])
-        return mix64((total[self.ends] - total[self.starts]) * down[self.starts])
+        np.cumsum(_byte_values(fold)[self.data] * up[:-1], out=total[1:])
+        return mix64((total[ends] - total[starts]) * down[starts])
 
-    def shingles(self, k: int = 5) -> tuple[np.ndarray, np.ndarray]:
+    def word_hashes(self, fold: bool = True) -> np.ndarray:
+        return self.span_hashes(self.starts, self.ends, fold)
+
+    def sums(self, mask: np.ndarray) -> np.ndarray:
+        """Bytes of each text for which the mask holds."""
+        total = np.concatenate([[0], np.cumsum(mask)])
+        return total[self.offsets[1:]] - total[self.offsets[:-1]]
+
+    def shingles(self, k: int = 5, fold: bool = True, short: bool = True) -> tuple[np.ndarray, np.ndarray]:
         """Hash of each run of k words of a text, and the run where each text's begin.
 
-        A text of fewer words, but not none, has one for the whole.
+        With short, a text of fewer words, but not none, has one for the whole.
         """
-        w = self.word_hashes()
+        w = self.word_hashes(fold)
         counts = np.diff(self.word_at)
-        runs = np.where(counts >= k, counts - k + 1, (counts > 0).astype(counts.dtype))
+        runs = np.where(counts >= k, counts - k + 1, (short & (counts > 0)).astype(counts.dtype))
         at = np.concatenate([[0], np.cumsum(runs)])
         out = np.empty(at[-1], dtype=np.uint64)
         mul, acc = 1, np.zeros(max(0, len(w) - k + 1), dtype=np.uint64)
@@ -118,7 +128,7 @@ class Chunk:
         place = self.word_at[owner] + np.arange(at[-1]) - at[owner]
         full = counts[owner] >= k
         out[full] = mix64(acc[place[full]])
-        for d in np.flatnonzero((counts > 0) & (counts < k)):
+        for d in np.flatnonzero(short & (counts > 0) & (counts < k)):
             v = int(counts[d])
             for x in w[self.word_at[d] : self.word_at[d + 1]].tolist():
                 v = (v * _WORD_MUL + x) & _M64

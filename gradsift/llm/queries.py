@@ -5,13 +5,22 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gradsift.llm import chat, linededup, sharding
+from gradsift.llm import chat, decontaminate, linededup, quality, sharding, tokenize
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_adaptive_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.judge(_table(spark, sf_dir, "documents"))
+
+
+def op3_wu_manber(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, items = _table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark")
+    return decontaminate.digest(decontaminate.find_contamination(docs, items))
+
+
 def op5_snapshot_collapse(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.render(chat.collapse_snapshots(_table(spark, sf_dir, "conversations")))
 
@@ -20,6 +29,25 @@ def op6_virtual_slots(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_records(_table(spark, sf_dir, "documents"), 16)[0]
 
 
+def tokenizer_spec(path: str | None = None) -> str:
+    """JSON of the tokenizer file; by default the public byte-level one with 50k pieces."""
+    if path is None:
+        import public_tokenizers
+
+        path = public_tokenizers.path("byte_bpe_50k.json")
+    with open(path, encoding="utf-8") as f:
+        return f.read()
+
+
+def op7_word_table_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    spec = tokenizer_spec()
+    coded = tokenize.decode(tokenize.encode(_table(spark, sf_dir, "documents"), spec), spec)
+    return coded.select(
+        "doc_id", (F.octet_length("ids") / 4).cast("long").alias("n_tokens"),
+        F.sha2("ids", 256).alias("ids_sha256"), F.sha2(F.col("decoded").cast("binary"), 256).alias("decoded_sha256"),
+    )
+
+
 def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     return linededup.dedup_lines(docs).select(
@@ -28,7 +56,7 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-QUERIES = {f.__name__: f for f in (op5_snapshot_collapse, op6_virtual_slots, op10_line_dedup)}
+QUERIES = {f.__name__: f for f in (op1_adaptive_quality, op3_wu_manber, op5_snapshot_collapse, op6_virtual_slots, op7_word_table_bpe, op10_line_dedup)}
 
 SQL = {
     "op5_snapshot_collapse": """
