@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gradsift.llm import chat, decontaminate, linededup, quality, sharding, tokenize
+from gradsift.llm import chat, decontaminate, langid, linededup, quality, sharding, tokenize
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -48,6 +48,20 @@ def op7_word_table_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def held_out() -> Column:
+    """A fifth of the documents, by a checksum of the id."""
+    return F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(5)) == 0
+
+
+def op9_language_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents")
+    model = langid.fit(docs.where(~held_out()))
+    return langid.identify(docs, model, keep=["doc_id"]).select(
+        "doc_id", held_out().alias("held_out"), F.col("_lang_pred").alias("lang_pred"),
+        F.col("_score").alias("score"), F.col("_noise").alias("noise"), F.col("_languages").alias("languages"),
+    )
+
+
 def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     return linededup.dedup_lines(docs).select(
@@ -56,7 +70,7 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-QUERIES = {f.__name__: f for f in (op1_adaptive_quality, op3_wu_manber, op5_snapshot_collapse, op6_virtual_slots, op7_word_table_bpe, op10_line_dedup)}
+QUERIES = {f.__name__: f for f in (op1_adaptive_quality, op3_wu_manber, op5_snapshot_collapse, op6_virtual_slots, op7_word_table_bpe, op9_language_mixture, op10_line_dedup)}
 
 SQL = {
     "op5_snapshot_collapse": """
