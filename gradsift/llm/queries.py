@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gradsift.llm import chat, decontaminate, langid, linededup, quality, sharding, tokenize
+from gradsift.llm import chat, decontaminate, langid, linededup, neardup, quality, sharding, tokenize
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -16,6 +16,11 @@ def op1_adaptive_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(_table(spark, sf_dir, "documents"))
 
 
+def op2_multi_order_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = neardup.JaccardClasses(_table(spark, sf_dir, "documents")).run()
+    return found.withColumnRenamed("id", "doc_id")
+
+
 def op3_wu_manber(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, items = _table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark")
     return decontaminate.digest(decontaminate.find_contamination(docs, items))
@@ -70,7 +75,7 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-QUERIES = {f.__name__: f for f in (op1_adaptive_quality, op3_wu_manber, op5_snapshot_collapse, op6_virtual_slots, op7_word_table_bpe, op9_language_mixture, op10_line_dedup)}
+QUERIES = {f.__name__: f for f in (op1_adaptive_quality, op2_multi_order_jaccard, op3_wu_manber, op5_snapshot_collapse, op6_virtual_slots, op7_word_table_bpe, op9_language_mixture, op10_line_dedup)}
 
 SQL = {
     "op5_snapshot_collapse": """
