@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gradsift.llm import chat, decontaminate, langid, linededup, neardup, quality, sharding, tokenize
+from gradsift.llm import chat, decontaminate, htmltext, langid, linededup, neardup, quality, sharding, tokenize
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -26,6 +26,11 @@ def op3_wu_manber(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.digest(decontaminate.find_contamination(docs, items))
 
 
+def op4_tag_path_ratios(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = _table(spark, sf_dir, "pages").select("page_id", "url", "html")
+    return htmltext.extract(pages).withColumn("n_chars", F.char_length("text").cast("long"))
+
+
 def op5_snapshot_collapse(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.render(chat.collapse_snapshots(_table(spark, sf_dir, "conversations")))
 
@@ -75,7 +80,7 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-QUERIES = {f.__name__: f for f in (op1_adaptive_quality, op2_multi_order_jaccard, op3_wu_manber, op5_snapshot_collapse, op6_virtual_slots, op7_word_table_bpe, op9_language_mixture, op10_line_dedup)}
+QUERIES = {f.__name__: f for f in (op1_adaptive_quality, op2_multi_order_jaccard, op3_wu_manber, op4_tag_path_ratios, op5_snapshot_collapse, op6_virtual_slots, op7_word_table_bpe, op9_language_mixture, op10_line_dedup)}
 
 SQL = {
     "op5_snapshot_collapse": """
