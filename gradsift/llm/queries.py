@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gradsift.llm import chat, decontaminate, htmltext, langid, linededup, neardup, quality, sharding, tokenize
+from gradsift.llm import chat, decontaminate, htmltext, langid, linededup, neardup, quality, sharding, tokenize, warc
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -58,6 +58,17 @@ def op7_word_table_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def damaged(pages: DataFrame) -> DataFrame:
+    """A replica of the pages in which about one page of 61 has lost its first character."""
+    rotten = F.conv(F.substring(F.md5(F.col("url").cast("binary")), 1, 8), 16, 10).cast("long") % 61 == 7
+    return pages.withColumn("html", F.when(rotten, F.expr("substring(html, 2)")).otherwise(F.col("html")))
+
+
+def op8_merkle_fixity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = _table(spark, sf_dir, "pages").select("page_id", "url", "html")
+    return warc.audit(pages, damaged(pages))
+
+
 def held_out() -> Column:
     """A fifth of the documents, by a checksum of the id."""
     return F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(5)) == 0
@@ -80,7 +91,7 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-QUERIES = {f.__name__: f for f in (op1_adaptive_quality, op2_multi_order_jaccard, op3_wu_manber, op4_tag_path_ratios, op5_snapshot_collapse, op6_virtual_slots, op7_word_table_bpe, op9_language_mixture, op10_line_dedup)}
+QUERIES = {f.__name__: f for f in (op1_adaptive_quality, op2_multi_order_jaccard, op3_wu_manber, op4_tag_path_ratios, op5_snapshot_collapse, op6_virtual_slots, op7_word_table_bpe, op8_merkle_fixity, op9_language_mixture, op10_line_dedup)}
 
 SQL = {
     "op5_snapshot_collapse": """
@@ -94,6 +105,22 @@ SQL = {
         SELECT conv_id, n_turns, n_copies, text FROM w
         WHERE NOT EXISTS (SELECT 1 FROM p WHERE p.k < p.n AND p.k = w.n_turns AND p.prefix = w.text)
     """,
+    "op8_merkle_fixity": """
+        WITH n AS (SELECT greatest(1, ceil(count(*) / 1000.0))::BIGINT AS archives FROM pages),
+        p AS (SELECT page_id, url, coalesce(html, '') AS body,
+                     CASE WHEN ('0x' || substr(md5(url), 1, 8))::BIGINT % 61 = 7 THEN substr(html, 2) ELSE html END AS other,
+                     ('0x' || substr(md5(page_id::VARCHAR), 1, 8))::BIGINT % archives AS archive FROM pages, n),
+        r AS (SELECT page_id, url, archive,
+                     'WARC/1.1' || chr(13) || chr(10) || 'WARC-Type: resource' || chr(13) || chr(10) || 'WARC-Record-ID: <urn:record:' || page_id
+                     || '>' || chr(13) || chr(10) || 'WARC-Target-URI: ' || url || chr(13) || chr(10) || 'Content-Type: text/html' || chr(13) || chr(10) || 'Content-Length: ' AS head,
+                     body, other, chr(13) || chr(10) || chr(13) || chr(10) AS nl FROM p),
+        d AS (SELECT page_id, url, archive, strlen(head || strlen(body) || nl || body || nl) AS n_bytes,
+                     sha256(head || strlen(body) || nl || body || nl) AS expected_sha256,
+                     sha256(head || strlen(other) || nl || other || nl) AS found_sha256 FROM r),
+        o AS (SELECT *, row_number() OVER w - 1 AS pos, (sum(n_bytes) OVER (w ROWS UNBOUNDED PRECEDING) - n_bytes)::BIGINT AS record_offset
+              FROM d WINDOW w AS (PARTITION BY archive ORDER BY page_id, url, expected_sha256))
+        SELECT page_id, url, archive, pos, record_offset, n_bytes, expected_sha256, found_sha256 FROM o WHERE expected_sha256 <> found_sha256
+    """,
     "op10_line_dedup": """
         WITH l AS (
             SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS line,
