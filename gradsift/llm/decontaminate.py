@@ -22,7 +22,6 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
@@ -153,55 +152,54 @@ def _blocks(items: DataFrame, id_col: str, text_col: str, limit: int) -> Iterato
         yield block
 
 
-def find_contamination(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = WINDOW, block_bytes: int = ITEM_BLOCK_BYTES) -> DataFrame:
-    """(id, n_words, hit_runs, items): runs [from, to) of hit words, and the ids of occurring items.
+def find_contamination(docs: DataFrame, items: DataFrame, text_col: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = WINDOW, block_bytes: int = ITEM_BLOCK_BYTES, keep: list[str] | None = None) -> DataFrame:
+    """The kept columns (doc_id, if None), n_words, hit_runs and items, for each row.
 
-    Of the benchmark, one block at a time is on the driver.
+    hit_runs are the runs [a, b) of hit words, items the ids of the occurring items. Of the
+    benchmark, one block at a time is on the driver.
     """
-    spark = docs.sparkSession
-    source = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
-    kind = source.schema["_id"].dataType.simpleString()
-    parts = []
-    for block in _blocks(items, item_id, item_text, block_bytes) if items is not None else ():
-        shared = spark.sparkContext.broadcast(block)
-        parts.append(_search(source, shared, window, kind))
-    if not parts:
-        parts = [_search(source, spark.sparkContext.broadcast([]), window, kind)]
-    if len(parts) == 1:
-        out = parts[0].drop("_row")
-    else:
-        every = parts[0]
+    spark, keep = docs.sparkSession, keep or ["doc_id"]
+    source = docs.select(F.col(text_col).alias("_text"), *(F.col(f"`{c}`").alias(f"_k{i}") for i, c in enumerate(keep)))
+    parts = [_search(source, spark.sparkContext.broadcast(block), window) for block in _blocks(items, item_id, item_text, block_bytes)]
+    every = parts[0] if parts else _search(source, spark.sparkContext.broadcast([]), window)
+    if len(parts) > 1:
         for p in parts[1:]:
             every = every.unionByName(p)
-        out = every.groupBy("_id", "_row").agg(
-            F.first("n_words").alias("n_words"), F.flatten(F.collect_list("hit_runs")).alias("hit_runs"),
+        kept = [F.first(f"_k{i}").alias(f"_k{i}") for i in range(len(keep))]
+        every = every.groupBy("_row").agg(
+            *kept, F.first("n_words").alias("n_words"), F.flatten(F.collect_list("hit_runs")).alias("hit_runs"),
             F.flatten(F.collect_list("items")).alias("items"),
-        ).drop("_row")
-    return out.withColumnRenamed("_id", id_col)
+        )
+    return every.select(*(F.col(f"_k{i}").alias(c) for i, c in enumerate(keep)), "n_words", "hit_runs", "items")
 
 
 _LAST: list = [None, None]
 
 
-def _search(source: DataFrame, shared, window: int, kind: str) -> DataFrame:
-    schema = pa.schema([("_id", to_arrow_type(source.schema["_id"].dataType)), ("_row", pa.string()), ("n_words", pa.int64()), ("hit_runs", pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())]))), ("items", pa.list_(pa.string()))])
+def _search(source: DataFrame, shared, window: int) -> DataFrame:
+    """A pass over the texts with the tables of one block of items. _row tells rows apart."""
+    keep = source.columns[1:]
+    schema = pa.schema(
+        [(c, to_arrow_type(source.schema[c].dataType)) for c in keep]
+        + [("_row", pa.int64()), ("n_words", pa.int64()), ("hit_runs", pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())]))), ("items", pa.list_(pa.string()))]
+    )
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if _LAST[0] is not shared.value:
             _LAST[:] = shared.value, Patterns(shared.value, window)
-        patterns, row = _LAST[1], 0
-        part = TaskContext.get().partitionId()
+        patterns = _LAST[1]
         for batch in batches:
             n_words, runs, items = [], [], []
-            for n, r, f in patterns.scan(batch.column(1)):
+            for n, r, f in patterns.scan(batch.column(0)):
                 n_words.append(n)
                 runs.append([{"a": a, "b": b} for a, b in r])
                 items.append([patterns.ids[k] for k in f])
-            rows = [f"{part}-{row + i}" for i in range(len(batch))]
-            row += len(batch)
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(v, schema.field(k).type) for k, v in (("_row", rows), ("n_words", n_words), ("hit_runs", runs), ("items", items)))], schema=schema)
+            made = [pa.array(v, schema.field(k).type) for k, v in (("n_words", n_words), ("hit_runs", runs), ("items", items))]
+            yield pa.RecordBatch.from_arrays([*batch.columns[1:], *made], schema=schema)
 
-    return source.mapInArrow(run, f"_id {kind}, _row string, n_words long, hit_runs array<struct<a:int,b:int>>, items array<string>")
+    kinds = "".join(f"{c} {source.schema[c].dataType.simpleString()}, " for c in [*keep, "_row"] if c != "_row")
+    numbered = source.withColumn("_row", F.monotonically_increasing_id())
+    return numbered.mapInArrow(run, kinds + "_row long, n_words long, hit_runs array<struct<a:int,b:int>>, items array<string>")
 
 
 def covered(runs: Column) -> Column:
@@ -217,12 +215,12 @@ def covered(runs: Column) -> Column:
     return merged["n"].cast("long")
 
 
-def digest(found: DataFrame, id_col: str = "doc_id", share: int = 20) -> DataFrame:
+def digest(found: DataFrame, keep: list[str] | None = None, share: int = 20) -> DataFrame:
     """n_hit, n_items, items_sha256 and contaminated of find_contamination's rows."""
     items = F.array_sort(F.array_distinct("items"))
     n_hit = covered(F.col("hit_runs"))
     return found.select(
-        id_col, "n_words", n_hit.alias("n_hit"), F.size(items).cast("long").alias("n_items"),
+        *(keep or ["doc_id"]), "n_words", n_hit.alias("n_hit"), F.size(items).cast("long").alias("n_items"),
         F.sha2(F.array_join(items, ","), 256).alias("items_sha256"),
     ).withColumn("contaminated", (F.col("n_hit") > 0) & (F.lit(share) * F.col("n_hit") >= F.col("n_words")))
 
