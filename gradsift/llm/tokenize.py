@@ -1,13 +1,16 @@
 """Byte-level BPE over a distinct-word table, and its inverse.
 
-Texts are split into the tokenizer's words in blocks of bounded size. Each block sends its
-distinct words once, packed by word hash, so a frequent word costs one entry a block and not
-one an occurrence. A task of a hash slot merges what the blocks sent, encodes each distinct
-word once and sends the ids back, and the block puts them in the words' places. Decoding
-looks each id up in the id-to-piece table, whose size is the vocabulary's.
-
-The word pattern runs in Python's regex for texts of common scripts, where both Unicode
-tables agree, and in the tokenizer's own splitter for others.
+Texts are split into words in blocks of bounded size: a space and what follows it up to the
+next white space, or white space of its own. Byte-level BPE cuts there in any case, so a
+word's ids don't depend on its neighbours. Each block sends its distinct words once, packed
+by word hash, so a frequent word costs one entry a block and not one an occurrence. A task
+of a hash slot merges what the blocks sent, encodes each distinct word once and sends the
+ids back to the block; its texts, packed, meet them there, and each word's place gets the
+word's ids. Decoding looks each id up in the id-to-piece table, whose size is the
+vocabulary's.
+
+Python's re splits texts of common scripts, where its white space is the tokenizer's; the
+tokenizer's own splitter does others.
 
 Defined results: a null text is an empty one and has no ids; rows are independent of each
 other, repeated ids too; the text of an added token is that token, as in the library.
@@ -18,21 +21,19 @@ from __future__ import annotations
 import json
 import re
 import zlib
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
-import regex
 import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
 
-BLOCK_BYTES = 16 << 20
-#: Word pattern of byte-level BPE, a fixed value.
-WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
+BLOCK_BYTES = 8 << 20
+_WORDS = re.compile(r" ?\S+|\s+(?!\S)|\s+")
 _RARE = re.compile("[^\x00-\x1b\x20-ʯ‐-‧₠-₿]")
 
 
@@ -51,7 +52,7 @@ class Splitter:
 
     def _plain(self, text: str) -> list[str]:
         if _RARE.search(text) is None:
-            return WORDS.findall(text)
+            return _WORDS.findall(text)
         return [text[a:b] for _, (a, b) in self.tokenizer.pre_tokenizer.pre_tokenize_str(text)]
 
     def words(self, text: str) -> list[str]:
@@ -66,7 +67,10 @@ class Splitter:
         return out
 
     def encode(self, words: list[str]) -> list[list[int]]:
-        return [e.ids for e in self.tokenizer.encode_batch(words, add_special_tokens=False)]
+        out: list[list[int]] = []
+        for at in range(0, len(words), 4096):
+            out += [e.ids for e in self.tokenizer.encode_batch(words[at : at + 4096], add_special_tokens=False)]
+        return out
 
 
 @lru_cache(maxsize=2)
@@ -74,10 +78,20 @@ def _splitter(spec: str) -> Splitter:
     return Splitter(spec)
 
 
-def _pack(*parts: np.ndarray | bytes) -> bytes:
+def _pack(*parts: np.ndarray | bytes, level: int = 3) -> bytes:
     raw = [p if isinstance(p, bytes) else np.ascontiguousarray(p).tobytes() for p in parts]
     head = np.array([len(raw), *map(len, raw)], dtype="<i8").tobytes()
-    return zstandard.ZstdCompressor(level=3).compress(head + b"".join(raw))
+    return zstandard.ZstdCompressor(level=level).compress(head + b"".join(raw))
+
+
+def _planes(x: np.ndarray) -> bytes:
+    """Numbers below 2**32 as their four bytes' planes, most of which are then alike."""
+    return np.ascontiguousarray(x.astype("<u4").view(np.uint8).reshape(-1, 4).T).tobytes()
+
+
+def _from_planes(raw: memoryview) -> np.ndarray:
+    planes = np.frombuffer(raw, np.uint8).reshape(4, -1)
+    return np.ascontiguousarray(planes.T).view("<u4").ravel()
 
 
 def _unpack(blob: bytes) -> list[memoryview]:
@@ -91,13 +105,13 @@ def _unpack(blob: bytes) -> list[memoryview]:
     return out
 
 
-def _pack_words(words: list[str]) -> tuple[np.ndarray, bytes]:
+def _pack_words(words: list[str]) -> tuple[bytes, bytes]:
     raw = [w.encode() for w in words]
-    return np.array([*map(len, raw)], dtype="<u4"), b"".join(raw)
+    return _planes(np.array([*map(len, raw)], dtype="<u4")), b"".join(raw)
 
 
 def _read_words(lengths: memoryview, raw: memoryview) -> list[str]:
-    ends = np.cumsum(np.frombuffer(lengths, "<u4"), dtype=np.int64).tolist()
+    ends = np.cumsum(_from_planes(lengths), dtype=np.int64).tolist()
     data, at, out = bytes(raw), 0, []
     for to in ends:
         out.append(data[at:to].decode())
@@ -105,6 +119,17 @@ def _read_words(lengths: memoryview, raw: memoryview) -> list[str]:
     return out
 
 
+def _by_slot(words: Iterable[str], slots: int) -> list[list[str]]:
+    out: list[list[str]] = [[] for _ in range(slots)]
+    for w in sorted(words):
+        out[zlib.crc32(w.encode()) % slots].append(w)
+    return out
+
+
+def _checksum(words: list[str]) -> int:
+    return zlib.crc32("\0".join(words).encode()) + (len(words) << 32)
+
+
 def _ragged(values: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
     """values[starts[i] : starts[i] + lengths[i]] for all i, one after the other."""
     total = int(lengths.sum())
@@ -135,7 +160,7 @@ def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "
     """(id, ids): ids are little-endian unsigned 32-bit integers. spec: the tokenizer's JSON."""
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(spec)
-    slots = n_slots or 8 * int(spark.conf.get("spark.sql.shuffle.partitions"))
+    slots = n_slots or 2 * int(spark.conf.get("spark.sql.shuffle.partitions"))
     source = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
     id_type = source.schema["_id"].dataType.simpleString()
     id_arrow = to_arrow_type(source.schema["_id"].dataType)
@@ -148,10 +173,7 @@ def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "
             found: set[str] = set()
             for text in texts:
                 found.update(split(text))
-            by_slot: list[list[str]] = [[] for _ in range(slots)]
-            for w in sorted(found):
-                by_slot[zlib.crc32(w.encode()) % slots].append(w)
-            rows = [(s, block, _pack(*_pack_words(ws))) for s, ws in enumerate(by_slot) if ws]
+            rows = [(s, block, _pack(*_pack_words(ws))) for s, ws in enumerate(_by_slot(found, slots)) if ws]
             yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), exchange, strict=True)] if rows else [pa.array([], f.type) for f in exchange], schema=exchange)
 
     def encode_slot(group: pa.Table) -> pa.Table:
@@ -162,69 +184,53 @@ def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "
         for ws in asked:
             own = [ids[w] for w in ws]
             flat = np.array([i for x in own for i in x], dtype="<u4")
-            blobs.append(_pack(*_pack_words(ws), np.array([*map(len, own)], dtype="<u4"), flat))
+            lengths = np.array([*map(len, own)], dtype="<u4")
+            slot = group.column("_slot")[0].as_py()
+            blobs.append(_pack(np.array([slot, _checksum(ws)], dtype="<u8"), _planes(lengths), _planes(flat)))
         return pa.table([group.column("_block"), pa.array(blobs, pa.binary())], schema=answer)
 
-    def positions(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        split = _splitter(shared.value).words
+    def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for block, ids, texts in _blocks(batches, block_bytes):
-            place: dict[str, int] = {}
-            counts, own = [], []
-            for text in texts:
-                ws = split(text)
-                counts.append(len(ws))
-                own.append(np.array([place.setdefault(w, len(place)) for w in ws], dtype="<u4"))
-            where = np.concatenate(own)
-            if len(place) <= 65536:
-                where = where.astype("<u2")
-            blob = _pack(np.array(counts, "<u8"), where, *_pack_words(list(place)), _ids_blob(ids, id_arrow))
+            blob = _pack(_ids_blob(ids, id_arrow), *_pack_words(texts), level=6)
             yield pa.RecordBatch.from_arrays([pa.array([block], pa.int64()), pa.array([blob], pa.binary())], schema=answer)
 
     def assemble(answered: pa.Table, block: pa.Table) -> pa.Table:
-        known: dict[str, int] = {}
-        starts, lengths, flat, at = [], [], [], 0
+        sent = {}
         for blob in answered.column("_blob").to_pylist():
-            sizes, raw, counts, ids = _unpack(blob)
-            for w in _read_words(sizes, raw):
-                known[w] = len(known)
-            counts, ids = np.frombuffer(counts, "<u4").astype(np.int64), np.frombuffer(ids, "<u4")
-            starts.append(at + np.cumsum(counts) - counts)
-            lengths.append(counts)
-            flat.append(ids)
-            at += len(ids)
-        out_ids, out = [], []
+            head, lengths, ids = _unpack(blob)
+            slot, check = np.frombuffer(head, "<u8").tolist()
+            sent[slot] = check, _from_planes(lengths).astype(np.int64), _from_planes(ids)
+        out_ids, out = [pa.array([], id_arrow)], []
+        split = _splitter(shared.value).words
         for blob in block.column("_blob").to_pylist():
-            counts, where, sizes, raw, keys = _unpack(blob)
-            words = _read_words(sizes, raw)
-            # a block that was cut otherwise when it was read again may have words of its own
-            missing = [w for w in words if w not in known]
-            for w, own in zip(missing, _splitter(shared.value).encode(missing), strict=True):
-                known[w] = len(known)
-                starts.append(np.array([at]))
-                lengths.append(np.array([len(own)]))
-                flat.append(np.array(own, dtype="<u4"))
-                at += len(own)
-            if not words:
-                out += [b""] * (len(counts) // 8)
-                out_ids.append(_read_ids(keys))
-                continue
-            begin, size, values = np.concatenate(starts), np.concatenate(lengths), np.concatenate(flat)
-            where = np.frombuffer(where, "<u2" if len(words) <= 65536 else "<u4")
-            row = np.array([known[w] for w in words], dtype=np.int64)[where]
+            keys, sizes, raw = _unpack(blob)
+            place: dict[str, int] = {}
+            where = [np.array([place.setdefault(w, len(place)) for w in split(text)], dtype="<u4") for text in _read_words(sizes, raw)]
+            begin, size = np.zeros((2, len(place)), dtype=np.int64)
+            parts, at = [np.zeros(0, dtype="<u4")], 0
+            for slot, own in enumerate(_by_slot(place, slots)):
+                if not own:
+                    continue
+                check, lengths, ids = sent.get(slot, (None, None, None))
+                if check != _checksum(own):
+                    # the block was cut otherwise when it was read again: its words are encoded here
+                    found = _splitter(shared.value).encode(own)
+                    lengths, ids = np.array([*map(len, found)]), np.array([i for x in found for i in x], dtype="<u4")
+                to = np.array([place[w] for w in own])
+                begin[to] = at + np.cumsum(lengths) - lengths
+                size[to] = lengths
+                parts.append(ids)
+                at += len(ids)
+            values = np.concatenate(parts)
             out_ids.append(_read_ids(keys))
-            done = 0
-            for to in np.cumsum(np.frombuffer(counts, "<u8").astype(np.int64)).tolist():
-                own = row[done:to]
-                out.append(_ragged(values, begin[own], size[own]).astype("<u4").tobytes())
-                done = to
-        keys = pa.concat_arrays(out_ids) if out_ids else pa.array([], id_arrow)
-        return pa.table([keys, pa.array(out, pa.binary())], names=["_id", "ids"])
+            out += [_ragged(values, begin[own], size[own]).astype("<u4").tobytes() for own in where]
+        return pa.table([pa.concat_arrays(out_ids), pa.array(out, pa.binary())], names=["_id", "ids"])
 
     answers = (
         source.mapInArrow(distinct_words, "_slot int, _block long, _words binary")
         .groupBy("_slot").applyInArrow(encode_slot, "_block long, _blob binary")
     )
-    placed = source.mapInArrow(positions, "_block long, _blob binary")
+    placed = source.mapInArrow(packed, "_block long, _blob binary")
     # two exchanges, not a union: a task of a union has another partition number, and so block
     return (
         answers.groupBy("_block").cogroup(placed.groupBy("_block"))
