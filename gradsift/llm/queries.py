@@ -51,7 +51,7 @@ def tokenizer_spec(path: str | None = None) -> str:
 
 def op7_word_table_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     spec = tokenizer_spec()
-    coded = tokenize.decode(tokenize.encode(_table(spark, sf_dir, "documents"), spec), spec)
+    coded = tokenize.encode(_table(spark, sf_dir, "documents"), spec, decoded_col="decoded")
     return coded.select(
         "doc_id", (F.octet_length("ids") / 4).cast("long").alias("n_tokens"),
         F.sha2("ids", 256).alias("ids_sha256"), F.sha2(F.col("decoded").cast("binary"), 256).alias("decoded_sha256"),

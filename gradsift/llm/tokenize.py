@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
 
-BLOCK_BYTES = 8 << 20
+BLOCK_BYTES = 4 << 20
 _WORDS = re.compile(r" ?\S+|\s+(?!\S)|\s+")
 _RARE = re.compile("[^\x00-\x1b\x20-ʯ‐-‧₠-₿]")
 
@@ -156,10 +156,14 @@ def _blocks(batches: Iterator[pa.RecordBatch], block_bytes: int) -> Iterator[tup
         yield part * 1_000_000 + k, ids, texts
 
 
-def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = BLOCK_BYTES, n_slots: int | None = None) -> DataFrame:
-    """(id, ids): ids are little-endian unsigned 32-bit integers. spec: the tokenizer's JSON."""
+def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = BLOCK_BYTES, n_slots: int | None = None, decoded_col: str | None = None) -> DataFrame:
+    """(id, ids): ids are little-endian unsigned 32-bit integers. spec: the tokenizer's JSON.
+
+    With decoded_col, also the text of the ids, as decode gives it, by the same worker.
+    """
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(spec)
+    pieces = spark.sparkContext.broadcast(piece_table(spec)) if decoded_col else None
     slots = n_slots or 2 * int(spark.conf.get("spark.sql.shuffle.partitions"))
     source = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
     id_type = source.schema["_id"].dataType.simpleString()
@@ -224,7 +228,11 @@ def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "
             values = np.concatenate(parts)
             out_ids.append(_read_ids(keys))
             out += [_ragged(values, begin[own], size[own]).astype("<u4").tobytes() for own in where]
-        return pa.table([pa.concat_arrays(out_ids), pa.array(out, pa.binary())], names=["_id", "ids"])
+        made = [pa.concat_arrays(out_ids), pa.array(out, pa.binary())]
+        if pieces is None:
+            return pa.table(made, names=["_id", "ids"])
+        join = PieceJoin(pieces.value)
+        return pa.table([*made, pa.array(map(join.text, out), pa.string())], names=["_id", "ids", decoded_col])
 
     answers = (
         source.mapInArrow(distinct_words, "_slot int, _block long, _words binary")
@@ -234,7 +242,7 @@ def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "
     # two exchanges, not a union: a task of a union has another partition number, and so block
     return (
         answers.groupBy("_block").cogroup(placed.groupBy("_block"))
-        .applyInArrow(assemble, f"_id {id_type}, ids binary")
+        .applyInArrow(assemble, f"_id {id_type}, ids binary" + (f", `{decoded_col}` string" if decoded_col else ""))
         .withColumnRenamed("_id", id_col)
     )
 
@@ -264,21 +272,28 @@ def piece_table(spec: str) -> list[bytes]:
     return out
 
 
+class PieceJoin:
+    """The id-to-piece table, laid out for looking up many ids at once."""
+
+    def __init__(self, pieces: list[bytes]):
+        self.raw = np.frombuffer(b"".join(pieces), dtype=np.uint8)
+        self.lengths = np.array([*map(len, pieces)], dtype=np.int64)
+        self.starts = np.cumsum(self.lengths) - self.lengths
+
+    def text(self, blob: bytes | None) -> str:
+        ids = np.frombuffer(blob or b"", "<u4")
+        return _ragged(self.raw, self.starts[ids], self.lengths[ids]).tobytes().decode("utf-8", "replace")
+
+
 def decode(encoded: DataFrame, spec: str, ids_col: str = "ids", text_col: str = "decoded") -> DataFrame:
     """Adds the text of the ids; bytes that are not UTF-8 become U+FFFD. Null ids are none."""
     shared = encoded.sparkSession.sparkContext.broadcast(piece_table(spec))
     at = encoded.columns.index(ids_col)
 
     def texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pieces = shared.value
-        raw = np.frombuffer(b"".join(pieces), dtype=np.uint8)
-        lengths = np.array([*map(len, pieces)], dtype=np.int64)
-        starts = np.cumsum(lengths) - lengths
+        join = PieceJoin(shared.value)
         for batch in batches:
-            out = []
-            for blob in batch.column(at):
-                ids = np.frombuffer(blob.as_py() or b"", "<u4")
-                out.append(_ragged(raw, starts[ids], lengths[ids]).tobytes().decode("utf-8", "replace"))
+            out = [join.text(blob.as_py()) for blob in batch.column(at)]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, pa.string())], names=[*batch.schema.names, text_col])
 
     kind = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in encoded.schema)
