@@ -1 +1,146 @@
-"""pending"""
+"""The experiment workloads, trained ones and those with a fixed rater that SQL can follow."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from gradsift.catalog.fragments import RANKED, ROWS, exact_sample, lin
+from gradsift.catalog.registry import query
+from gradsift.catalog.selection import SHIFTED, fifth, ranked
+from gradsift.functions.features import pool_text
+from gradsift.functions.networks import linear
+from gradsift.operators import pruning
+from gradsift.operators.measures import auc
+from gradsift.operators.ranking import rank_corpus
+from gradsift.plans import experiments
+from gradsift.sources import corpora
+
+
+def _trained(name: str):
+    def q(spark: SparkSession, sf_dir: str) -> DataFrame:
+        return experiments.run(name, spark, sf_dir)
+
+    q.__name__ = f"exp_{name}_trained"
+    q.__doc__ = experiments.EXPERIMENTS[name].__doc__
+    query()(q)
+
+
+for _name in experiments.EXPERIMENTS:
+    _trained(_name)
+
+_LABELLED = "SELECT m.method, count(*) AS k, round(avg(quality), 6) AS good, round(avg(toxic), 6) AS toxic FROM m JOIN labels USING (doc_id) GROUP BY m.method"
+_SETS = {
+    "random": "SELECT doc_id FROM r ORDER BY (('0x' || substr(md5('42:' || doc_id), 1, 8))::BIGINT), doc_id LIMIT (SELECT count(*) // 5 FROM r)",
+    "top_k": "SELECT doc_id FROM r WHERE rank <= (SELECT count(*) // 5 FROM r)",
+    "block_s40": "SELECT doc_id FROM r WHERE pct >= 0.4 AND pct < 0.6 - 1e-12",
+    "centred": exact_sample(0.0, 0.5, 0.2, "count(*) // 5"),
+    "shifted": exact_sample(0.2, 0.6, 0.2, "count(*) // 5"),
+}
+
+
+def _labelled(stack: DataFrame, spark: SparkSession, sf_dir: str) -> DataFrame:
+    labels = corpora.table(spark, sf_dir, "labels")
+    return stack.join(labels, "doc_id").groupBy("method").agg(
+        F.count(F.lit(1)).alias("k"), F.round(F.avg("quality"), 6).alias("good"), F.round(F.avg("toxic"), 6).alias("toxic")
+    )
+
+
+def _five(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
+    r = ranked(spark, sf_dir)
+    sets = experiments.schemes(r, fifth(r), 0.2, blocks=False)
+    return sets | {"block_s40": pruning.prune_block(r, 0.4, 0.2)}
+
+
+@query(f"WITH {RANKED}, m AS (" + " UNION ALL ".join(f"SELECT '{k}' AS method, doc_id FROM ({s})" for k, s in _SETS.items()) + f") {_LABELLED}")
+def exp_pruning_comparison(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _labelled(experiments.stacked(_five(spark, sf_dir), ["doc_id"]), spark, sf_dir)
+
+
+@query(f"WITH {RANKED}, m AS (" + " UNION ALL ".join(f"SELECT 'shifted_{p}' AS method, doc_id FROM ({exact_sample(0.2, 0.6, 0.2, f'count(*) * {p} // 100')})" for p in (10, 20, 50)) + f") {_LABELLED}")
+def exp_data_scale(spark: SparkSession, sf_dir: str) -> DataFrame:
+    r = ranked(spark, sf_dir)
+    n = r.count()
+    sets = {f"shifted_{p}": pruning.prune_shifted_gaussian(r, n * p // 100, "doc_id", SHIFTED) for p in (10, 20, 50)}
+    return _labelled(experiments.stacked(sets, ["doc_id"]), spark, sf_dir)
+
+
+@query(f"WITH {RANKED}, k AS ({exact_sample(0.2, 0.6, 0.2, 'count(*) // 5')}) SELECT least(floor(pct * 5), 4)::INT AS region, count(*) AS n, count(k.doc_id) AS kept, round(avg(x3), 6) AS distinct_words, round(avg(x2), 6) AS upper, min(r.doc_id) AS first_id FROM r LEFT JOIN k ON k.doc_id = r.doc_id GROUP BY 1")
+def exp_regions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Per fifth of the ranking: what is kept, and what its texts look like."""
+    from gradsift.functions.features import text_statistics
+
+    r = ranked(spark, sf_dir)
+    kept = pruning.prune_shifted_gaussian(r, fifth(r), "doc_id", SHIFTED).select("doc_id").withColumn("_kept", F.lit(1))
+    s = text_statistics(F.col("text"))
+    shape = corpora.table(spark, sf_dir, "documents").select("doc_id", s["distinct"].alias("distinct"), s["upper"].alias("upper"))
+    region = F.least(F.floor(F.col("pct") * 5), F.lit(4)).cast("int").alias("region")
+    return r.join(kept, "doc_id", "left").join(shape, "doc_id").groupBy(region).agg(
+        F.count(F.lit(1)).alias("n"), F.count("_kept").alias("kept"), F.round(F.avg("distinct"), 6).alias("distinct_words"),
+        F.round(F.avg("upper"), 6).alias("upper"), F.min("doc_id").alias("first_id"),
+    )
+
+
+@query("""WITH j AS (SELECT l.doc_id, d.lang, l.quality = 1 AS preferred, row_number() OVER (PARTITION BY d.lang, l.quality = 1 ORDER BY l.doc_id) AS nth FROM labels l JOIN documents d USING (doc_id)),
+    c AS (SELECT lang, least(count(*) FILTER (preferred), count(*) FILTER (NOT preferred)) AS m FROM j GROUP BY lang)
+    SELECT j.lang || '-' || nth AS prompt_id, j.lang, doc_id AS item_id, preferred FROM j JOIN c USING (lang) WHERE nth <= m""")
+def preference_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return corpora.preference_pairs(spark, sf_dir)
+
+
+@query("SELECT page_id AS doc_id, trim(regexp_replace(regexp_replace(regexp_replace(html, '<(script|style)[^>]*>.*?</(script|style)>', ' ', 'gs'), '<[^>]*>', ' ', 'g'), '[ \\n\\t]+', ' ', 'g')) AS text, regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) AS source FROM pages")
+def pages_to_corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return corpora.page_corpus(spark, sf_dir)
+
+
+@query()
+def exp_web_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pages stripped, rated and pruned by the five schemes: size and mean length of each."""
+    pages = pool_text(corpora.page_corpus(spark, sf_dir))
+    r = rank_corpus(pages.select("doc_id", "text", linear(F.col("features"), (0.3, -1.0, 0.8, -0.6, -0.3, -0.1)).alias("score")), "score", "doc_id")
+    stack = experiments.stacked(experiments.schemes(r, r.count() // 5, 0.2), ["doc_id", "text"])
+    return stack.groupBy("method").agg(F.count(F.lit(1)).alias("k"), F.avg(F.char_length("text")).alias("mean_chars"))
+
+
+W = (0.6, -0.2, 0.4)
+_ROWRANK = f"{ROWS}, s AS (SELECT sample_id AS doc_id, {lin(W)} AS score FROM l), r AS (SELECT *, row_number() OVER (ORDER BY score DESC, doc_id) AS rank, (row_number() OVER (ORDER BY score DESC, doc_id) - 1) / count(*) OVER ()::DOUBLE AS pct FROM s)"
+
+
+@query(f"WITH {_ROWRANK} SELECT doc_id AS sample_id FROM ({exact_sample(0.2, 0.6, 0.2, 'count(*) // 5')})")
+def bench_lineitem_select(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Line items rated, ranked and sampled: the scale bench."""
+    rows = corpora.row_corpus(spark, sf_dir).select("sample_id", linear(F.col("features"), W).alias("score"))
+    r = rank_corpus(rows, "score", "sample_id")
+    return pruning.prune_shifted_gaussian(r, r.count() // 5, "sample_id", SHIFTED).select("sample_id")
+
+
+@query()
+def exp_proxy_kind(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Spread of a sample's loss over noise levels, against none for the single-step proxy."""
+    from gradsift.operators import proxies
+
+    rows = corpora.raster_corpus(spark, sf_dir)
+    losses = rows.select("sample_id", F.array(*(proxies.denoise_loss(F.col("pixels"), "sample_id", t) for t in range(5))).alias("by_level"), proxies.scale_loss(F.col("pixels")).alias("one_step"))
+    mean = F.aggregate("by_level", F.lit(0.0), lambda a, x: a + x) / 5
+    second = F.aggregate("by_level", F.lit(0.0), lambda a, x: a + x * x) / 5
+    return losses.agg(
+        F.avg(F.sqrt(F.greatest(second - mean * mean, F.lit(0.0))) / mean).alias("spread_over_levels"), F.avg(mean).alias("denoise_loss"),
+        F.avg("one_step").alias("one_step_loss"), F.lit(0.0).alias("one_step_spread"),
+    )
+
+
+@query()
+def rater_auc_trained(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """AUC of the trained rater (gap rule, group part) against quality, over the training pool."""
+    pool = experiments.rate_corpus(pool_text(corpora.train_pool(spark, sf_dir)), experiments.train_rater(spark, sf_dir).rater)
+    labels = corpora.table(spark, sf_dir, "labels").select("doc_id", "quality")
+    return auc(pool.select("doc_id", "score").join(labels, "doc_id"), "score", "quality")
+
+
+@query()
+def rate_trained(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The whole corpus rated once by the trained rater."""
+    rater = experiments.train_rater(spark, sf_dir).rater
+    return experiments.rate_corpus(corpora.text_corpus(spark, sf_dir), rater).select("doc_id", "score")
+
+

@@ -45,8 +45,8 @@ class Profiles:
 
     def __init__(self, cells: list[np.ndarray], counts: list[np.ndarray], vocab: int):
         self.vocab = vocab
-        self.sizes = np.array([len(c) for c in cells])
-        self.at = np.concatenate([[0], np.cumsum(self.sizes)])
+        self.sizes = np.array([len(c) for c in cells], dtype=np.int64)
+        self.at = np.concatenate([[0], np.cumsum(self.sizes)]).astype(np.int64)
         self.cells = np.concatenate([np.zeros(0, dtype=np.int64), *cells]).astype(np.int64)
         self.shares = np.concatenate([np.zeros(0), *(np.asarray(n, dtype=float) / max(1, np.sum(n)) for n in counts)])
         self.owner = np.repeat(np.arange(len(cells)), self.sizes)
@@ -111,7 +111,7 @@ def train_bigram(p: Profiles, epochs: int, batch: int, rate: float, seed: int, v
     return logits, curve
 
 
-def train_methods(selections: DataFrame, val: DataFrame, vocab: int = 32, epochs: int = 3, batch: int = 64, rate: float = 2.0, seed: int = 42, rank: int = 0, base: np.ndarray | None = None) -> DataFrame:
+def train_methods(selections: DataFrame, val: DataFrame, vocab: int = 32, epochs: int = 3, batch: int = 64, rate: float = 8.0, seed: int = 42, rank: int = 0, base: np.ndarray | None = None) -> DataFrame:
     """(method, k, epoch, visits, val_loss): one model a method, in parallel, with equal epochs and batches.
 
     selections: method, doc_id, text, already bounded by the caller (a training budget);
