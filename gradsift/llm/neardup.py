@@ -2,21 +2,23 @@
 
 Texts with equal shingle sets are one node. Two sets with a Jaccard similarity of at least t
 share a token in the prefix of each, for any order of all tokens, if a prefix of a set of n
-has n - ceil(t n) + 1 tokens. A pair must pass that under three orders:
+has n - ceil(t n) + 1 tokens. The orders are:
 
-* by rarity: the tokens of the lowest quarter of the hash range, which are counted over the
-  whole corpus, rarest first, then the others by hash;
-* by hash, upwards;
-* by hash within the counted tokens, downwards, then the others.
+* a first one, in which the tokens of the lowest quarter of the hash range come first, those
+  that no other set has before the shared ones. Only that quarter is counted for it, and most
+  documents' prefixes have no shared token, so they link to nothing;
+* by rarity, for what is left: all tokens are counted, and a set's prefix has its own tokens
+  first, then the rarest shared ones. It makes the candidates;
+* by hash, upwards and downwards. Candidates must share prefix tokens under both.
 
-The first order makes the candidates, since most documents' prefixes have only tokens of
-their own; the others and a bound from the counted tokens thin them out before the sets are
-compared. What is compared in full is exact.
+Since a set's own tokens are in no intersection, comparing shared tokens and sizes is exact.
 
 Only the classes are asked for, so links within a class need not all be found. First each
-node is compared with the smallest node of its prefix tokens, which joins a large group of
-copies in a number of comparisons linear in the group. Then all candidate pairs between
-different classes are compared, so that no class is left apart from one it links to.
+node is compared with one node of each prefix token, that with the fewest tokens of its own,
+which is the middle of a group of copies or the barest carrier of a passage; a large group
+takes comparisons linear in its size. Then all candidate pairs of different classes that
+their numbers of shared tokens allow are compared, so that no class is left apart from one
+it links to.
 
 Defined results: a text without words has an empty set and is alone; fewer words than a
 shingle are one shingle; a null id is an id; an empty table has no rows.
@@ -68,7 +70,7 @@ def prefix_length(n: int, percent: int) -> int:
 
 
 def _profiles(docs: DataFrame, percent: int, k: int) -> DataFrame:
-    """(id, key, n, counted, up, down): a row for each text; up and down bound its prefixes by hash."""
+    """(id, key, n, counted, up, down): a row for each text; up and down end its prefixes by hash."""
     names = ["key", "n", "counted", "up", "down"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -77,7 +79,7 @@ def _profiles(docs: DataFrame, percent: int, k: int) -> DataFrame:
             for s in shingle_sets(batch.column(1), k):
                 n = len(s)
                 p, v = prefix_length(n, percent), int(np.searchsorted(s, _COUNTED))
-                rows.append((set_key(s), n, v, int(s[min(p, n) - 1]) if n else 0, int(s[v - p]) if n and v >= p else -1))
+                rows.append((set_key(s), n, v, int(s[p - 1]) if n else 0, int(s[n - p]) if n else 0))
             cols = np.array(rows, dtype=np.int64).reshape(-1, 5)
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(cols[:, i]) for i in range(5))], names=["id", *names])
 
@@ -85,21 +87,23 @@ def _profiles(docs: DataFrame, percent: int, k: int) -> DataFrame:
     return docs.select("id", "text").mapInArrow(run, f"id {kind}, " + ", ".join(f"{x} long" for x in names))
 
 
-def _tokens(docs: DataFrame, percent: int, k: int) -> DataFrame:
-    """(token, key): the counted tokens of each set, or its prefix by hash if that is longer.
+def _tokens(docs: DataFrame, percent: int, k: int, bloom=None) -> DataFrame:
+    """(token, key): of each set the counted tokens, or its prefix by hash if that is longer.
 
-    A task leaves out texts whose set its batch has had.
+    With a filter of keys: all tokens of the sets in it. A task leaves out texts whose set its
+    batch has had.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bits = None if bloom is None else bloom.value
         for batch in batches:
             seen, tokens, keys = set(), [], []
             for s in shingle_sets(batch.column(0), k):
                 key = set_key(s)
-                if not len(s) or key in seen:
+                if not len(s) or key in seen or bits is not None and not in_filter(bits, key):
                     continue
                 seen.add(key)
-                m = max(min(len(s), prefix_length(len(s), percent)), int(np.searchsorted(s, _COUNTED)))
+                m = len(s) if bits is not None else max(prefix_length(len(s), percent), int(np.searchsorted(s, _COUNTED)))
                 tokens.append(s[:m])
                 keys.append(np.full(m, key, dtype=np.int64))
             if tokens:
@@ -108,12 +112,10 @@ def _tokens(docs: DataFrame, percent: int, k: int) -> DataFrame:
     return docs.select("text").mapInArrow(run, "token long, key long")
 
 
-def _bloom(pairs: DataFrame) -> np.ndarray:
-    """A Bloom filter of the keys in the pairs; its size is fixed, and a full one only saves less."""
-    places = pairs.select(F.explode(F.array("a", "b")).alias("x")).select(
-        F.explode(F.array(F.col("x") % _BLOOM_BITS, F.shiftright("x", 30) % _BLOOM_BITS)).alias("p")
-    )
-    words = places.groupBy(F.shiftright("p", 5).alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, CAST(p % 32 AS INT))")).alias("bits"))
+def _bloom(keys: DataFrame) -> np.ndarray:
+    """A Bloom filter of the keys; its size is fixed, and a full one only saves less."""
+    places = F.array(F.col("key") % _BLOOM_BITS, F.shiftright("key", 30) % _BLOOM_BITS)
+    words = keys.select(F.explode(places).alias("p")).groupBy(F.shiftright("p", 5).alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, CAST(p % 32 AS INT))")).alias("bits"))
     out = np.zeros(_BLOOM_BITS // 32, dtype=np.int64)
     rows = words.toPandas()
     out[rows["w"].to_numpy(dtype=np.int64)] = rows["bits"].to_numpy(dtype=np.int64)
@@ -124,24 +126,6 @@ def in_filter(bits: np.ndarray, key: int) -> bool:
     return all(bits[x >> 5] >> (x & 31) & 1 for x in (key % _BLOOM_BITS, (key >> 30) % _BLOOM_BITS))
 
 
-def _filtered_sets(docs: DataFrame, bloom, k: int) -> DataFrame:
-    """(key, tokens) of the sets in the filter; a task leaves out what its batch has had."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bits = bloom.value
-        for batch in batches:
-            seen, keys, blobs = set(), [], []
-            for s in shingle_sets(batch.column(0), k):
-                key = set_key(s)
-                if len(s) and key not in seen and in_filter(bits, key):
-                    seen.add(key)
-                    keys.append(key)
-                    blobs.append(s.tobytes())
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(blobs, pa.binary())], names=["key", "tokens"])
-
-    return docs.select("text").mapInArrow(run, "key long, tokens binary")
-
-
 class JaccardClasses:
     """The join's steps over one table; percent: the least similarity in hundredths."""
 
@@ -152,94 +136,87 @@ class JaccardClasses:
         self.profiles = self.stage.put(_profiles(self.docs, percent, k))
         self.nodes = self.profiles.where("n > 0").groupBy("key", "n", "counted", "up", "down").agg(F.min("id").alias("least"))
 
-    def shared_tokens(self) -> DataFrame:
-        """A row for each node that rarity leaves in: its counted tokens that others have, and prefix."""
+    def shared(self, tokens: DataFrame) -> DataFrame:
+        """(token, df) of the tokens that at least two sets have."""
+        counted = tokens.groupBy("token").agg(F.min("key").alias("lo"), F.max("key").alias("hi"), F.count(F.lit(1)).alias("df"))
+        return counted.where("lo <> hi").select("token", "df")
+
+    def first_order(self) -> DataFrame:
+        """Keys whose prefix under the first order has a shared token."""
         tokens = _tokens(self.docs, self.percent, self.k)
-        shared = self.stage.put(
-            tokens.groupBy("token").agg(F.min("key").alias("lo"), F.max("key").alias("hi"), F.count(F.lit(1)).alias("df"))
-            .where("lo <> hi").select("token", "df")
-        )
-        p = F.expr(f"n - CAST(ceil({self.percent} * n / 100) AS BIGINT) + 1")
-        own = (
-            tokens.join(shared, "token").groupBy("key")
-            .agg(F.array_sort(F.collect_set(F.struct("df", "token"))).alias("found"))
-            .join(self.nodes, "key")
-            .withColumn("p", p)
-            .withColumn("_seen", F.filter("found", lambda x: x["token"] < _COUNTED))
-            .withColumn("_left", F.col("p") - (F.col("counted") - F.size("_seen")))
-            .where("_left > 0")
-            .withColumn("_take", F.when(F.col("counted") >= F.col("p"), F.slice("_seen", F.lit(1), F.col("_left").cast("int"))).otherwise(F.col("found")))
+        found = tokens.join(self.shared(tokens), "token").groupBy("key").agg(F.collect_set("token").alias("found"))
+        seen = F.size(F.filter("found", lambda x: x < _COUNTED))
+        return found.select("key", seen.alias("seen")).join(self.nodes, "key").where(F.col("counted") - F.col("seen") < self.p).select("key")
+
+    @property
+    def p(self) -> Column:
+        return F.expr(f"n - CAST(ceil({self.percent} * n / 100) AS BIGINT) + 1")
+
+    def shared_tokens(self) -> DataFrame:
+        """(key, least, n, c, up, down, tokens, prefix) of the nodes left: tokens are the c shared ones."""
+        bloom = self.docs.sparkSession.sparkContext.broadcast(_bloom(self.first_order()))
+        self.stage.sweep()
+        tokens = _tokens(self.docs, self.percent, self.k, bloom)
+        # the order only has to be one: a token's count is taken once, and written
+        counted = self.stage.put(self.shared(tokens))
+        found = (
+            tokens.join(counted, "token").groupBy("key").agg(F.array_sort(F.collect_set(F.struct("df", "token"))).alias("found"))
+            .withColumn("c", F.size("found").cast("long"))
         )
-        out = self.stage.put(own.select("key", "least", "n", "counted", "up", "down", F.transform("found", lambda x: x["token"]).alias("tokens"), F.transform("_take", lambda x: x["token"]).alias("prefix")))
-        self.stage.drop(shared)
+        left = found.join(self.nodes, "key").withColumn("take", self.p - (F.col("n") - F.col("c"))).where("take > 0")
+        token = lambda x: x["token"]
+        out = self.stage.put(left.select(
+            "key", "least", "n", "c", "up", "down", F.transform("found", token).alias("tokens"),
+            F.transform(F.slice("found", F.lit(1), F.col("take").cast("int")), token).alias("prefix"),
+        ))
+        self.stage.drop(counted)
         return out
 
-    def sizes_fit(self, m: Column, n: Column) -> Column:
-        return 100 * F.least(m, n) >= self.percent * F.greatest(m, n)
+    def allowed(self, n: Column, c: Column, m: Column) -> Column:
+        """Whether a set of n with c shared tokens can link to a set of m."""
+        return (100 * F.least(n, m) >= self.percent * F.greatest(n, m)) & ((100 + self.percent) * c >= self.percent * (n + m))
+
+    def links(self, pairs: DataFrame, own: DataFrame) -> DataFrame:
+        """The pairs (a, b) that share prefix tokens under the orders by hash and are similar enough."""
 
-    def likely(self, pairs: DataFrame, own: DataFrame) -> DataFrame:
-        """The pairs (a, b) that the other orders and the bound leave in."""
         def side(x: str) -> DataFrame:
-            return own.select(F.col("key").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in ("n", "counted", "up", "down", "tokens")))
-
-        both = pairs.join(side("a"), "a").join(side("b"), "b").withColumn("_common", F.array_intersect("tokens_a", "tokens_b"))
-        seen = F.size(F.filter("_common", lambda x: x < _COUNTED))
-        most = seen + F.least(F.col("n_a") - F.col("counted_a"), F.col("n_b") - F.col("counted_b"))
-        upwards = F.exists("_common", lambda x: x <= F.least("up_a", "up_b"))
-        unknown = (F.col("down_a") < 0) | (F.col("down_b") < 0)
-        downwards = unknown | F.exists("_common", lambda x: (x < _COUNTED) & (x >= F.greatest("down_a", "down_b")))
-        enough = (100 + self.percent) * most >= self.percent * (F.col("n_a") + F.col("n_b"))
-        return both.where(enough & upwards & downwards).select("a", "b")
-
-    def links(self, pairs: DataFrame) -> DataFrame:
-        """The pairs whose whole sets are similar enough."""
-        percent = self.percent
-        bloom = self.docs.sparkSession.sparkContext.broadcast(_bloom(pairs))
-        sets = _filtered_sets(self.docs, bloom, self.k).groupBy("key").agg(F.first("tokens").alias("tokens"))
-
-        def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                ok = np.zeros(len(batch), dtype=bool)
-                for i, (x, y) in enumerate(zip(batch.column(2), batch.column(3), strict=True)):
-                    x, y = np.frombuffer(x.as_buffer(), np.int64), np.frombuffer(y.as_buffer(), np.int64)
-                    both = len(np.intersect1d(x, y, assume_unique=True))
-                    ok[i] = 100 * both >= percent * (len(x) + len(y) - both)
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(ok))
-
-        whole = (
-            pairs.join(sets.select(F.col("key").alias("a"), F.col("tokens").alias("x")), "a")
-            .join(sets.select(F.col("key").alias("b"), F.col("tokens").alias("y")), "b")
-            .select("a", "b", "x", "y")
+            return own.select(F.col("key").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in ("n", "up", "down", "tokens")))
+
+        both = pairs.join(side("a"), "a").join(side("b"), "b").select(
+            "a", "b", "n_a", "n_b", F.least("up_a", "up_b").alias("up"), F.greatest("down_a", "down_b").alias("down"),
+            F.array_intersect("tokens_a", "tokens_b").alias("common"),
         )
-        return whole.mapInArrow(compare, "a long, b long")
+        upwards, downwards = F.exists("common", lambda x: x <= F.col("up")), F.exists("common", lambda x: x >= F.col("down"))
+        i = F.size("common")
+        return both.where(upwards & downwards & (100 * i >= self.percent * (F.col("n_a") + F.col("n_b") - i))).select("a", "b")
 
     def run(self) -> DataFrame:
         """(id, n_shingles, component_id) of every row."""
         stage, own = self.stage, self.shared_tokens()
-        held = stage.put(own.select("key", "least", "n", F.explode("prefix").alias("token")))
-        firsts = held.groupBy("token").agg(F.min(F.struct("least", "key", "n")).alias("f"), F.count(F.lit(1)).alias("c")).where("c > 1").select("token", "f")
+        stage.sweep()
+        held = stage.put(own.select("key", "least", "n", "c", F.explode("prefix").alias("token")))
+        barest = F.min(F.struct((F.col("n") - F.col("c")).alias("own"), "least", "key", "n", "c")).alias("f")
+        middles = held.groupBy("token").agg(barest, F.count(F.lit(1)).alias("_sets")).where("_sets > 1").select("token", "f")
+        n, c = F.col("n"), F.col("c")
         stars = (
-            held.join(firsts, "token").where((F.col("key") != F.col("f.key")) & self.sizes_fit(F.col("n"), F.col("f.n")))
+            held.join(middles, "token")
+            .where((F.col("key") != F.col("f.key")) & self.allowed(n, c, F.col("f.n")) & self.allowed(F.col("f.n"), F.col("f.c"), n))
             .select(F.col("key").alias("a"), F.col("f.key").alias("b")).distinct()
         )
-        pairs = stage.put(self.likely(stars, own))
-        edges = stage.put(self.links(pairs))
+        edges = stage.put(self.links(stars, own))
         joined = stage.put(components(edges, stage))
-        stage.drop(pairs)
 
         # candidates between different classes
         marked = held.join(joined.select(F.col("node").alias("key"), "comp"), "key", "left").withColumn("comp", F.coalesce("comp", "key"))
-        open_tokens = marked.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("token")
-        open_held = stage.put(marked.join(open_tokens, "token", "left_semi").select("token", "key", "n", "comp"))
-        left = open_held.select("token", F.col("key").alias("a"), F.col("n").alias("m"), F.col("comp").alias("ca"))
-        right = open_held.select("token", F.col("key").alias("b"), "n", F.col("comp").alias("cb"))
+        live = stage.put(self.live(self.live(marked.select("token", "key", "n", "c", "comp"))))
+        left = live.select("token", F.col("key").alias("a"), F.col("n").alias("na"), F.col("c").alias("c_a"), F.col("comp").alias("comp_a"))
+        right = live.select("token", F.col("key").alias("b"), F.col("n").alias("nb"), F.col("c").alias("c_b"), F.col("comp").alias("comp_b"))
+        possible = self.allowed(F.col("na"), F.col("c_a"), F.col("nb")) & self.allowed(F.col("nb"), F.col("c_b"), F.col("na"))
         rest = (
-            left.join(right, "token").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & self.sizes_fit(F.col("m"), F.col("n")))
+            left.join(right, "token").where((F.col("a") < F.col("b")) & (F.col("comp_a") != F.col("comp_b")) & possible)
             .select("a", "b").distinct()
         )
-        pairs = stage.put(self.likely(rest, own))
-        more = self.links(pairs)
-        every = stage.put(edges.unionByName(more))
+        every = stage.put(edges.unionByName(self.links(rest, own)))
         final = stage.put(components(every, stage))
 
         least = self.nodes.select("key", "least").join(final.select(F.col("node").alias("key"), "comp"), "key", "left").withColumn("comp", F.coalesce("comp", "key"))
@@ -249,6 +226,11 @@ class JaccardClasses:
             self.profiles.join(of_key, "key", "left")
             .select("id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("id")).alias("component_id"))
         )
-        stage.drop(own, held, pairs, edges, joined, open_held, every)
+        stage.drop(own, held, edges, joined, live, every)
         return out
 
+    def live(self, marked: DataFrame) -> DataFrame:
+        """Rows of tokens with several classes, but for sets that none of the token's sizes allows."""
+        span = marked.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min("n").alias("least_n")).where("lo <> hi")
+        nearest = F.greatest(F.col("least_n"), F.ceil(F.col("n") * self.percent / 100))
+        return marked.join(span, "token").where((100 + self.percent) * F.col("c") >= self.percent * (F.col("n") + nearest)).select(marked.columns)

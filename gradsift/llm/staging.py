@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import shutil
 import tempfile
 import uuid
@@ -50,6 +51,11 @@ class Stage:
         out._gradsift_path = path
         return out
 
+    def sweep(self) -> None:
+        """Lets the cleaner remove the shuffle files of plans that nothing refers to any more."""
+        gc.collect()
+        self.spark._jvm.System.gc()
+
     def drop(self, *tables: DataFrame) -> None:
         jvm = self.spark._jvm
         conf = self.spark._jsc.hadoopConfiguration()

@@ -71,16 +71,19 @@ def _above(level: DataFrame, keys: list[str], node: str, fanout: int) -> DataFra
 
 
 class Tree:
-    """Levels of one replica, from the leaves up; the last has the corpus root."""
+    """Levels of one replica, from the leaves up; the last has the corpus root.
 
-    def __init__(self, leaves: DataFrame, depth: int, n_archives: int, fanout: int = FANOUT):
+    Levels are written, so that a comparison's plan doesn't hold the levels below.
+    """
+
+    def __init__(self, leaves: DataFrame, depth: int, n_archives: int, stage: Stage, fanout: int = FANOUT):
         self.fanout = fanout
         self.within = [leaves.select("archive", "pos", "digest")]
         for _ in range(depth):
-            self.within.append(_above(self.within[-1], ["archive"], "pos", fanout))
+            self.within.append(stage.put(_above(self.within[-1], ["archive"], "pos", fanout)))
         self.over = [self.within[-1].select("archive", "digest")]
         while n_archives > 1:
-            self.over.append(_above(self.over[-1], [], "archive", fanout))
+            self.over.append(stage.put(_above(self.over[-1], [], "archive", fanout)))
             n_archives = -(-n_archives // fanout)
 
     def root(self) -> str | None:
@@ -101,7 +104,7 @@ def audit(primary: DataFrame, replica: DataFrame, id_col: str = "page_id", url_c
     depth = 0
     while fanout**depth < longest:
         depth += 1
-    x, y = Tree(a, depth, n_archives, fanout), Tree(b, depth, n_archives, fanout)
+    x, y = (Tree(t, depth, n_archives, stage, fanout) for t in (a, b))
     bad: DataFrame | None = None
     for p, q in zip(reversed(x.over), reversed(y.over), strict=True):
         if bad is not None:
@@ -112,7 +115,7 @@ def audit(primary: DataFrame, replica: DataFrame, id_col: str = "page_id", url_c
     for p, q in zip(reversed(x.within[:-1]), reversed(y.within[:-1]), strict=True):
         up = bad.select(F.col("archive").alias("_a"), F.col("pos").alias("_up"))
         p, q = (t.join(up, (t["archive"] == up["_a"]) & (F.floor(t["pos"] / fanout) == up["_up"]), "left_semi") for t in (p, q))
-        bad = _differing(p, q, ["archive", "pos"])
+        bad = stage.put(_differing(p, q, ["archive", "pos"]))
     other = b.select("archive", "pos", F.col("digest").alias("found_sha256"), F.col("id").alias("_id"), F.col("url").alias("_url"))
     return (
         bad.join(a, ["archive", "pos"], "left").join(other, ["archive", "pos"], "left")
