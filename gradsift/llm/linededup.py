@@ -16,6 +16,8 @@ from string import ascii_lowercase, ascii_uppercase
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from gradsift.llm.columns import give_back, hide
+
 BLANKS = " \t\n\x0b\x0c\r"
 
 
@@ -57,6 +59,7 @@ def common_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = 40, min_docs: int = 5) -> DataFrame:
     """The documents with their text's common lines dropped, and _n_lines, _n_dropped."""
+    docs, back = hide(docs, (id_col, text_col))
     held, common = common_lines(docs, id_col, text_col, min_chars, min_docs)
     gone = (
         held.join(common, ["_a", "_b"])
@@ -73,7 +76,7 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
     kept = F.filter(lines, stays)
     own = [F.col(f"`{c}`") for c in docs.columns]
-    return (
+    out = (
         docs.join(gone, docs[id_col].eqNullSafe(gone["_gone_id"]), "left")
         .withColumn("_kept", F.when(F.col("_gone").isNotNull(), kept))
         .withColumn("_n_lines", F.size(lines).cast("long"))
@@ -81,3 +84,4 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
         .withColumn(text_col, F.when(F.col("_n_dropped") == 0, F.col(text_col)).otherwise(F.array_join("_kept", "\n")))
         .select(*own, "_n_lines", "_n_dropped")
     )
+    return give_back(out, back)
