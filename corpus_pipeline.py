@@ -7,16 +7,33 @@ have no letters and go in the first stage.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from functools import wraps
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from gradsift.llm import decontaminate, langid, linededup, neardup, queries, tokenize
+from gradsift.llm.columns import give_back, hide
 from gradsift.llm.staging import Stage
 
+Step = Callable[[SparkSession, DataFrame, str], DataFrame]
 #: The stages hash texts, fit a classifier and tokenize, which SQL doesn't express.
 ORACLE_SQL = None
 
 
+def own_columns(step: Step) -> Step:
+    """Other columns than those of documents pass through, whatever their names."""
+
+    @wraps(step)
+    def run(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        hidden, back = hide(docs, ("doc_id", "text", "lang", "source", "n_chars"))
+        return give_back(step(spark, hidden, sf_dir), back)
+
+    return run
+
+
+@own_columns
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rejects texts without a letter, and those that are noise more than any language."""
     model = langid.fit(docs)
@@ -26,6 +43,7 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return named.where((F.col("_lang_pred") != "und") & (F.col("_noise") <= 0.5)).select(*(f"`{c}`" for c in docs.columns))
 
 
+@own_columns
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops common lines; n_chars follows where a text has changed."""
     out = linededup.dedup_lines(docs)
@@ -33,6 +51,7 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return out.withColumn("n_chars", n_chars.cast(docs.schema["n_chars"].dataType)).select(*(f"`{c}`" for c in docs.columns))
 
 
+@own_columns
 def ngram_jaccard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each class of near copies, the document with the smallest id stays."""
     classes = neardup.JaccardClasses(docs).run()
@@ -42,6 +61,7 @@ def ngram_jaccard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     return kept.withColumn("_nth", F.row_number().over(once)).where("_nth = 1").drop("_nth")
 
 
+@own_columns
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops contaminated documents."""
     items = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
