@@ -16,9 +16,11 @@ Since a set's own tokens are in no intersection, comparing shared tokens and siz
 Only the classes are asked for, so links within a class need not all be found. First each
 node is compared with one node of each prefix token, that with the fewest tokens of its own,
 which is the middle of a group of copies or the barest carrier of a passage; a large group
-takes comparisons linear in its size. Then all candidate pairs of different classes that
-their numbers of shared tokens allow are compared, so that no class is left apart from one
-it links to.
+takes comparisons linear in its size. Then all candidate pairs of different classes are
+compared that can be similar enough, so that no class is left apart from one it links to.
+What two sets have in common is at most what both share with the middle, as the smaller
+number, and what both share with others, likewise; sets of a middle and class that are alike
+in these numbers are ruled out together.
 
 Defined results: a text without words has an empty set and is alone; fewer words than a
 shingle are one shingle; a null id is an id; an empty table has no rows.
@@ -172,12 +174,11 @@ class JaccardClasses:
         self.stage.drop(counted)
         return out
 
-    def allowed(self, n: Column, c: Column, m: Column) -> Column:
-        """Whether a set of n with c shared tokens can link to a set of m."""
-        return (100 * F.least(n, m) >= self.percent * F.greatest(n, m)) & ((100 + self.percent) * c >= self.percent * (n + m))
+    def compared(self, pairs: DataFrame, own: DataFrame) -> DataFrame:
+        """(a, b, i, linked): i is the size of the intersection of the pairs (a, b).
 
-    def links(self, pairs: DataFrame, own: DataFrame) -> DataFrame:
-        """The pairs (a, b) that share prefix tokens under the orders by hash and are similar enough."""
+        Linked are those that share prefix tokens under the orders by hash and are similar enough.
+        """
 
         def side(x: str) -> DataFrame:
             return own.select(F.col("key").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in ("n", "up", "down", "tokens")))
@@ -188,36 +189,31 @@ class JaccardClasses:
         )
         upwards, downwards = F.exists("common", lambda x: x <= F.col("up")), F.exists("common", lambda x: x >= F.col("down"))
         i = F.size("common")
-        return both.where(upwards & downwards & (100 * i >= self.percent * (F.col("n_a") + F.col("n_b") - i))).select("a", "b")
+        return both.select("a", "b", i.alias("i"), (upwards & downwards & (100 * i >= self.percent * (F.col("n_a") + F.col("n_b") - i))).alias("linked"))
 
     def run(self) -> DataFrame:
         """(id, n_shingles, component_id) of every row."""
         stage, own = self.stage, self.shared_tokens()
         stage.sweep()
         held = stage.put(own.select("key", "least", "n", "c", F.explode("prefix").alias("token")))
-        barest = F.min(F.struct((F.col("n") - F.col("c")).alias("own"), "least", "key", "n", "c")).alias("f")
-        middles = held.groupBy("token").agg(barest, F.count(F.lit(1)).alias("_sets")).where("_sets > 1").select("token", "f")
-        n, c = F.col("n"), F.col("c")
-        stars = (
-            held.join(middles, "token")
-            .where((F.col("key") != F.col("f.key")) & self.allowed(n, c, F.col("f.n")) & self.allowed(F.col("f.n"), F.col("f.c"), n))
-            .select(F.col("key").alias("a"), F.col("f.key").alias("b")).distinct()
-        )
-        edges = stage.put(self.links(stars, own))
+        barest = F.min(F.struct((F.col("n") - F.col("c")).alias("own"), "least", "key")).alias("f")
+        middles = held.groupBy("token").agg(barest, F.count(F.lit(1)).alias("_sets")).where("_sets > 1").select("token", F.col("f.key").alias("middle"))
+        starred = stage.put(held.join(middles, "token").select("token", "key", "n", "c", "middle"))
+        stars = starred.where("key <> middle").select(F.col("key").alias("a"), F.col("middle").alias("b")).distinct()
+        near = stage.put(self.compared(stars, own))
+        edges = near.where("linked").select("a", "b")
         joined = stage.put(components(edges, stage))
 
         # candidates between different classes
-        marked = held.join(joined.select(F.col("node").alias("key"), "comp"), "key", "left").withColumn("comp", F.coalesce("comp", "key"))
-        live = stage.put(self.live(self.live(marked.select("token", "key", "n", "c", "comp"))))
-        left = live.select("token", F.col("key").alias("a"), F.col("n").alias("na"), F.col("c").alias("c_a"), F.col("comp").alias("comp_a"))
-        right = live.select("token", F.col("key").alias("b"), F.col("n").alias("nb"), F.col("c").alias("c_b"), F.col("comp").alias("comp_b"))
-        possible = self.allowed(F.col("na"), F.col("c_a"), F.col("nb")) & self.allowed(F.col("nb"), F.col("c_b"), F.col("na"))
-        rest = (
-            left.join(right, "token").where((F.col("a") < F.col("b")) & (F.col("comp_a") != F.col("comp_b")) & possible)
-            .select("a", "b").distinct()
+        common = near.select(F.col("a").alias("key"), F.col("b").alias("middle"), "i")
+        marked = (
+            starred.join(joined.select(F.col("node").alias("key"), "comp"), "key", "left").join(common, ["key", "middle"], "left")
+            .select("middle", "key", "n", "c", F.coalesce("comp", "key").alias("comp"), F.coalesce("i", "c").alias("i")).distinct()
         )
-        every = stage.put(edges.unionByName(self.links(rest, own)))
-        final = stage.put(components(every, stage))
+        live = stage.put(self.live(self.live(marked)))
+        rest = self.possible(live).select("a", "b").distinct()
+        more = stage.put(self.compared(rest, own).where("linked").select("a", "b"))
+        final = stage.put(components(edges.unionByName(more), stage))
 
         least = self.nodes.select("key", "least").join(final.select(F.col("node").alias("key"), "comp"), "key", "left").withColumn("comp", F.coalesce("comp", "key"))
         names = least.groupBy("comp").agg(F.min("least").alias("component_id"))
@@ -226,11 +222,29 @@ class JaccardClasses:
             self.profiles.join(of_key, "key", "left")
             .select("id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("id")).alias("component_id"))
         )
-        stage.drop(own, held, edges, joined, live, every)
+        stage.drop(own, held, starred, near, joined, live, more)
         return out
 
     def live(self, marked: DataFrame) -> DataFrame:
-        """Rows of tokens with several classes, but for sets that none of the token's sizes allows."""
-        span = marked.groupBy("token").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min("n").alias("least_n")).where("lo <> hi")
+        """Rows of middles with several classes, but for sets that none of the middle's sizes allows."""
+        span = marked.groupBy("middle").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min("n").alias("least_n")).where("lo <> hi")
         nearest = F.greatest(F.col("least_n"), F.ceil(F.col("n") * self.percent / 100))
-        return marked.join(span, "token").where((100 + self.percent) * F.col("c") >= self.percent * (F.col("n") + nearest)).select(marked.columns)
+        return marked.join(span, "middle").where((100 + self.percent) * F.col("c") >= self.percent * (F.col("n") + nearest)).select(marked.columns)
+
+    def possible(self, live: DataFrame) -> DataFrame:
+        """Pairs (a, b) of a middle's sets in different classes that can be similar enough.
+
+        Sets with a common prefix token have its middle in common, so these are all candidates.
+        First come the pairs of shapes (class, size, shared tokens, those shared with the
+        middle) that a middle has, then the sets of the shapes that are left.
+        """
+        shape = ["comp", "n", "c", "i"]
+        shapes = live.select("middle", *shape).distinct()
+        x, y = (shapes.select("middle", *(F.col(c).alias(f"{c}_{s}") for c in shape)) for s in "xy")
+        most = F.least("i_x", "i_y") + F.least(F.col("c_x") - F.col("i_x"), F.col("c_y") - F.col("i_y"))
+        enough = (100 + self.percent) * most >= self.percent * (F.col("n_x") + F.col("n_y"))
+        sizes = 100 * F.least("n_x", "n_y") >= self.percent * F.greatest("n_x", "n_y")
+        left = x.join(y, "middle").where((F.col("comp_x") < F.col("comp_y")) & sizes & enough)
+        a = live.select("middle", F.col("key").alias("a"), *(F.col(c).alias(f"{c}_x") for c in shape))
+        b = live.select("middle", F.col("key").alias("b"), *(F.col(c).alias(f"{c}_y") for c in shape))
+        return left.join(a, ["middle", *(f"{c}_x" for c in shape)]).join(b, ["middle", *(f"{c}_y" for c in shape)])
