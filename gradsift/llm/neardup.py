@@ -201,6 +201,7 @@ class JaccardClasses:
         starred = stage.put(held.join(middles, "token").select("token", "key", "n", "c", "middle"))
         stars = starred.where("key <> middle").select(F.col("key").alias("a"), F.col("middle").alias("b")).distinct()
         near = stage.put(self.compared(stars, own))
+        stage.sweep()
         edges = near.where("linked").select("a", "b")
         joined = stage.put(components(edges, stage))
 

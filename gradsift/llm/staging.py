@@ -6,6 +6,7 @@ import atexit
 import gc
 import shutil
 import tempfile
+import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -52,9 +53,15 @@ class Stage:
         return out
 
     def sweep(self) -> None:
-        """Lets the cleaner remove the shuffle files of plans that nothing refers to any more."""
+        """Lets the cleaner remove the shuffle files of plans that nothing refers to any more.
+
+        Python's handles are let go within a second of their collection; only then can the
+        JVM collect what they held.
+        """
         gc.collect()
+        time.sleep(1.2)
         self.spark._jvm.System.gc()
+        time.sleep(0.3)
 
     def drop(self, *tables: DataFrame) -> None:
         jvm = self.spark._jvm
