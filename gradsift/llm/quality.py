@@ -150,7 +150,7 @@ def measures() -> dict[str, Column]:
 
 
 #: Above the fence by so much, in the measure's unit, before a document fails.
-SLACK = {"symbols": 0.05, "repeats": 0.05, "dup_lines": 0.02, "word_length": 2.0}
+SLACK = {"symbols": 0.05, "repeats": 0.15, "dup_lines": 0.02, "word_length": 2.0}
 
 
 def limits(counts: DataFrame, min_docs: int = 50, reach: float = 3.0) -> DataFrame:

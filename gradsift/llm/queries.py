@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gradsift.llm import chat, decontaminate, htmltext, langid, linededup, neardup, quality, sharding, tokenize, warc
+from gradsift.llm import chat, decontaminate, htmltext, langid, linededup, neardup, oracles, quality, sharding, tokenize, warc
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -13,7 +13,8 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def op1_adaptive_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quality.judge(_table(spark, sf_dir, "documents"))
+    judged = quality.judge(_table(spark, sf_dir, "documents"))
+    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
 def op2_multi_order_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -94,6 +95,9 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {f.__name__: f for f in (op1_adaptive_quality, op2_multi_order_jaccard, op3_wu_manber, op4_tag_path_ratios, op5_snapshot_collapse, op6_virtual_slots, op7_word_table_bpe, op8_merkle_fixity, op9_language_mixture, op10_line_dedup)}
 
 SQL = {
+    "op1_adaptive_quality": oracles.OP1,
+    "op2_multi_order_jaccard": oracles.OP2,
+    "op3_wu_manber": oracles.OP3,
     "op5_snapshot_collapse": """
         WITH t AS (
             SELECT conv_id, row_number() OVER (PARTITION BY conv_id ORDER BY turn, coalesce(role, ''), coalesce(text, '')) AS k,
