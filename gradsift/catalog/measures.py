@@ -273,8 +273,9 @@ def exp_dynamics_trained(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     from gradsift.plans import downstream, experiments
 
-    r = experiments.ranked_pool(spark, sf_dir)
-    probe = downstream.with_profiles(measures.sample_across_ranges(r, 50, "doc_id"), "doc_id", "text", 32, ["pct"]).orderBy("doc_id").toPandas()
+    picked = measures.sample_across_ranges(experiments.ranked_pool(spark, sf_dir), 50, "doc_id")
+    probed = corpora.table(spark, sf_dir, "documents").select("doc_id", "text").join(picked.select("doc_id", "pct"), "doc_id")
+    probe = downstream.with_profiles(probed, "doc_id", "text", 32, ["pct"]).orderBy("doc_id").toPandas()
     p, rows, model = downstream.Profiles(list(probe["cells"]), list(probe["counts"]), 32), [], None
     for epoch in range(6):
         if epoch:

@@ -14,6 +14,7 @@ from gradsift.operators.pruning import ShiftedGaussian
 from gradsift.operators.ranking import approx_percentile_of, rank_corpus, splitters
 from gradsift.plans.rater import FIXED_MLP
 from gradsift.sources.corpora import text_corpus
+from gradsift.sources.staging import staged
 
 SHIFTED = ShiftedGaussian()
 
@@ -24,7 +25,9 @@ def rated(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def ranked(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return rank_corpus(rated(spark, sf_dir).select("doc_id", "lang", "source", "score"), "score", "doc_id")
+    """doc_id, score, rank, pct. The texts are read once, for the ratings; ranks are written too."""
+    ratings = staged(rated(spark, sf_dir).select("doc_id", "score"))
+    return staged(rank_corpus(ratings, "score", "doc_id"), "ranks")
 
 
 def fifth(df: DataFrame) -> int:

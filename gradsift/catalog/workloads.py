@@ -15,6 +15,7 @@ from gradsift.operators.measures import auc
 from gradsift.operators.ranking import rank_corpus
 from gradsift.plans import experiments
 from gradsift.sources import corpora
+from gradsift.sources.staging import staged
 
 
 def _trained(name: str):
@@ -97,9 +98,10 @@ def pages_to_corpus(spark: SparkSession, sf_dir: str) -> DataFrame:
 def exp_web_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pages stripped, rated and pruned by the five schemes: size and mean length of each."""
     pages = pool_text(corpora.page_corpus(spark, sf_dir))
-    r = rank_corpus(pages.select("doc_id", "text", linear(F.col("features"), (0.3, -1.0, 0.8, -0.6, -0.3, -0.1)).alias("score")), "score", "doc_id")
-    stack = experiments.stacked(experiments.schemes(r, r.count() // 5, 0.2), ["doc_id", "text"])
-    return stack.groupBy("method").agg(F.count(F.lit(1)).alias("k"), F.avg(F.char_length("text")).alias("mean_chars"))
+    rows = staged(pages.select("doc_id", F.char_length("text").alias("chars"), linear(F.col("features"), (0.3, -1.0, 0.8, -0.6, -0.3, -0.1)).alias("score")))
+    r = staged(rank_corpus(rows, "score", "doc_id"), "ranks")
+    stack = experiments.stacked(experiments.schemes(r, r.count() // 5, 0.2), ["doc_id", "chars"])
+    return stack.groupBy("method").agg(F.count(F.lit(1)).alias("k"), F.avg("chars").alias("mean_chars"))
 
 
 W = (0.6, -0.2, 0.4)
@@ -109,8 +111,8 @@ _ROWRANK = f"{ROWS}, s AS (SELECT sample_id AS doc_id, {lin(W)} AS score FROM l)
 @query(f"WITH {_ROWRANK} SELECT doc_id AS sample_id FROM ({exact_sample(0.2, 0.6, 0.2, 'count(*) // 5')})")
 def bench_lineitem_select(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Line items rated, ranked and sampled: the scale bench."""
-    rows = corpora.row_corpus(spark, sf_dir).select("sample_id", linear(F.col("features"), W).alias("score"))
-    r = rank_corpus(rows, "score", "sample_id")
+    rows = staged(corpora.row_corpus(spark, sf_dir).select("sample_id", linear(F.col("features"), W).alias("score")))
+    r = staged(rank_corpus(rows, "score", "sample_id"), "ranks")
     return pruning.prune_shifted_gaussian(r, r.count() // 5, "sample_id", SHIFTED).select("sample_id")
 
 

@@ -20,6 +20,7 @@ from gradsift.plans.downstream import train_methods
 from gradsift.plans.rater import RaterConfig
 from gradsift.plans.training import MetaConfig, MetaTrainer, TrainState, rate_corpus
 from gradsift.sources import corpora
+from gradsift.sources.staging import staged
 
 #: Documents of a selection that a downstream model is trained on, at most (by hash).
 TRAIN_BUDGET = 4000
@@ -37,9 +38,14 @@ def train_rater(spark: SparkSession, sf_dir: str, cfg: MetaConfig = MetaConfig()
 
 
 def ranked_pool(spark: SparkSession, sf_dir: str, cfg: MetaConfig = MetaConfig()) -> DataFrame:
-    """The training pool, ranked by a trained rater: doc_id, text, lang, source, score, rank, pct."""
-    pool = rate_corpus(pool_text(corpora.train_pool(spark, sf_dir)), train_rater(spark, sf_dir, cfg).rater)
-    return rank_corpus(pool.drop("features"), "score", "doc_id")
+    """The training pool, ranked by a trained rater: doc_id, score, rank, pct."""
+    return rated_ranks(corpora.train_pool(spark, sf_dir), train_rater(spark, sf_dir, cfg))
+
+
+def rated_ranks(pool: DataFrame, state: TrainState) -> DataFrame:
+    """Texts are read once, for the ratings; what is ranked and written are ids and scores."""
+    ratings = staged(rate_corpus(pool_text(pool.select("doc_id", "text")), state.rater).select("doc_id", "score"))
+    return staged(rank_corpus(ratings, "score", "doc_id"), "ranks")
 
 
 def schemes(ranked: DataFrame, k: int, ratio: float, seed: int = 42, blocks: bool = True) -> dict[str, DataFrame]:
@@ -63,10 +69,15 @@ def stacked(selections: dict[str, DataFrame], columns: list[str]) -> DataFrame:
     return out
 
 
-def budgeted(stack: DataFrame, budget: int = TRAIN_BUDGET, seed: int = 42) -> DataFrame:
-    """At most about budget rows of each method, by hash."""
+def trained_on(selections: dict[str, DataFrame], pool: DataFrame, val: DataFrame, budget: int = TRAIN_BUDGET, seed: int = 42, **how) -> DataFrame:
+    """Curves of models trained on at most about budget documents of each selection, by hash.
+
+    Only ids are stacked and cut; the texts of what is left are joined at the end.
+    """
+    stack = staged(stacked(selections, ["doc_id"]), "selections")
     sizes = stack.groupBy("method").agg(F.count(F.lit(1)).alias("_n"))
-    return stack.join(F.broadcast(sizes), "method").where(hash_uniform("doc_id", seed + 5) * F.col("_n") < budget).drop("_n")
+    cut = stack.join(F.broadcast(sizes), "method").where(hash_uniform("doc_id", seed + 5) * F.col("_n") < budget).drop("_n")
+    return train_methods(pool.select("doc_id", "text").join(cut, "doc_id"), val, **how)
 
 
 def as_results(curve: DataFrame, metric: str = "val_loss") -> DataFrame:
@@ -75,11 +86,12 @@ def as_results(curve: DataFrame, metric: str = "val_loss") -> DataFrame:
     return last.select("method", F.col("x.k").alias("k"), F.lit(metric).alias("metric"), F.col("x.val_loss").alias("value"), F.col("x.visits").alias("visits"))
 
 
-def text_moments(stack: DataFrame, reference: DataFrame) -> DataFrame:
-    """Diagonal Frechet distance of each method's text statistics from the reference's."""
+def text_moments(selections: dict[str, DataFrame], pool: DataFrame, reference: DataFrame) -> DataFrame:
+    """Diagonal Frechet distance of each selection's text statistics from the reference's."""
     f = F.col("features")
     agg = [F.avg(f[i]).alias(f"m{i}") for i in range(6)] + [F.stddev_pop(f[i]).alias(f"s{i}") for i in range(6)]
-    own = pool_text(stack).groupBy("method").agg(F.count(F.lit(1)).alias("k"), *agg)
+    shapes = staged(pool_text(pool).select("doc_id", "features"), "features")
+    own = stacked(selections, ["doc_id"]).join(shapes, "doc_id").groupBy("method").agg(F.count(F.lit(1)).alias("k"), *agg)
     ref = pool_text(reference).agg(*agg).withColumnsRenamed({f"{c}{i}": f"r{c}{i}" for c in "ms" for i in range(6)})
     total = F.lit(0.0)
     for i in range(6):
@@ -88,67 +100,64 @@ def text_moments(stack: DataFrame, reference: DataFrame) -> DataFrame:
     return own.crossJoin(F.broadcast(ref)).select("method", "k", F.lit("frechet_diag").alias("metric"), total.alias("value"), F.lit(0).cast("long").alias("visits"))
 
 
+def random_and_shifted(ranked: DataFrame, k: int, seed: int, suffix: str = "") -> dict[str, DataFrame]:
+    return {
+        f"random{suffix}": pruning.prune_random(ranked, k, "doc_id", seed),
+        f"shifted{suffix}": pruning.prune_shifted_gaussian(ranked, k, "doc_id", SHIFTED, seed=seed),
+    }
+
+
 def comparison(spark: SparkSession, sf_dir: str, seed: int = 42, epochs: int = 3) -> DataFrame:
     """Full, random, the four heuristics at half, and the method at a fifth and a half."""
-    ranked = ranked_pool(spark, sf_dir).cache()
-    n = ranked.count()
-    feats = pool_text(ranked.drop("rank", "pct"))
-    scored = {
-        "aesthetic": heuristics.aesthetic(F.col("features")), "clarity": heuristics.text_clarity(F.col("text")),
-        "frequency": F.col("features")[2], "edges": heuristics.text_edges(F.col("text")),
-    }
+    pool, val, ranked = corpora.train_pool(spark, sf_dir), corpora.wanted(spark, sf_dir), ranked_pool(spark, sf_dir)
+    n, f = ranked.count(), F.col("features")
+    scores = staged(pool_text(pool).select(
+        "doc_id", heuristics.aesthetic(f).alias("aesthetic"), heuristics.text_clarity(F.col("text")).alias("clarity"),
+        f[2].alias("frequency"), heuristics.text_edges(F.col("text")).alias("edges"),
+    ))
     sets = {"full": ranked, "random": pruning.prune_random(ranked, n // 2, "doc_id", seed)}
-    for name, score in scored.items():
-        sets[name] = pruning.prune_top_k(rank_corpus(feats.select("doc_id", "text", score.alias("score")), "score", "doc_id"), n // 2)
-    sets["shifted_20"] = pruning.prune_shifted_gaussian(ranked, n // 5, "doc_id", SHIFTED, seed=seed)
-    sets["shifted_50"] = pruning.prune_shifted_gaussian(ranked, n // 2, "doc_id", SHIFTED, seed=seed)
-    stack, val = stacked(sets, ["doc_id", "text"]), corpora.wanted(spark, sf_dir)
-    return as_results(train_methods(budgeted(stack), val, epochs=epochs)).unionByName(text_moments(stack, val))
+    for name in ("aesthetic", "clarity", "frequency", "edges"):
+        sets[name] = pruning.prune_top_k(rank_corpus(scores.select("doc_id", name), name, "doc_id"), n // 2)
+    for share in (20, 50):
+        sets[f"shifted_{share}"] = pruning.prune_shifted_gaussian(ranked, n * share // 100, "doc_id", SHIFTED, seed=seed)
+    return as_results(trained_on(sets, pool, val, epochs=epochs)).unionByName(text_moments(sets, pool, val))
 
 
 def pruning_comparison(spark: SparkSession, sf_dir: str, seed: int = 42, ratio: float = 0.2, epochs: int = 3) -> DataFrame:
-    ranked = ranked_pool(spark, sf_dir).cache()
-    stack = stacked(schemes(ranked, int(ranked.count() * ratio), ratio, seed), ["doc_id", "text"])
-    return as_results(train_methods(budgeted(stack), corpora.wanted(spark, sf_dir), epochs=epochs))
+    ranked = ranked_pool(spark, sf_dir)
+    sets = schemes(ranked, int(ranked.count() * ratio), ratio, seed)
+    return as_results(trained_on(sets, corpora.train_pool(spark, sf_dir), corpora.wanted(spark, sf_dir), epochs=epochs))
 
 
 def model_scale(spark: SparkSession, sf_dir: str, seed: int = 42, epochs: int = 3) -> DataFrame:
     """One selection for three sizes of the downstream model."""
-    ranked = ranked_pool(spark, sf_dir).cache()
-    k = ranked.count() // 5
-    pair = {"random": pruning.prune_random(ranked, k, "doc_id", seed), "shifted": pruning.prune_shifted_gaussian(ranked, k, "doc_id", SHIFTED, seed=seed)}
-    stack, val, out = budgeted(stacked(pair, ["doc_id", "text"])), corpora.wanted(spark, sf_dir), None
+    ranked, out = ranked_pool(spark, sf_dir), None
+    sets = random_and_shifted(ranked, ranked.count() // 5, seed)
     for vocab in (8, 32, 128):
-        own = as_results(train_methods(stack, val, vocab, epochs), f"val_loss_v{vocab}")
+        curve = trained_on(sets, corpora.train_pool(spark, sf_dir), corpora.wanted(spark, sf_dir), vocab=vocab, epochs=epochs)
+        own = as_results(curve, f"val_loss_v{vocab}")
         out = own if out is None else out.unionByName(own)
     return out
 
 
 def data_scale(spark: SparkSession, sf_dir: str, seed: int = 42, epochs: int = 3) -> DataFrame:
-    ranked = ranked_pool(spark, sf_dir).cache()
+    return _shares(ranked_pool(spark, sf_dir), corpora.train_pool(spark, sf_dir), corpora.wanted(spark, sf_dir), (10, 20, 50), seed, epochs)
+
+
+def _shares(ranked: DataFrame, pool: DataFrame, val: DataFrame, shares: tuple[int, ...], seed: int, epochs: int = 3) -> DataFrame:
     n, sets = ranked.count(), {}
-    for share in (10, 20, 50):
-        k = n * share // 100
-        sets |= {f"random_{share}": pruning.prune_random(ranked, k, "doc_id", seed), f"shifted_{share}": pruning.prune_shifted_gaussian(ranked, k, "doc_id", SHIFTED, seed=seed)}
-    return as_results(train_methods(budgeted(stacked(sets, ["doc_id", "text"])), corpora.wanted(spark, sf_dir), epochs=epochs))
+    for share in shares:
+        sets |= random_and_shifted(ranked, n * share // 100, seed, f"_{share}")
+    return as_results(trained_on(sets, pool, val, epochs=epochs))
 
 
 def cross_family(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
     """Ratings from one family for a low-rank adapter, one epoch."""
-    ranked = ranked_pool(spark, sf_dir).cache()
-    k = ranked.count() // 5
-    pair = {"random": pruning.prune_random(ranked, k, "doc_id", seed), "shifted": pruning.prune_shifted_gaussian(ranked, k, "doc_id", SHIFTED, seed=seed)}
+    ranked = ranked_pool(spark, sf_dir)
+    sets = random_and_shifted(ranked, ranked.count() // 5, seed)
     base = train_rater(spark, sf_dir).theta_hat * 0.5
-    return as_results(train_methods(budgeted(stacked(pair, ["doc_id", "text"])), corpora.wanted(spark, sf_dir), epochs=1, rank=4, rate=0.5, base=base), "adapter_val_loss")
-
-
-def _other_domain(pool: DataFrame, val: DataFrame, spark: SparkSession, sf_dir: str, seed: int) -> DataFrame:
-    ranked = rank_corpus(rate_corpus(pool_text(pool), train_rater(spark, sf_dir).rater).drop("features"), "score", "doc_id").cache()
-    n, sets = ranked.count(), {}
-    for share in (20, 50):
-        k = n * share // 100
-        sets |= {f"random_{share}": pruning.prune_random(ranked, k, "doc_id", seed), f"shifted_{share}": pruning.prune_shifted_gaussian(ranked, k, "doc_id", SHIFTED, seed=seed)}
-    return as_results(train_methods(budgeted(stacked(sets, ["doc_id", "text"])), val))
+    curve = trained_on(sets, corpora.train_pool(spark, sf_dir), corpora.wanted(spark, sf_dir), epochs=1, rank=4, rate=0.5, base=base)
+    return as_results(curve, "adapter_val_loss")
 
 
 def mixed_domain(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
@@ -157,37 +166,37 @@ def mixed_domain(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
     docs = corpora.table(spark, sf_dir, "documents").select("doc_id", "text")
     val = corpora.wanted(spark, sf_dir)
     pool = docs.join(items, "doc_id", "left_semi").join(val.select("doc_id"), "doc_id", "left_anti")
-    return _other_domain(pool, val, spark, sf_dir, seed)
+    return _shares(rated_ranks(pool, train_rater(spark, sf_dir)), pool, val, (20, 50), seed)
 
 
 def second_domain(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
     """Conversation turns; a hash tenth is held out."""
     turns = corpora.dialogue_corpus(spark, sf_dir).select("doc_id", "text")
     held = hash_uniform("doc_id", 9) < 0.1
-    return _other_domain(turns.where(~held), turns.where(held), spark, sf_dir, seed)
+    return _shares(rated_ranks(turns.where(~held), train_rater(spark, sf_dir)), turns.where(~held), turns.where(held), (20, 50), seed)
 
 
 def ablation(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
     """Top-K, centred and shifted without the group part, and shifted with it."""
-    alone = ranked_pool(spark, sf_dir, MetaConfig(rater=RaterConfig(group=False))).cache()
-    both = ranked_pool(spark, sf_dir).cache()
+    alone = ranked_pool(spark, sf_dir, MetaConfig(rater=RaterConfig(group=False)))
+    both = ranked_pool(spark, sf_dir)
     k = alone.count() // 5
     sets = {
         "top_k": pruning.prune_top_k(alone, k), "centred": pruning.prune_gaussian(alone, k, "doc_id", seed=seed),
         "shifted": pruning.prune_shifted_gaussian(alone, k, "doc_id", SHIFTED, seed=seed), "shifted_group": pruning.prune_shifted_gaussian(both, k, "doc_id", SHIFTED, seed=seed),
     }
-    return as_results(train_methods(budgeted(stacked(sets, ["doc_id", "text"])), corpora.wanted(spark, sf_dir)))
+    return as_results(trained_on(sets, corpora.train_pool(spark, sf_dir), corpora.wanted(spark, sf_dir)))
 
 
 def training_trend(spark: SparkSession, sf_dir: str, seed: int = 42, epochs: int = 10) -> DataFrame:
     """Validation loss by epoch: method, k, epoch, visits, val_loss."""
-    ranked = ranked_pool(spark, sf_dir).cache()
+    ranked = ranked_pool(spark, sf_dir)
     n = ranked.count()
     sets = {
         "random_50": pruning.prune_random(ranked, n // 2, "doc_id", seed), "shifted_20": pruning.prune_shifted_gaussian(ranked, n // 5, "doc_id", SHIFTED, seed=seed),
         "shifted_50": pruning.prune_shifted_gaussian(ranked, n // 2, "doc_id", SHIFTED, seed=seed),
     }
-    return train_methods(budgeted(stacked(sets, ["doc_id", "text"])), corpora.wanted(spark, sf_dir), epochs=epochs, rate=0.5)
+    return trained_on(sets, corpora.train_pool(spark, sf_dir), corpora.wanted(spark, sf_dir), epochs=epochs, rate=2.0)
 
 
 def update_rules(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
