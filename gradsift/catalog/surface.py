@@ -5,12 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from gradsift.catalog.fragments import RANKED, SCORE, exact_sample, stats, u
-from gradsift.catalog.registry import query
-from gradsift.catalog.selection import SHIFTED, fifth, ranked, rated
+from gradsift.catalog.fragments import RANKED, RATER, SCORE, exact_sample, stats, u
+from gradsift.catalog.registry import SQL, query
+from gradsift.catalog.selection import SHIFTED, fifth, ranked
+from gradsift.functions.udfs import mlp_score, register_linear, register_tables, second_moment
 from gradsift.operators import pruning
 from gradsift.operators.batching import split_of
-from gradsift.sources.corpora import number_within, table
+from gradsift.plans.rater import FIXED_MLP
+from gradsift.sources.corpora import number_within, table, text_corpus
 from gradsift.streaming import streams
 
 TOP = "t5 AS (SELECT doc_id FROM r WHERE rank <= (SELECT count(*) // 5 FROM r))"
@@ -276,8 +278,39 @@ def stratified_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(f"WITH {stats()}, s AS (SELECT *, {SCORE} AS score FROM f) SELECT lang, count(*) AS n, round(avg(score), 6) AS mean_score FROM s WHERE score > 0 GROUP BY lang")
 def sql_end_to_end(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rated(spark, sf_dir).createOrReplaceTempView("gradsift_rated")
-    return spark.sql("SELECT lang, count(*) AS n, round(avg(score), 6) AS mean_score FROM gradsift_rated WHERE score > 0 GROUP BY lang")
+    """A temporary view and a SQL function, which the optimizer inlines."""
+    text_corpus(spark, sf_dir).createOrReplaceTempView("gradsift_corpus")
+    register_linear(spark, "gradsift_rate", RATER)
+    return spark.sql("SELECT lang, count(*) AS n, round(avg(gradsift_rate(features)), 6) AS mean_score FROM gradsift_corpus WHERE gradsift_rate(features) > 0 GROUP BY lang")
+
+
+@query(SQL["rate_mlp"])
+def udf_mlp_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The fixed network as a vectorised Python function: the way of networks too large for a plan."""
+    return text_corpus(spark, sf_dir).select("doc_id", F.round(mlp_score(*FIXED_MLP)("features"), 6).alias("score"))
+
+
+@query("SELECT event_type, round(avg(value * value), 4) AS second FROM events GROUP BY event_type")
+def udf_second_moment(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return table(spark, sf_dir, "events").groupBy("event_type").agg(F.round(second_moment("value"), 4).alias("second"))
+
+
+@query("WITH w AS (SELECT p_partkey, string_split(p_name, ' ') AS ws FROM part), p AS (SELECT p_partkey, ws, unnest(range(1, len(ws))) AS i FROM w) SELECT p_partkey, (i - 1)::INT AS pos, ws[i] || ' ' || ws[i + 1] AS gram FROM p")
+def udtf_ngrams(spark: SparkSession, sf_dir: str) -> DataFrame:
+    register_tables(spark)
+    table(spark, sf_dir, "part").select("p_partkey", "p_name").createOrReplaceTempView("gradsift_parts")
+    return spark.sql("SELECT p_partkey, pos, gram FROM gradsift_parts, LATERAL explode_ngrams(p_name, 2)")
+
+
+@query("SELECT k::INT AS step, round(2.0::DOUBLE / (1 + 0.1::DOUBLE * k), 9) AS rate FROM (SELECT unnest(range(0, 10)) AS k)")
+def udtf_unroll_steps(spark: SparkSession, sf_dir: str) -> DataFrame:
+    register_tables(spark)
+    return spark.sql("SELECT step, round(rate, 9) AS rate FROM unroll_steps(10, 2.0D, 0.1D)")
+
+
+@query("SELECT event_id, json_extract_string(props, '$.k')  AS k, len(json_keys(props)) AS n_keys FROM events")
+def fn_json(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return table(spark, sf_dir, "events").select("event_id", F.get_json_object("props", "$.k").alias("k"), F.size(F.json_object_keys("props")).cast("long").alias("n_keys"))
 
 
 @query("SELECT doc_id, row_number() OVER (PARTITION BY lang ORDER BY doc_id) AS nth FROM documents")
