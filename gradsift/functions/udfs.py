@@ -8,12 +8,13 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 def mlp_score(w1: np.ndarray, b1: np.ndarray, w2: np.ndarray, b2: float):
     """A pandas UDF of a network too large for an expression: features -> score."""
 
-    @F.pandas_udf("double")
+    @F.pandas_udf(T.DoubleType())
     def score(features: pd.Series) -> pd.Series:
         if not len(features):
             return pd.Series([], dtype=float)
@@ -23,13 +24,13 @@ def mlp_score(w1: np.ndarray, b1: np.ndarray, w2: np.ndarray, b2: float):
     return score
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def second_moment(v: pd.Series) -> float:
     """Grouped aggregate: mean of squares."""
     return float((v.astype(float) ** 2).mean())
 
 
-@F.udtf(returnType="pos int, gram string")
+@F.udtf(returnType=T.StructType().add("pos", T.IntegerType()).add("gram", T.StringType()))
 class ExplodeNgrams:
     """Word n-grams of a text, with their places. A null text has none."""
 
@@ -39,7 +40,7 @@ class ExplodeNgrams:
             yield i, " ".join(words[i : i + n])
 
 
-@F.udtf(returnType="step int, rate double")
+@F.udtf(returnType=T.StructType().add("step", T.IntegerType()).add("rate", T.DoubleType()))
 class UnrollSteps:
     """Step numbers and learning rates of a schedule base / (1 + decay k)."""
 
