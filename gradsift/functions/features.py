@@ -21,7 +21,7 @@ def text_statistics(text: Column) -> dict[str, Column]:
     t = F.coalesce(text, F.lit(""))
     n = F.char_length(t)
     chars = F.greatest(n, F.lit(1)).cast("double")
-    words = F.filter(F.split(t, "[ \n]"), lambda w: w != "")
+    words = F.array_remove(F.split(F.replace(t, F.lit("\n"), F.lit(" ")), " "), "")
     n_words = F.greatest(F.size(words), F.lit(1)).cast("double")
 
     def share(cls: str) -> Column:

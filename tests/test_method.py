@@ -296,3 +296,52 @@ def test_validation_reports_faults(spark):
 def test_generate_shape():
     g = generate(np.zeros((8, 8)), 3, 20)
     assert g.shape == (3, 20) and g.max() < 8 and bigram_nll(np.zeros((8, 8)))[0, 0] == pytest.approx(math.log(8))
+
+
+def test_adapter_and_full_training_lower_the_loss():
+    from gradsift.plans.downstream import train_adapter, train_bigram
+
+    p, _ = toy(200)
+    start = float(p.losses(np.zeros((8, 8))).mean())
+    _, curve = train_bigram(p, 3, 32, 8.0, 0, p)
+    adapted = train_adapter(p, p, None, 2, 3, 32, 2.0, 0)
+    assert curve[-1][1] < start and adapted[-1][1] < start and [e for e, _ in curve] == [1, 2, 3]
+
+
+def test_fitted_estimator_separates(spark):
+    from gradsift.plans.downstream import fit_estimator
+
+    rng = np.random.default_rng(0)
+    x = rng.normal(size=(400, 2))
+    y = (x @ np.array([2.0, -1.0]) + 0.5 + rng.logistic(size=400) > 0).astype(int)
+    df = spark.createDataFrame([(r.tolist(), int(v)) for r, v in zip(x, y, strict=True)], "f array<double>, y int")
+    w, b = fit_estimator(df, "f", "y")
+    assert w[0] == pytest.approx(2, abs=0.6) and w[1] == pytest.approx(-1, abs=0.5) and b == pytest.approx(0.5, abs=0.5)
+
+
+def test_bilevel_grid_agrees_with_iterated_steps(spark):
+    """The closed form of a candidate against descent on its weighted loss."""
+    rng = np.random.default_rng(1)
+    x = rng.random(60)
+    y = 0.7 * x + 0.1 * rng.normal(size=60)
+    train = spark.createDataFrame([(float(a), float(b)) for a, b in zip(x, y, strict=True)], "x double, y double")
+    grid = spark.createDataFrame([(0, 0.0), (1, 1.5)], "candidate int, c double")
+    got = {r.candidate: r for r in meta.solve_bilevel_grid(train, train, grid).collect()}
+    for k, c in ((0, 0.0), (1, 1.5)):
+        w, theta = np.exp(c * x), 0.0
+        for _ in range(2000):
+            theta -= 0.02 * float(w @ ((theta * x - y) * x)) / len(x)
+        assert got[k].theta == pytest.approx(theta, abs=1e-4)
+    assert sum(r.best for r in got.values()) == 1
+
+
+def test_logistic_and_scale_gradients_by_differences(spark):
+    from gradsift.operators import proxies
+
+    df = spark.createDataFrame([([0.3, -0.7], 1.0), ([1.2, 0.4], 0.0)], "f array<double>, y double")
+    theta, eps = (0.2, -0.5), 1e-5
+    f, y = F.col("f"), F.col("y")
+    g = df.select(proxies.logistic_gradient(f, y, theta).alias("g")).collect()
+    up = df.select(proxies.logistic_loss(f, y, (0.2 + eps, -0.5)).alias("l")).collect()
+    down = df.select(proxies.logistic_loss(f, y, (0.2 - eps, -0.5)).alias("l")).collect()
+    assert [(a.l - b.l) / (2 * eps) for a, b in zip(up, down, strict=True)] == pytest.approx([r.g[0] for r in g], rel=1e-5)
