@@ -19,6 +19,7 @@ from pyspark.sql import types as T
 from gradsift.functions.hashing import hash_uniform
 from gradsift.operators.pruning import ShiftedGaussian, density
 from gradsift.operators.ranking import approx_percentile_of
+from gradsift.sources.staging import shared_dir
 
 
 def file_stream(spark: SparkSession, path: str, per_trigger: int = 1) -> DataFrame:
@@ -134,10 +135,22 @@ def online_rater(path: str, update: Callable[[DataFrame, list[float]], list[floa
 
 
 def drain(sdf: DataFrame, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Runs a stream over what is there and returns the result as a table, by the memory sink."""
-    name = f"drained_{uuid.uuid4().hex}"
-    writer = sdf.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    if checkpoint:
-        writer = writer.option("checkpointLocation", checkpoint)
-    writer.start().awaitTermination()
-    return sdf.sparkSession.table(name)
+    """Runs a stream over what is there and returns the result as a table.
+
+    Each batch is a folder of the shared directory, which a replay overwrites; in complete
+    mode the last one is the result. Nothing passes the driver.
+    """
+    spark = sdf.sparkSession
+    root = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+    last = [-1]
+
+    def write(batch: DataFrame, number: int) -> None:
+        last[0] = number
+        batch.write.mode("overwrite").parquet(f"{root}/rows/batch={number}")
+
+    query = sdf.writeStream.foreachBatch(write).outputMode(mode).trigger(availableNow=True)
+    query.option("checkpointLocation", checkpoint or f"{root}/state").start().awaitTermination()
+    if last[0] < 0:
+        return spark.createDataFrame([], sdf.schema)
+    found = spark.read.schema(sdf.schema)
+    return found.parquet(f"{root}/rows/batch={last[0]}" if mode == "complete" else f"{root}/rows").select(*sdf.columns)
