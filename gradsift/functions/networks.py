@@ -8,8 +8,9 @@ import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-#: Weights that a plan takes as literals; larger networks go through Arrow.
-MAX_LITERALS = 1024
+#: Weights that a plan takes as literals. Each reads its feature's whole expression, which the
+#: optimizer puts in place, so larger networks go through Arrow.
+MAX_LITERALS = 48
 
 
 def dot(features: Column, weights: Sequence[float]) -> Column:

@@ -8,6 +8,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 
 from gradsift.functions import networks
+from gradsift.functions.udfs import mlp_score
 
 #: A small fixed network over six statistics: hidden weights, hidden biases, output weights and bias.
 FIXED_MLP = (
@@ -83,8 +84,10 @@ class Rater:
         return replace(self, **{k: getattr(self, k) - rate * g for k, g in gradient.items()})
 
     def column(self, features: Column) -> Column:
-        """The instance logit as an expression."""
-        return networks.mlp(features, self.w1, self.b1, self.w2, self.b2)
+        """The instance logit: an expression of a small network, else a vectorised function."""
+        if self.w1.size <= networks.MAX_LITERALS:
+            return networks.mlp(features, self.w1, self.b1, self.w2, self.b2)
+        return mlp_score(self.w1, self.b1, self.w2, self.b2)(features)
 
     def row(self, spark: SparkSession, version: str) -> DataFrame:
         flat = {k: np.ravel(getattr(self, k)).tolist() for k in ("w1", "b1", "w2", "b2", "g1", "gb1", "g2", "gb2")}

@@ -170,5 +170,5 @@ class MetaTrainer:
 
 
 def rate_corpus(corpus: DataFrame, rater: Rater, features: str = "features") -> DataFrame:
-    """Adds score, the frozen rater's instance logit: map-only, and inside generated code."""
+    """Adds score, the frozen rater's instance logit: map-only."""
     return corpus.withColumn("score", rater.column(F.col(features)))
