@@ -41,18 +41,20 @@ def _prefix_hashes(turns: Column) -> Column:
 
 def collapse_snapshots(log: DataFrame) -> DataFrame:
     """Maximal conversations: conv_id, turns, and n_copies equal ones. log: conv_id, turn, role, text."""
-    hashed = _turns(log).withColumn("_h", _prefix_hashes(F.col("turns")))
+    turns = _turns(log)
+    hashed = turns.select("conv_id", _prefix_hashes(F.col("turns")).alias("_h"))
     whole = (
-        hashed.select("conv_id", "turns", F.element_at("_h", -1).alias("_w"))
-        .groupBy("_w")
-        .agg(F.min("conv_id").alias("conv_id"), F.count(F.lit(1)).alias("n_copies"), F.any_value("turns").alias("turns"))
+        hashed.select("conv_id", F.element_at("_h", -1).alias("_w")).select("conv_id", "_w.a", "_w.b")
+        .groupBy("a", "b").agg(F.min("conv_id").alias("_kept"), F.count(F.lit(1)).alias("n_copies"))
     )
     inner = (
         hashed.where(F.size("_h") > 1)
         .select(F.explode(F.slice("_h", F.lit(1), F.size("_h") - 1)).alias("_w"))
-        .distinct()
+        .select("_w.a", "_w.b").distinct()
     )
-    return whole.join(inner, "_w", "left_anti").select("conv_id", "turns", "n_copies")
+    # copies meet by hash and id alone; the turns of what is kept come back by id
+    kept = whole.join(inner, ["a", "b"], "left_anti")
+    return turns.join(kept, turns["conv_id"].eqNullSafe(kept["_kept"])).select("conv_id", "turns", "n_copies")
 
 
 def render(conversations: DataFrame, opening: str = "<|{}|>\n", closing: str = "<|end|>\n") -> DataFrame:
