@@ -2,13 +2,18 @@
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from gradsift.functions.hashing import hash32
+from gradsift.sources.staging import staged
+
 
 def fit_estimator(labelled: DataFrame, features: str, label: str, steps: int = 12, ridge: float = 1e-3) -> tuple[list[float], float]:
     """Logistic regression by Newton steps; each is one aggregation of d x d numbers."""
@@ -111,26 +116,96 @@ def train_bigram(p: Profiles, epochs: int, batch: int, rate: float, seed: int, v
     return logits, curve
 
 
-def train_methods(selections: DataFrame, val: DataFrame, vocab: int = 32, epochs: int = 3, batch: int = 64, rate: float = 8.0, seed: int = 42, rank: int = 0, base: np.ndarray | None = None) -> DataFrame:
-    """(method, k, epoch, visits, val_loss): one model a method, in parallel, with equal epochs and batches.
+#: Rows of the largest selection that one task trains on.
+SHARD_ROWS = 10_000
+
+
+def mean_profile(df: DataFrame, text_col: str, vocab: int) -> np.ndarray:
+    """Mean bigram shares of all texts. A model's mean loss over the texts is linear in them."""
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        from gradsift.functions.features import bigram_profile
+
+        n, total = 0, np.zeros(vocab**2)
+        for f in frames:
+            for t in f[text_col]:
+                cells, counts = bigram_profile(t, vocab)
+                total[cells] += counts / max(1, counts.sum())
+            n += len(f)
+        yield pd.DataFrame({"n": [n], "total": [total.tobytes()]})
+
+    n, total = 0, np.zeros(vocab**2)
+    for r in df.select(text_col).mapInPandas(run, "n long, total binary").collect():
+        n, total = n + r["n"], total + np.frombuffer(r["total"])
+    return total / max(1, n)
+
 
-    selections: method, doc_id, text, already bounded by the caller (a training budget);
-    val is broadcast and bounded likewise. rank > 0 trains a low-rank addition to frozen base
-    logits in place of all logits.
+def train_epochs(selections: DataFrame, pool: DataFrame, vocab: int, epochs: int, batch: int, rate: float, seed: int, rank: int = 0, base: np.ndarray | None = None, shard_rows: int = SHARD_ROWS) -> Iterator[tuple[int, dict[str, tuple[int, np.ndarray]]]]:
+    """After each epoch over every row of each selection: (epoch, {method: (rows, logits)}).
+
+    A method's rows are split over shards by hash; each descends from the epoch's common
+    start and the parameters are averaged, weighted by rows. All methods have the number of
+    shards that the largest needs, so a method's steps stay in proportion to its rows; with
+    one shard it is plain sequential descent.
     """
     spark = selections.sparkSession
-    held = with_profiles(val, "doc_id", "text", vocab, []).toPandas()
-    shared = spark.sparkContext.broadcast((list(held["cells"]), list(held["counts"]), base))
+    texts = pool.select("doc_id", "text").join(selections.select("doc_id"), "doc_id", "left_semi")
+    profiles = staged(with_profiles(texts, "doc_id", "text", vocab, []), "profiles")
+    sizes = {r["method"]: r["count"] for r in selections.groupBy("method").count().collect()}
+    shards = max(1, -(-max(sizes.values(), default=0) // shard_rows))
+    rows = profiles.join(selections.select("method", "doc_id"), "doc_id").withColumn("shard", (hash32("doc_id", seed + 1) % shards).cast("int"))
+    rows = rows.repartition("method", "shard").persist(StorageLevel.MEMORY_AND_DISK)
+    frozen = np.zeros((vocab, vocab)) if base is None else base
+    first = (np.random.default_rng(seed).normal(0, 0.3, (vocab, rank)), np.zeros((rank, vocab))) if rank else (frozen,)
+    states = dict.fromkeys(sizes, first)
+
+    def run_epoch(epoch: int, sent):
+        def run(f: pd.DataFrame) -> pd.DataFrame:
+            method, shard = f["method"].iloc[0], int(f["shard"].iloc[0])
+            f = f.sort_values("doc_id")
+            p, now = Profiles(list(f["cells"]), list(f["counts"]), vocab), sent.value[method]
+            own = seed + 1000 * epoch + shard
+            now = adapter_epoch(p, frozen, *now, batch, rate, own) if rank else (train_bigram(p, 1, batch, rate, own, start=now[0])[0],)
+            return pd.DataFrame({"method": [method], "n": [len(p)], "state": [pickle.dumps(now)]})
+
+        return run
+
+    try:
+        for epoch in range(1, epochs + 1):
+            sent = spark.sparkContext.broadcast(states)
+            done = staged(rows.groupBy("method", "shard").applyInPandas(run_epoch(epoch, sent), "method string, n long, state binary"), "epochs")
+            seen, sums = dict.fromkeys(sizes, 0), {m: [np.zeros_like(x) for x in first] for m in sizes}
+            for r in done.toLocalIterator():
+                seen[r["method"]] += r["n"]
+                for total, x in zip(sums[r["method"]], pickle.loads(r["state"]), strict=True):
+                    total += r["n"] * x
+            states = {m: tuple(x / seen[m] for x in sums[m]) for m in sizes}
+            sent.unpersist()
+            yield epoch, {m: (seen[m], frozen + s[0] @ s[1] if rank else s[0]) for m, s in states.items()}
+    finally:
+        rows.unpersist()
+
+
+def train_methods(selections: DataFrame, pool: DataFrame, val: DataFrame, vocab: int = 32, epochs: int = 3, batch: int = 64, rate: float = 8.0, seed: int = 42, rank: int = 0, base: np.ndarray | None = None, shard_rows: int = SHARD_ROWS) -> DataFrame:
+    """(method, k, epoch, visits, val_loss): one model a method, with equal epochs over all its rows and equal batches.
+
+    selections: method, doc_id; pool: doc_id, text. rank > 0 trains a low-rank addition to
+    frozen base logits in place of all logits.
+    """
+    held, curve = mean_profile(val, "text", vocab), []
+    for epoch, models in train_epochs(selections, pool, vocab, epochs, batch, rate, seed, rank, base, shard_rows):
+        curve += [(m, k, epoch, k * epoch, float(held @ bigram_nll(logits).ravel())) for m, (k, logits) in sorted(models.items())]
+    return selections.sparkSession.createDataFrame(curve, "method string, k long, epoch int, visits long, val_loss double")
 
-    def run(f: pd.DataFrame) -> pd.DataFrame:
-        cells, counts, start = shared.value
-        f = f.sort_values("doc_id")
-        p, v = Profiles(list(f["cells"]), list(f["counts"]), vocab), Profiles(cells, counts, vocab)
-        curve = train_adapter(p, v, start, rank, epochs, batch, rate, seed) if rank else train_bigram(p, epochs, batch, rate, seed, v, start)[1]
-        return pd.DataFrame({"method": f["method"].iloc[0], "k": len(p), "epoch": [e for e, _ in curve], "visits": [len(p) * e for e, _ in curve], "val_loss": [x for _, x in curve]})
 
-    rows = with_profiles(selections, "doc_id", "text", vocab, ["method"])
-    return rows.groupBy("method").applyInPandas(run, "method string, k long, epoch int, visits long, val_loss double")
+def adapter_epoch(p: Profiles, base: np.ndarray, a: np.ndarray, b: np.ndarray, batch: int, rate: float, seed: int | np.random.Generator) -> tuple[np.ndarray, np.ndarray]:
+    """One pass over the rows; both factors step from the values before."""
+    order = np.random.default_rng(seed).permutation(len(p))
+    for at in range(0, len(order), batch):
+        own = p.take(order[at : at + batch])
+        g = own.gradient(base + a @ b, np.full(len(own), 1 / len(own)))
+        a, b = a - rate * g @ b.T, b - rate * a.T @ g
+    return a, b
 
 
 def train_adapter(p: Profiles, val: Profiles, base: np.ndarray | None, rank: int, epochs: int, batch: int, rate: float, seed: int) -> list[tuple[int, float]]:
@@ -140,11 +215,7 @@ def train_adapter(p: Profiles, val: Profiles, base: np.ndarray | None, rank: int
     a, b = rng.normal(0, 0.3, (p.vocab, rank)), np.zeros((rank, p.vocab))
     curve = []
     for epoch in range(1, epochs + 1):
-        order = rng.permutation(len(p))
-        for at in range(0, len(order), batch):
-            own = p.take(order[at : at + batch])
-            g = own.gradient(base + a @ b, np.full(len(own), 1 / len(own)))
-            a, b = a - rate * g @ b.T, b - rate * a.T @ g
+        a, b = adapter_epoch(p, base, a, b, batch, rate, rng)
         curve.append((epoch, float(val.losses(base + a @ b).mean())))
     return curve
 

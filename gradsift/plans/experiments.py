@@ -22,8 +22,6 @@ from gradsift.plans.training import MetaConfig, MetaTrainer, TrainState, rate_co
 from gradsift.sources import corpora
 from gradsift.sources.staging import staged
 
-#: Documents of a selection that a downstream model is trained on, at most (by hash).
-TRAIN_BUDGET = 4000
 SHIFTED = ShiftedGaussian()
 _TRAINED: dict[tuple, TrainState] = {}
 
@@ -69,15 +67,9 @@ def stacked(selections: dict[str, DataFrame], columns: list[str]) -> DataFrame:
     return out
 
 
-def trained_on(selections: dict[str, DataFrame], pool: DataFrame, val: DataFrame, budget: int = TRAIN_BUDGET, seed: int = 42, **how) -> DataFrame:
-    """Curves of models trained on at most about budget documents of each selection, by hash.
-
-    Only ids are stacked and cut; the texts of what is left are joined at the end.
-    """
-    stack = staged(stacked(selections, ["doc_id"]), "selections")
-    sizes = stack.groupBy("method").agg(F.count(F.lit(1)).alias("_n"))
-    cut = stack.join(F.broadcast(sizes), "method").where(hash_uniform("doc_id", seed + 5) * F.col("_n") < budget).drop("_n")
-    return train_methods(pool.select("doc_id", "text").join(cut, "doc_id"), val, **how)
+def trained_on(selections: dict[str, DataFrame], pool: DataFrame, val: DataFrame, **how) -> DataFrame:
+    """Curves of models trained on every document of each selection. Only ids are stacked."""
+    return train_methods(staged(stacked(selections, ["doc_id"]), "selections"), pool, val, **how)
 
 
 def as_results(curve: DataFrame, metric: str = "val_loss") -> DataFrame:

@@ -345,3 +345,32 @@ def test_logistic_and_scale_gradients_by_differences(spark):
     up = df.select(proxies.logistic_loss(f, y, (0.2 + eps, -0.5)).alias("l")).collect()
     down = df.select(proxies.logistic_loss(f, y, (0.2 - eps, -0.5)).alias("l")).collect()
     assert [(a.l - b.l) / (2 * eps) for a, b in zip(up, down, strict=True)] == pytest.approx([r.g[0] for r in g], rel=1e-5)
+
+
+def prose(spark, n: int, seed: int = 0):
+    rng = np.random.default_rng(seed)
+    words = np.array("alpha beta gamma delta one two three four red green".split())
+    return spark.createDataFrame([(i, " ".join(words[rng.integers(0, 10, 6)])) for i in range(n)], "doc_id long, text string")
+
+
+def test_downstream_models_train_on_every_row_of_a_selection(spark):
+    from gradsift.plans import downstream, experiments
+
+    docs = prose(spark, 4600)
+    sets = {"full": docs, "half": docs.where("doc_id % 2 = 0")}
+    got = {(r.method, r.epoch): r for r in experiments.trained_on(sets, docs, docs.limit(50), epochs=2).collect()}
+    assert (got["full", 1].k, got["half", 1].k) == (4600, 2300) and got["full", 2].visits == 9200
+    stack = experiments.stacked(sets, ["doc_id"])
+    cut = {(r.method, r.epoch): r for r in downstream.train_methods(stack, docs, docs.limit(50), epochs=2, shard_rows=1600).collect()}
+    assert (cut["full", 1].k, cut["half", 1].k) == (4600, 2300)
+    assert cut["full", 2].val_loss < cut["full", 1].val_loss and cut["full", 2].val_loss < cut["half", 2].val_loss < math.log(32)
+
+
+def test_mean_profile_gives_the_mean_loss(spark):
+    from gradsift.plans import downstream
+
+    docs = prose(spark, 40)
+    held = downstream.with_profiles(docs, "doc_id", "text", 32, []).toPandas()
+    logits = np.random.default_rng(1).normal(size=(32, 32))
+    mean = downstream.Profiles(list(held["cells"]), list(held["counts"]), 32).losses(logits).mean()
+    assert downstream.mean_profile(docs, "text", 32) @ bigram_nll(logits).ravel() == pytest.approx(mean)
