@@ -135,16 +135,16 @@ def exp_proxy_kind(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query()
 def rater_auc_trained(spark: SparkSession, sf_dir: str) -> DataFrame:
     """AUC of the trained rater (gap rule, group part) against quality, over the training pool."""
-    pool = experiments.rate_corpus(pool_text(corpora.train_pool(spark, sf_dir)), experiments.train_rater(spark, sf_dir).rater)
+    pool = experiments.rate_in_batches(pool_text(corpora.train_pool(spark, sf_dir)), experiments.train_rater(spark, sf_dir).rater)
     labels = corpora.table(spark, sf_dir, "labels").select("doc_id", "quality")
-    return auc(pool.select("doc_id", "score").join(labels, "doc_id"), "score", "quality")
+    return auc(pool.join(labels, "doc_id"), "score", "quality")
 
 
 @query()
 def rate_trained(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The whole corpus rated once by the trained rater."""
+    """The whole corpus rated once by the trained rater, instance and group part."""
     rater = experiments.train_rater(spark, sf_dir).rater
-    return experiments.rate_corpus(corpora.text_corpus(spark, sf_dir), rater).select("doc_id", "score")
+    return experiments.rate_in_batches(corpora.text_corpus(spark, sf_dir), rater)
 
 
 

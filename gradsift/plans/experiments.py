@@ -18,7 +18,7 @@ from gradsift.operators.pruning import ShiftedGaussian
 from gradsift.operators.ranking import rank_corpus
 from gradsift.plans.downstream import train_methods
 from gradsift.plans.rater import RaterConfig
-from gradsift.plans.training import MetaConfig, MetaTrainer, TrainState, rate_corpus
+from gradsift.plans.training import MetaConfig, MetaTrainer, TrainState, rate_in_batches
 from gradsift.sources import corpora
 from gradsift.sources.staging import staged
 
@@ -41,8 +41,8 @@ def ranked_pool(spark: SparkSession, sf_dir: str, cfg: MetaConfig = MetaConfig()
 
 
 def rated_ranks(pool: DataFrame, state: TrainState) -> DataFrame:
-    """Texts are read once, for the ratings; what is ranked and written are ids and scores."""
-    ratings = staged(rate_corpus(pool_text(pool.select("doc_id", "text")), state.rater).select("doc_id", "score"))
+    """Texts are read once, for the ratings; what is ranked are ids and scores."""
+    ratings = staged(rate_in_batches(pool_text(pool.select("doc_id", "text")), state.rater))
     return staged(rank_corpus(ratings, "score", "doc_id"), "ranks")
 
 
@@ -197,8 +197,8 @@ def update_rules(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
     for rule in ("gap", "loss"):
         for group in (True, False):
             cfg = MetaConfig(rule=rule, rater=RaterConfig(group=group))
-            pool = rate_corpus(pool_text(corpora.train_pool(spark, sf_dir)), train_rater(spark, sf_dir, cfg).rater)
-            own = measures.auc(pool.select("doc_id", "score").join(labels, "doc_id"), "score", "quality")
+            pool = rate_in_batches(pool_text(corpora.train_pool(spark, sf_dir)), train_rater(spark, sf_dir, cfg).rater)
+            own = measures.auc(pool.join(labels, "doc_id"), "score", "quality")
             row = own.select(F.lit(f"{rule}_{'group' if group else 'alone'}").alias("method"), (F.col("positives") + F.col("negatives")).alias("k"), F.lit("auc").alias("metric"), F.col("auc").alias("value"), F.lit(300 * 64).cast("long").alias("visits"))
             out = row if out is None else out.unionByName(row)
     return out

@@ -84,10 +84,12 @@ class Rater:
         return replace(self, **{k: getattr(self, k) - rate * g for k, g in gradient.items()})
 
     def column(self, features: Column) -> Column:
-        """The instance logit: an expression of a small network, else a vectorised function."""
-        if self.w1.size <= networks.MAX_LITERALS:
-            return networks.mlp(features, self.w1, self.b1, self.w2, self.b2)
-        return mlp_score(self.w1, self.b1, self.w2, self.b2)(features)
+        """The instance logit."""
+        return _network(features, self.w1, self.b1, self.w2, self.b2)
+
+    def batch_column(self, descriptor: Column) -> Column:
+        """The batch logit of a descriptor."""
+        return _network(descriptor, self.g1, self.gb1, self.g2, self.gb2)
 
     def row(self, spark: SparkSession, version: str) -> DataFrame:
         flat = {k: np.ravel(getattr(self, k)).tolist() for k in ("w1", "b1", "w2", "b2", "g1", "gb1", "g2", "gb2")}
@@ -102,6 +104,11 @@ class Rater:
         return Rater(arrays["w1"].reshape(h, -1), arrays["b1"], arrays["w2"], r["b2"][0], arrays["g1"].reshape(h, -1), arrays["gb1"], arrays["g2"], r["gb2"][0], r["group"])
 
 
+def _network(x: Column, w1: np.ndarray, b1: np.ndarray, w2: np.ndarray, b2: float) -> Column:
+    """An expression of a small network, else a vectorised function."""
+    return networks.mlp(x, w1, b1, w2, b2) if w1.size <= networks.MAX_LITERALS else mlp_score(w1, b1, w2, b2)(x)
+
+
 def average(raters: list[tuple[int, Rater]]) -> Rater:
     """Parameters' mean, weighted by sample counts."""
     total = sum(n for n, _ in raters)

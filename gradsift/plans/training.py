@@ -18,8 +18,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gradsift.functions.hashing import hash32, hash_uniform
+from gradsift.functions.networks import sigmoid
+from gradsift.operators.batching import assign_batches
+from gradsift.operators.rating import batch_descriptor, rate
 from gradsift.plans.downstream import Profiles, with_profiles
 from gradsift.plans.rater import Rater, RaterConfig, average
+from gradsift.sources.staging import staged
 
 
 @dataclass(frozen=True)
@@ -172,3 +176,18 @@ class MetaTrainer:
 def rate_corpus(corpus: DataFrame, rater: Rater, features: str = "features") -> DataFrame:
     """Adds score, the frozen rater's instance logit: map-only."""
     return corpus.withColumn("score", rater.column(F.col(features)))
+
+
+def rate_in_batches(corpus: DataFrame, rater: Rater, id_col: str = "doc_id", features: str = "features", size: int = MetaConfig.batch) -> DataFrame:
+    """(id, score): the instance logit and, with a group part, the log of the batch weight.
+
+    Batches are fixed by hash and have the size of the training's in the mean; what meets in
+    them are features, not texts.
+    """
+    rows = staged(corpus.select(id_col, features, rater.column(F.col(features)).alias("raw")), "logits")
+    if not rater.group:
+        return rate(rows, "raw").select(id_col, "score")
+    rows = assign_batches(rows, id_col, size)
+    weight = sigmoid(rater.batch_column(F.col("descriptor"))).alias("batch_weight")
+    batches = batch_descriptor(rows, features, rater.w1.shape[1]).select("batch_id", weight)
+    return rate(rows, "raw", "logit_group", batches).select(id_col, "score")

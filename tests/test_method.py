@@ -374,3 +374,23 @@ def test_mean_profile_gives_the_mean_loss(spark):
     logits = np.random.default_rng(1).normal(size=(32, 32))
     mean = downstream.Profiles(list(held["cells"]), list(held["counts"]), 32).losses(logits).mean()
     assert downstream.mean_profile(docs, "text", 32) @ bigram_nll(logits).ravel() == pytest.approx(mean)
+
+
+def test_trained_scores_hold_the_group_part(spark):
+    from dataclasses import replace
+
+    from gradsift.functions.features import pool_text
+    from gradsift.operators.batching import assign_batches
+    from gradsift.plans.experiments import rated_ranks
+
+    rng = np.random.default_rng(5)
+    rater = replace(Rater.start(RaterConfig(seed=2)), w2=rng.normal(size=16), g2=rng.normal(size=16), gb2=0.3)
+    docs = prose(spark, 150)
+    got = {r.doc_id: r.score for r in rated_ranks(docs, TrainState(None, None, rater)).collect()}
+    own = assign_batches(pool_text(docs), "doc_id").select("doc_id", "batch_id", "features").toPandas()
+    for _, f in own.groupby("batch_id"):
+        x = np.array(f["features"].tolist())
+        want = rater.raw(x) + np.log(rater.batch_weight(x))
+        assert [got[i] for i in f["doc_id"]] == pytest.approx(want.tolist())
+    alone = {r.doc_id: r.score for r in rated_ranks(docs, TrainState(None, None, replace(rater, group=False))).collect()}
+    assert len(got) == len(alone) == 150 and max(abs(got[i] - alone[i]) for i in got) > 0.01
