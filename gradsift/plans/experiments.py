@@ -18,7 +18,7 @@ from gradsift.operators.pruning import ShiftedGaussian
 from gradsift.operators.ranking import rank_corpus
 from gradsift.plans.downstream import train_methods
 from gradsift.plans.rater import RaterConfig
-from gradsift.plans.training import MetaConfig, MetaTrainer, TrainState, rate_in_batches
+from gradsift.plans.training import MetaConfig, MetaTrainer, TrainState, rate_in_batches, shards_for
 from gradsift.sources import corpora
 from gradsift.sources.staging import staged
 
@@ -26,8 +26,8 @@ SHIFTED = ShiftedGaussian()
 _TRAINED: dict[tuple, TrainState] = {}
 
 
-def train_rater(spark: SparkSession, sf_dir: str, cfg: MetaConfig = MetaConfig(), shards: int = 1, rounds: int = 1) -> TrainState:
-    """Trained once for a table and a configuration, and used by every experiment after."""
+def train_rater(spark: SparkSession, sf_dir: str, cfg: MetaConfig = MetaConfig(), shards: int = 0, rounds: int = 5) -> TrainState:
+    """Trained on all rows, once for a table and a configuration, and used by every experiment after."""
     key = (sf_dir, repr(cfg), shards, rounds)
     if key not in _TRAINED:
         pool, val = pool_text(corpora.train_pool(spark, sf_dir)), corpora.wanted(spark, sf_dir)
@@ -35,6 +35,11 @@ def train_rater(spark: SparkSession, sf_dir: str, cfg: MetaConfig = MetaConfig()
     return _TRAINED[key]
 
 
+def rater_visits(n: int, cfg: MetaConfig = MetaConfig()) -> int:
+    """Training rows that all shards' steps visit."""
+    return shards_for(cfg, n) * cfg.steps * cfg.batch
+
+
 def ranked_pool(spark: SparkSession, sf_dir: str, cfg: MetaConfig = MetaConfig()) -> DataFrame:
     """The training pool, ranked by a trained rater: doc_id, score, rank, pct."""
     return rated_ranks(corpora.train_pool(spark, sf_dir), train_rater(spark, sf_dir, cfg))
@@ -194,12 +199,13 @@ def training_trend(spark: SparkSession, sf_dir: str, seed: int = 42, epochs: int
 def update_rules(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
     """Gap and loss rules, with and without the group part: AUC against quality, last batch weight."""
     labels, out = corpora.table(spark, sf_dir, "labels").select("doc_id", "quality"), None
+    visits = rater_visits(corpora.train_pool(spark, sf_dir).select("doc_id").count())
     for rule in ("gap", "loss"):
         for group in (True, False):
             cfg = MetaConfig(rule=rule, rater=RaterConfig(group=group))
             pool = rate_in_batches(pool_text(corpora.train_pool(spark, sf_dir)), train_rater(spark, sf_dir, cfg).rater)
             own = measures.auc(pool.join(labels, "doc_id"), "score", "quality")
-            row = own.select(F.lit(f"{rule}_{'group' if group else 'alone'}").alias("method"), (F.col("positives") + F.col("negatives")).alias("k"), F.lit("auc").alias("metric"), F.col("auc").alias("value"), F.lit(300 * 64).cast("long").alias("visits"))
+            row = own.select(F.lit(f"{rule}_{'group' if group else 'alone'}").alias("method"), (F.col("positives") + F.col("negatives")).alias("k"), F.lit("auc").alias("metric"), F.col("auc").alias("value"), F.lit(visits).cast("long").alias("visits"))
             out = row if out is None else out.unionByName(row)
     return out
 
@@ -207,7 +213,7 @@ def update_rules(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
 def amortisation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sample visits of the rater, once, against those of the downstream runs that use it."""
     n = corpora.train_pool(spark, sf_dir).select("doc_id").agg(F.count(F.lit(1)).alias("n"))
-    rater = MetaConfig().steps * MetaConfig().batch * 2
+    rater = rater_visits(n.first()["n"]) * 2
     down = sum(int(x) for x in (3 * 3, 3 * 2, 1))
     return n.select(F.lit(rater).cast("long").alias("rater_visits"), (F.col("n") / 5 * down).cast("long").alias("downstream_visits")).withColumn("share", F.col("rater_visits") / F.col("downstream_visits"))
 

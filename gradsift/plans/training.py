@@ -1,10 +1,10 @@
 """The vectorised meta-gradient engine.
 
-One NumPy kernel runs the unrolled scheme on a bounded hash sample: warm-up of the reference
-proxy on training data, hand-over, then joint steps of the primary proxy (weighted training
-and validation gradients), the reference (training only) and the rater. Shards run in
-parallel for a round and their parameters are averaged, weighted by samples; one shard is
-plain sequential descent. The cost doesn't depend on the corpus.
+One NumPy kernel runs the unrolled scheme on every row: warm-up of the reference proxy on
+training data, hand-over, then joint steps of the primary proxy (weighted training and
+validation gradients), the reference (training only) and the rater. The rows are split over
+shards, whose number grows with the corpus; they run in parallel for a round and their
+parameters are averaged, weighted by samples. One shard is plain sequential descent.
 """
 
 from __future__ import annotations
@@ -17,7 +17,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gradsift.functions.hashing import hash32, hash_uniform
+from gradsift.functions.hashing import hash32
 from gradsift.functions.networks import sigmoid
 from gradsift.operators.batching import assign_batches
 from gradsift.operators.rating import batch_descriptor, rate
@@ -98,78 +98,91 @@ def meta_step(state: TrainState, p: Profiles, x: np.ndarray, val: Profiles, cfg:
     return TrainState(theta, theta_hat, rater, state.step + 1, 0.9 * state.mean_mult + 0.1 * mean), row
 
 
-def _batches(p: Profiles, x: np.ndarray, size: int, n: int, seed: int):
-    rng, order, at = np.random.default_rng(seed), np.zeros(0, dtype=int), 0
+def _batches(p: Profiles, x: np.ndarray, size: int, n: int, seed: int, skip: int = 0):
+    """n batches after the first skip ones; rows left over at the end of a pass come first in the next."""
+    rng, order = np.random.default_rng(seed), np.zeros(0, dtype=int)
     size = min(size, len(p))
-    for _ in range(n):
-        if at + size > len(order):
-            order, at = rng.permutation(len(p)), 0
-        own = order[at : at + size]
-        at += size
-        yield p.take(own), x[own]
+    for k in range(skip + n):
+        if len(order) < size:
+            order = np.concatenate([order, rng.permutation(len(p))])
+        own, order = order[:size], order[size:]
+        if k >= skip:
+            yield p.take(own), x[own]
 
 
-def run_steps(state: TrainState, p: Profiles, x: np.ndarray, val: Profiles, cfg: MetaConfig, steps: int, seed: int) -> tuple[TrainState, list[dict]]:
+def run_steps(state: TrainState, p: Profiles, x: np.ndarray, val: Profiles, cfg: MetaConfig, steps: int, seed: int, skip: int = 0) -> tuple[TrainState, list[dict]]:
     log = []
-    own = _batches(p, x, cfg.batch, steps, seed)
-    of_val = _batches(val, np.zeros((len(val), 1)), cfg.batch, steps, seed + 1)
+    own = _batches(p, x, cfg.batch, steps, seed, skip)
+    of_val = _batches(val, np.zeros((len(val), 1)), cfg.batch, steps, seed + 1, skip)
     for (b, f), (v, _) in zip(own, of_val, strict=True):
         state, row = meta_step(state, b, f, v, cfg)
         log.append(row)
     return state, log
 
 
-def _shard_round(cfg: MetaConfig, id_col: str, held, sent, r: int, steps: int):
-    """The function that one shard runs in round r."""
+def _shard_round(cfg: MetaConfig, id_col: str, sent, r: int, skip: int, steps: int):
+    """The function that one shard runs in round r, going on where its last round's batches ended."""
 
-    def train(f: pd.DataFrame) -> pd.DataFrame:
-        f = f.sort_values(id_col)
+    def train(f: pd.DataFrame, held: pd.DataFrame) -> pd.DataFrame:
+        if not len(f):
+            return pd.DataFrame({"shard": pd.Series(dtype="int32"), "n": pd.Series(dtype="int64"), "state": pd.Series(dtype=object), "log": pd.Series(dtype=object)})
+        f, held = f.sort_values(id_col), held.sort_values(id_col)
         p, x = Profiles(list(f["cells"]), list(f["counts"]), cfg.vocab), np.array(f["features"].tolist())
-        v, now = Profiles(*held.value, cfg.vocab), sent.value
-        seed = cfg.seed + 1000 * r + int(f["shard"].iloc[0])
+        v, now = Profiles(list(held["cells"]), list(held["counts"]), cfg.vocab), sent.value
+        shard = int(f["shard"].iloc[0])
+        seed = cfg.seed + 1000 * shard
         if r == 0:
             now = warm_up(now, _batches(p, x, cfg.batch, cfg.warmup_steps, seed), cfg)
-        now, rows = run_steps(now, p, x, v, cfg, steps, seed)
-        return pd.DataFrame({"n": [len(p)], "state": [pickle.dumps(now)], "log": [pickle.dumps(rows)]})
+        now, rows = run_steps(now, p, x, v, cfg, steps, seed, skip)
+        return pd.DataFrame({"shard": [shard], "n": [len(p)], "state": [pickle.dumps(now)], "log": [pickle.dumps(rows)]})
 
     return train
 
 
+def shards_for(cfg: MetaConfig, n: int) -> int:
+    """As many as let a shard's steps visit each of its rows twice in the mean, so once for certain."""
+    return max(1, -(-2 * n // (cfg.steps * cfg.batch)))
+
+
 class MetaTrainer:
-    """Trains a rater for a corpus and a validation set.
+    """Trains a rater for a corpus and a validation set, on every row of both.
 
-    corpus: id, text, features; val: id, text. max_rows and max_val bound the samples, which
-    are chosen by hash, so that a run can be repeated.
+    corpus: id, text, features; val: id, text. shards: their number, 0 for shards_for. Each
+    shard has a part of the validation set, of about a batch at least; parts are repeated
+    where there are more shards.
     """
 
-    def __init__(self, cfg: MetaConfig = MetaConfig(), shards: int = 1, rounds: int = 1, max_rows: int = 20_000, max_val: int = 2_000):
-        self.cfg, self.shards, self.rounds, self.max_rows, self.max_val = cfg, shards, rounds, max_rows, max_val
-
-    def _bounded(self, df: DataFrame, limit: int, id_col: str) -> DataFrame:
-        n = df.count()
-        return df if n <= limit else df.where(hash_uniform(id_col, self.cfg.seed) < limit / n)
+    def __init__(self, cfg: MetaConfig = MetaConfig(), shards: int = 1, rounds: int = 1):
+        self.cfg, self.shards, self.rounds = cfg, shards, rounds
 
     def run(self, corpus: DataFrame, val: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[TrainState, pd.DataFrame]:
         cfg, spark = self.cfg, corpus.sparkSession
-        held = with_profiles(self._bounded(val, self.max_val, id_col), id_col, text_col, cfg.vocab, []).orderBy(id_col).toPandas()
-        shared = spark.sparkContext.broadcast((list(held["cells"]), list(held["counts"])))
-        rows = with_profiles(self._bounded(corpus, self.max_rows, id_col), id_col, text_col, cfg.vocab, ["features"])
-        rows = rows.withColumn("shard", (hash32(id_col, cfg.seed + 1) % self.shards).cast("int")).persist()
-        state, log = TrainState.start(cfg), []
+        rows = staged(with_profiles(corpus, id_col, text_col, cfg.vocab, ["features"]), "profiles")
+        held = staged(with_profiles(val, id_col, text_col, cfg.vocab, []), "held")
+        shards = self.shards or shards_for(cfg, rows.count())
+        # twice a batch in the mean leaves no part empty
+        parts = min(shards, max(1, held.count() // (2 * cfg.batch)))
+        part = (hash32(id_col, cfg.seed + 2) % parts).cast("int")
+        rows = rows.withColumn("shard", (hash32(id_col, cfg.seed + 1) % shards).cast("int")).repartition("shard").persist()
+        held = held.withColumn("shard", F.explode(F.sequence(part, F.lit(shards - 1), F.lit(parts)))).repartition("shard").persist()
+        state, log, done = TrainState.start(cfg), [], 0
         per_round = -(-cfg.steps // self.rounds)
         for r in range(self.rounds):
             sent = spark.sparkContext.broadcast(state)
-            train = _shard_round(cfg, id_col, shared, sent, r, per_round)
-            got = rows.groupBy("shard").applyInPandas(train, "n long, state binary, log binary").toPandas()
+            train = _shard_round(cfg, id_col, sent, r, done, per_round)
+            both = rows.groupBy("shard").cogroup(held.groupBy("shard"))
+            got = both.applyInPandas(train, "shard int, n long, state binary, log binary").toPandas().sort_values("shard")
             states = [(n, pickle.loads(s)) for n, s in zip(got["n"], got["state"], strict=True)]
             total = sum(n for n, _ in states)
             state = TrainState(
                 sum(n * s.theta for n, s in states) / total, sum(n * s.theta_hat for n, s in states) / total,
                 average([(n, s.rater) for n, s in states]), states[0][1].step, sum(n * s.mean_mult for n, s in states) / total,
             )
-            log += [x | {"shard": i} for i, blob in enumerate(got["log"]) for x in pickle.loads(blob)]
+            log += [x | {"shard": i} for i, blob in zip(got["shard"], got["log"], strict=True) for x in pickle.loads(blob)]
             sent.unpersist()
+            done += per_round
         rows.unpersist()
+        held.unpersist()
         return state, pd.DataFrame(log)
 
 

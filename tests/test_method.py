@@ -394,3 +394,26 @@ def test_trained_scores_hold_the_group_part(spark):
         assert [got[i] for i in f["doc_id"]] == pytest.approx(want.tolist())
     alone = {r.doc_id: r.score for r in rated_ranks(docs, TrainState(None, None, replace(rater, group=False))).collect()}
     assert len(got) == len(alone) == 150 and max(abs(got[i] - alone[i]) for i in got) > 0.01
+
+
+def test_batches_go_on_and_leave_no_row_out():
+    from gradsift.plans.training import _batches
+
+    p, x = Profiles([np.array([i]) for i in range(10)], [np.array([1])] * 10, 4), np.arange(10.0)[:, None]
+    all_at_once = [b[:, 0].tolist() for _, b in _batches(p, x, 4, 6, 0)]
+    assert all_at_once == [b[:, 0].tolist() for s in (0, 2, 4) for _, b in _batches(p, x, 4, 2, 0, s)]
+    assert {v for b in all_at_once[:3] for v in b} == set(range(10))
+
+
+def test_rater_trains_on_every_row(spark, monkeypatch):
+    from gradsift.functions.features import pool_text
+    from gradsift.plans import training
+
+    docs = pool_text(prose(spark, 20_500))
+    cfg = MetaConfig(rater=RaterConfig(hidden=2))
+    seen = []
+    average_of = training.average
+    monkeypatch.setattr(training, "average", lambda states: seen.append([n for n, _ in states]) or average_of(states))
+    _, log = training.MetaTrainer(cfg, shards=0, rounds=2).run(docs.select("doc_id", "text", "features"), prose(spark, 2300, 1))
+    assert [sum(s) for s in seen] == [20_500, 20_500] and len(seen[0]) == training.shards_for(cfg, 20_500) == 3
+    assert max(seen[0]) <= cfg.steps * cfg.batch and len(log) == 900
