@@ -268,19 +268,11 @@ def generated_features(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def exp_dynamics_trained(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Loss and gradient norm of probe documents across the ranking, while a proxy trains on them."""
-    import pandas as pd
-
+    """Loss and gradient norm of all pool documents across the ranking, while a proxy trains on the pool."""
     from gradsift.plans import downstream, experiments
 
-    picked = measures.sample_across_ranges(experiments.ranked_pool(spark, sf_dir), 50, "doc_id")
-    probed = corpora.table(spark, sf_dir, "documents").select("doc_id", "text").join(picked.select("doc_id", "pct"), "doc_id")
-    probe = downstream.with_profiles(probed, "doc_id", "text", 32, ["pct"]).orderBy("doc_id").toPandas()
-    p, rows, model = downstream.Profiles(list(probe["cells"]), list(probe["counts"]), 32), [], None
-    for epoch in range(6):
-        if epoch:
-            model, _ = downstream.train_bigram(p, 1, 64, 8.0, 42 + epoch, start=model)
-        now = np.zeros((32, 32)) if model is None else model
-        rows.append(pd.DataFrame({"doc_id": probe["doc_id"], "epoch": epoch, "loss": p.losses(now), "grad_norm": p.norms(now)}))
-    traced = spark.createDataFrame(pd.concat(rows))
-    return measures.dynamics_by_range(traced, spark.createDataFrame(probe[["doc_id", "pct"]]), "doc_id")
+    ranks, pool = experiments.ranked_pool(spark, sf_dir), corpora.train_pool(spark, sf_dir).select("doc_id", "text")
+    everything = ranks.select(F.lit("pool").alias("method"), "doc_id")
+    models = [np.zeros((32, 32))]
+    models += [m["pool"][1] for _, m in downstream.train_epochs(everything, pool, 32, 5, 64, 8.0, 42)]
+    return measures.dynamics_by_range(downstream.traces(pool, models, 32), ranks, "doc_id")

@@ -103,6 +103,19 @@ def with_profiles(df: DataFrame, id_col: str, text_col: str, vocab: int, keep: l
     return df.select(id_col, *keep, text_col).mapInPandas(run, f"{kinds}cells array<long>, counts array<long>")
 
 
+def traces(df: DataFrame, models: list[np.ndarray], vocab: int) -> DataFrame:
+    """(doc_id, epoch, loss, grad_norm) of every text under each epoch's model: map-only."""
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for f in frames:
+            p = Profiles(list(f["cells"]), list(f["counts"]), vocab)
+            for epoch, logits in enumerate(models):
+                yield pd.DataFrame({"doc_id": f["doc_id"], "epoch": epoch, "loss": p.losses(logits), "grad_norm": p.norms(logits)})
+
+    kind = df.schema["doc_id"].dataType.simpleString()
+    return with_profiles(df, "doc_id", "text", vocab, []).mapInPandas(run, f"doc_id {kind}, epoch int, loss double, grad_norm double")
+
+
 def train_bigram(p: Profiles, epochs: int, batch: int, rate: float, seed: int, val: Profiles | None = None, start: np.ndarray | None = None) -> tuple[np.ndarray, list[tuple[int, float]]]:
     """Minibatch descent from uniform logits; the validation loss after each epoch."""
     logits = np.zeros((p.vocab, p.vocab)) if start is None else start.copy()

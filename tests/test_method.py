@@ -417,3 +417,24 @@ def test_rater_trains_on_every_row(spark, monkeypatch):
     _, log = training.MetaTrainer(cfg, shards=0, rounds=2).run(docs.select("doc_id", "text", "features"), prose(spark, 2300, 1))
     assert [sum(s) for s in seen] == [20_500, 20_500] and len(seen[0]) == training.shards_for(cfg, 20_500) == 3
     assert max(seen[0]) <= cfg.steps * cfg.batch and len(log) == 900
+
+
+def test_dynamics_trace_every_pool_document(spark, monkeypatch):
+    from gradsift.catalog.measures import exp_dynamics_trained
+    from gradsift.plans import downstream
+    from gradsift.sources import corpora
+
+    sf = "/root/testdata/sf0.01"
+    trained, traced, by_range, epochs_of = [], [], measures.dynamics_by_range, downstream.train_epochs
+
+    def epochs(selections, *args):
+        for epoch, models in epochs_of(selections, *args):
+            trained.append(models["pool"][0])
+            yield epoch, models
+
+    monkeypatch.setattr(downstream, "train_epochs", epochs)
+    monkeypatch.setattr(measures, "dynamics_by_range", lambda t, *rest: traced.append(t.count()) or by_range(t, *rest))
+    rows = exp_dynamics_trained(spark, sf).collect()
+    n = corpora.train_pool(spark, sf).count()
+    assert n > 500 and trained == [n] * 5 and traced == [6 * n]
+    assert len(rows) == 10 and all(r.loss_slope < 0 for r in rows)
