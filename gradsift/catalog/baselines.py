@@ -14,6 +14,7 @@ from gradsift.functions import heuristics
 from gradsift.operators import pruning
 from gradsift.operators.ranking import rank_corpus
 from gradsift.operators.rating import combine_scores
+from gradsift.plans.experiments import heuristic_ranks, three_ways
 from gradsift.sources.corpora import raster_corpus, table, text_corpus
 
 
@@ -78,11 +79,7 @@ def score_text_standins(spark: SparkSession, sf_dir: str) -> DataFrame:
     SELECT doc_id, round(count(*) FILTER (df <= 3)::DOUBLE / count(*), 6) AS rare_share FROM w JOIN d USING (w) GROUP BY doc_id""")
 def score_rare_words(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The text stand-in of the frequency metric: share of words that at most three documents have."""
-    words = table(spark, sf_dir, "documents").select("doc_id", F.explode(F.filter(F.split(F.lower("text"), "[ \n]"), lambda w: w != "")).alias("w"))
-    held = words.groupBy("doc_id", "w").agg(F.count(F.lit(1)).alias("n"))
-    df = held.groupBy("w").agg(F.count(F.lit(1)).alias("df"))
-    rare = F.sum(F.when(F.col("df") <= 3, F.col("n")).otherwise(0))
-    return held.join(df, "w").groupBy("doc_id").agg(F.round(rare / F.sum("n"), 6).alias("rare_share"))
+    return heuristics.rare_word_share(table(spark, sf_dir, "documents")).select("doc_id", F.round("rare_share", 6).alias("rare_share"))
 
 
 @query(f"WITH {stats()} SELECT doc_id FROM f WHERE round(1 / (1 + exp(-({_AES}))), 9) >= 0.5")
@@ -119,13 +116,9 @@ def best_heuristic(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per heuristic, three ways to prune, held against the labels; the best is marked."""
     labels = table(spark, sf_dir, "labels").select("doc_id", "quality")
     corpus = text_corpus(spark, sf_dir)
-    metrics = {
-        "aesthetic": heuristics.aesthetic(F.col("features")), "clarity": heuristics.text_clarity(F.col("text")), "edges": heuristics.text_edges(F.col("text")),
-    }
     out = None
-    for name, score in metrics.items():
-        r = rank_corpus(corpus.select("doc_id", score.alias("score")), "score", "doc_id")
-        for way, kept in (("top", pruning.prune_block(r, 0.0, 0.5)), ("middle", pruning.prune_block(r, 0.25, 0.5)), ("trimmed", pruning.prune_trimmed(r, 0.5))):
+    for name, r in heuristic_ranks(corpus).items():
+        for way, kept in three_ways(r).items():
             row = kept.join(labels, "doc_id").agg(F.avg("quality").alias("value")).select(F.lit(name).alias("metric"), F.lit(way).alias("pruning"), "value")
             out = row if out is None else out.unionByName(row)
     best = out.groupBy("metric").agg(F.max("value").alias("_top"))

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from gradsift.functions.networks import sigmoid
@@ -99,3 +99,12 @@ def text_edges(text: Column) -> Column:
     t = F.coalesce(text, F.lit(""))
     n = F.char_length(t)
     return F.when(n > 0, (n - F.char_length(F.regexp_replace(t, "[\n.,;:!?]", ""))) / n).otherwise(F.lit(0.0))
+
+
+def rare_word_share(docs: DataFrame) -> DataFrame:
+    """(doc_id, rare_share): the text stand-in of the frequency metric, the share of words that at most three documents have."""
+    words = docs.select("doc_id", F.explode(F.filter(F.split(F.lower("text"), "[ \n]"), lambda w: w != "")).alias("w"))
+    held = words.groupBy("doc_id", "w").agg(F.count(F.lit(1)).alias("n"))
+    df = held.groupBy("w").agg(F.count(F.lit(1)).alias("df"))
+    rare = F.sum(F.when(F.col("df") <= 3, F.col("n")).otherwise(0))
+    return held.join(df, "w").groupBy("doc_id").agg((rare / F.sum("n")).alias("rare_share"))

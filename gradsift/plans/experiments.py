@@ -104,20 +104,40 @@ def random_and_shifted(ranked: DataFrame, k: int, seed: int, suffix: str = "") -
     }
 
 
+def heuristic_ranks(corpus: DataFrame) -> dict[str, DataFrame]:
+    """The corpus (doc_id, text, features) ranked by each of the four heuristics."""
+    f = F.col("features")
+    scores = staged(corpus.select(
+        "doc_id", heuristics.aesthetic(f).alias("aesthetic"), heuristics.text_clarity(F.col("text")).alias("clarity"), heuristics.text_edges(F.col("text")).alias("edges"),
+    ))
+    # a document without words has no rare one
+    rare = staged(scores.select("doc_id").join(heuristics.rare_word_share(corpus), "doc_id", "left").select("doc_id", F.coalesce("rare_share", F.lit(0.0)).alias("frequency")))
+    sources = {"aesthetic": scores, "clarity": scores, "frequency": rare, "edges": scores}
+    return {name: staged(rank_corpus(df.select("doc_id", F.col(name).alias("score")), "score", "doc_id"), "ranks") for name, df in sources.items()}
+
+
+def three_ways(ranked: DataFrame) -> dict[str, DataFrame]:
+    """Half of a ranking: its top, its middle, and what is left between trimmed ends."""
+    return {"top": pruning.prune_block(ranked, 0.0, 0.5), "middle": pruning.prune_block(ranked, 0.25, 0.5), "trimmed": pruning.prune_trimmed(ranked, 0.5)}
+
+
 def comparison(spark: SparkSession, sf_dir: str, seed: int = 42, epochs: int = 3) -> DataFrame:
-    """Full, random, the four heuristics at half, and the method at a fifth and a half."""
+    """Full, random, the four heuristics at half, each by the pruning that is best for it, and the method at a fifth and a half."""
     pool, val, ranked = corpora.train_pool(spark, sf_dir), corpora.wanted(spark, sf_dir), ranked_pool(spark, sf_dir)
-    n, f = ranked.count(), F.col("features")
-    scores = staged(pool_text(pool).select(
-        "doc_id", heuristics.aesthetic(f).alias("aesthetic"), heuristics.text_clarity(F.col("text")).alias("clarity"),
-        f[2].alias("frequency"), heuristics.text_edges(F.col("text")).alias("edges"),
-    ))
+    n = ranked.count()
     sets = {"full": ranked, "random": pruning.prune_random(ranked, n // 2, "doc_id", seed)}
-    for name in ("aesthetic", "clarity", "frequency", "edges"):
-        sets[name] = pruning.prune_top_k(rank_corpus(scores.select("doc_id", name), name, "doc_id"), n // 2)
+    for name, r in heuristic_ranks(pool_text(pool)).items():
+        # at half, the middle and the trimmed are the same rows
+        sets |= {f"{name}_{way}": kept for way, kept in three_ways(r).items() if way != "trimmed"}
     for share in (20, 50):
         sets[f"shifted_{share}"] = pruning.prune_shifted_gaussian(ranked, n * share // 100, "doc_id", SHIFTED, seed=seed)
-    return as_results(trained_on(sets, pool, val, epochs=epochs)).unionByName(text_moments(sets, pool, val))
+    results = as_results(trained_on(sets, pool, val, epochs=epochs))
+    losses = {r["method"]: r["value"] for r in results.collect()}
+    kept = set(sets)
+    for name in ("aesthetic", "clarity", "frequency", "edges"):
+        ways = [m for m in sets if m.startswith(f"{name}_")]
+        kept -= set(ways) - {min(ways, key=lambda m: (losses.get(m, float("inf")), m))}
+    return results.where(F.col("method").isin(sorted(kept))).unionByName(text_moments({m: df for m, df in sets.items() if m in kept}, pool, val))
 
 
 def pruning_comparison(spark: SparkSession, sf_dir: str, seed: int = 42, ratio: float = 0.2, epochs: int = 3) -> DataFrame:

@@ -438,3 +438,25 @@ def test_dynamics_trace_every_pool_document(spark, monkeypatch):
     n = corpora.train_pool(spark, sf).count()
     assert n > 500 and trained == [n] * 5 and traced == [6 * n]
     assert len(rows) == 10 and all(r.loss_slope < 0 for r in rows)
+
+
+def test_comparison_takes_rare_words_and_the_best_pruning(spark, monkeypatch):
+    from gradsift.functions.features import pool_text
+    from gradsift.plans import experiments
+
+    docs = spark.createDataFrame([(1, "a a b"), (2, "a b c"), (3, "a b"), (4, "a b"), (5, "a d d d")], "doc_id long, text string")
+    ranks = experiments.heuristic_ranks(pool_text(docs))
+    assert set(ranks) == {"aesthetic", "clarity", "frequency", "edges"}
+    assert {r.doc_id: round(r.score, 6) for r in ranks["frequency"].collect()} == {1: 0.0, 2: 0.333333, 3: 0.0, 4: 0.0, 5: 0.75}
+
+    trained = []
+
+    def fake(sets, *_, **__):
+        trained.extend(sets)
+        rows = [(m, 1, 1, 1, 1.0 if m.endswith("_middle") else 2.0) for m in sets]
+        return spark.createDataFrame(rows, "method string, k long, epoch int, visits long, val_loss double")
+
+    monkeypatch.setattr(experiments, "trained_on", fake)
+    got = {r.method for r in experiments.comparison(spark, "/root/testdata/sf0.001").collect()}
+    assert {"frequency_top", "frequency_middle"} <= set(trained)
+    assert got == {"full", "random", "shifted_20", "shifted_50"} | {f"{m}_middle" for m in ranks}
