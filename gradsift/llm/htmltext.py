@@ -3,9 +3,10 @@
 A page is read once into blocks of text, each with its root-to-leaf path of tags. For each
 path the text's length, its punctuation and its number of nodes are summed; the two ratios,
 text and punctuation a node, are smoothed over the paths in page order, fused by their
-product, and paths over a share of the page's spread are content. The content root is the
-deepest element that holds nearly all of what these paths have; its blocks in page order,
-without those of menus, notices and the like, are the main text.
+product, and blocks of paths over a share of the page's spread are content. With them go the
+blocks that adjoin them and aren't mostly links: headings, short paragraphs and items. Menus,
+notices and the like are out by tag, role, class or id. If the outermost article and main
+elements hold at least half of the content, only what stands in those with content counts.
 
 Defined results: a null or empty page, or one without text in its body, has an empty text;
 what follows an unclosed tag or a cut-off end is read as far as it goes; rows are
@@ -55,17 +56,19 @@ _DEPTH = 48
 
 
 class Element:
-    __slots__ = ("boiler", "depth", "in_article", "in_link", "name", "parent", "path", "under", "weight")
+    __slots__ = ("boiler", "depth", "in_article", "in_link", "name", "parent", "path", "root", "weight")
 
     def __init__(self, name: str, parent: Element | None, boiler: bool):
-        self.name, self.parent, self.boiler, self.weight, self.under = name, parent, boiler, 0.0, False
+        self.name, self.parent, self.boiler, self.weight = name, parent, boiler, 0.0
         if parent is None:
-            self.depth, self.path, self.in_article, self.in_link = 0, "", False, False
+            self.depth, self.path, self.in_article, self.in_link, self.root = 0, "", False, False, None
             return
         own = name not in INLINE and parent.depth < _DEPTH
         self.depth = parent.depth + own
         self.path = f"{parent.path}/{name}" if own else parent.path
         self.in_article = parent.in_article or name in ("article", "main")
+        #: the outermost article or main element that it stands in
+        self.root = parent.root or (self if self.in_article else None)
         self.in_link = name == "a" or parent.in_link and name in INLINE
 
 
@@ -189,13 +192,14 @@ def read_blocks(page: str) -> tuple[list[Block], list[Element]]:
 
 
 def path_ratios(blocks: list[Block]) -> dict[str, float]:
-    """The fused ratio of each path."""
+    """The fused ratio of each path; 0 for paths mostly of links, which smoothing would lift beside long texts."""
     paths = list(dict.fromkeys(b.owner.path for b in blocks))
     place = {p: i for i, p in enumerate(paths)}
-    chars, marks, nodes = np.zeros((3, len(paths)))
+    chars, links, marks, nodes = np.zeros((4, len(paths)))
     for b in blocks:
         i = place[b.owner.path]
         chars[i] += len(b.text) - b.links
+        links[i] += b.links
         marks[i] += len(_PUNCTUATION.findall(b.text))
         nodes[i] += 1
 
@@ -204,42 +208,42 @@ def path_ratios(blocks: list[Block]) -> dict[str, float]:
         return 0.25 * padded[:-2] + 0.5 * padded[1:-1] + 0.25 * padded[2:] if len(x) > 2 else x
 
     text, punctuation = smooth(chars / nodes), smooth((marks + 1) / nodes)
-    return dict(zip(paths, (text * punctuation).tolist(), strict=True))
+    return dict(zip(paths, np.where(links > chars, 0.0, text * punctuation).tolist(), strict=True))
 
 
-_LEAVES = frozenset("p li td pre blockquote h1 h2 h3 h4 h5 h6".split())
+_HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 
 
-def main_text(page: str | None, spread: float = 0.5, hold: float = 0.9) -> str:
-    blocks, elements = read_blocks(page or "")
+def _adjoining(blocks: list[Block], content: list[bool]) -> list[bool]:
+    """Content, and the runs of blocks beside it as far as they aren't mostly links."""
+    kept = list(content)
+    own = [b.owner.name in _HEADINGS or 2 * b.links <= len(b.text) for b in blocks]
+    for order, step in ((range(1, len(kept)), -1), (range(len(kept) - 2, -1, -1), 1)):
+        for i in order:
+            kept[i] = kept[i] or own[i] and kept[i + step]
+    return kept
+
+
+def main_text(page: str | None, spread: float = 0.5) -> str:
+    blocks, _ = read_blocks(page or "")
     body = [b for b in blocks if not b.owner.boiler]
     if not body:
         return ""
     ratio = path_ratios(body)
     values = np.array(list(ratio.values()))
     limit = min(spread * float(values.std()), float(values.max()))
+    total = inside = 0.0
     for b in body:
         if ratio[b.owner.path] >= limit:
-            b.owner.weight += len(b.text) - b.links
-    heaviest: dict[int, Element] = {}
-    for e in reversed(elements):  # an element comes after its parent
-        if e.parent is not None and e.weight:
-            e.parent.weight += e.weight
-            known = heaviest.get(id(e.parent))
-            if known is None or e.weight >= known.weight:
-                heaviest[id(e.parent)] = e
-    now, total = elements[0], elements[0].weight
-    # the article element, if it holds most; else down to where the content parts
-    marked = [e for e in elements if e.name in ("article", "main") and not e.boiler]
-    best = max(marked, key=lambda e: (e.weight, e.name == "article"), default=None)
-    if best is not None and best.weight >= 0.5 * total:
-        now = best
-    else:
-        while (below := heaviest.get(id(now))) is not None and below.weight >= hold * total and below.name not in _LEAVES:
-            now = below
-    for e in elements:
-        e.under = e is now or e.parent is not None and e.parent.under
-    return " ".join(b.text for b in body if b.owner.under)
+            weight, root = len(b.text) - b.links, b.owner.root
+            total += weight
+            if root is not None:
+                root.weight += weight
+                inside += weight
+    if inside and inside >= 0.5 * total:
+        body = [b for b in body if b.owner.root is not None and b.owner.root.weight]
+    kept = _adjoining(body, [ratio[b.owner.path] >= limit for b in body])
+    return " ".join(b.text for b, k in zip(body, kept, strict=True) if k)
 
 
 def extract(pages: DataFrame, html_col: str = "html", text_col: str = "text", keep: list[str] | None = None) -> DataFrame:

@@ -198,6 +198,18 @@ def test_main_text():
     assert htmltext.main_text("plain words") == "plain words"
 
 
+def test_path_ratios_select_blocks():
+    long = "A sentence, with marks; and words. Another one, of more words. " * 4
+    links = "<div><ul>" + "".join(f"<li><a href=/{i}>Link {i}</a></li>" for i in range(6)) + "</ul></div>"
+    article = f"<article><h1>Head</h1><p>{long}</p><p>{long}</p>{links}<p>Short end.</p></article>"
+    got = htmltext.main_text(f"<html><body>{article}</body></html>")
+    assert "Link" not in got and got.startswith("Head A sentence") and got.endswith("Short end.")
+    beside = htmltext.main_text(f"<body><div><h1>Headline</h1><div><p>{long}</p><p>{long}</p></div></div>{links}</body>")
+    assert beside.startswith("Headline A sentence") and "Link" not in beside
+    two = htmltext.main_text(f"<body><article><p>First. {long}</p></article><article><p>Second. {long}{long}</p></article></body>")
+    assert "First." in two and "Second." in two
+
+
 def test_pages_give_their_articles(spark):
     import html
 
