@@ -166,7 +166,11 @@ def limits(counts: DataFrame, min_docs: int = 50, reach: float = 3.0) -> DataFra
     def level(x: str, y: str, z: str) -> Column:
         return F.when(F.col("docs") >= min_docs, F.col(x)).when(F.col("_d2") >= min_docs, F.col(y)).otherwise(F.col(z))
 
-    chosen = joined.select("lang", "source", "measure", level("high", "_h2", "_h3").alias("high"), level("low", "_l2", "_l3").alias("low"))
+    # a source that is bad in large part widens its own fence, so its language's, or the corpus's, bounds it
+    known = F.col("_d2") >= min_docs
+    high = F.least(level("high", "_h2", "_h3"), F.when(known, F.col("_h2")).otherwise(F.col("_h3")))
+    low = F.greatest(level("low", "_l2", "_l3"), F.when(known, F.col("_l2")).otherwise(F.col("_l3")))
+    chosen = joined.select("lang", "source", "measure", high.alias("high"), low.alias("low"))
     picks = [F.max(F.when(F.col("measure") == m, F.col("high"))).alias(f"{m}_high") for m in measures()]
     return chosen.groupBy("lang", "source").agg(*picks, F.max(F.when(F.col("measure") == "word_length", F.col("low"))).alias("word_length_low"))
 

@@ -392,3 +392,13 @@ def test_line_dedup(spark):
     assert Counter((r.doc_id, r.text or "", r._n_lines, r._n_dropped) for r in out.collect()) == want
     assert sum(n for (_, _, _, d), n in want.items() if d) > 10 and len(ids) == len(rows)
     assert linededup.dedup_lines(frame(spark, rows).limit(0)).count() == 0
+
+
+def test_a_source_with_much_junk_is_bounded_by_its_language(spark):
+    good = "plain words make up this text of a dozen different good terms here"
+    junk = "plain ##$$%% words &&** ||<> make ##$$ up %%&& this text of different terms"
+    rows = [(i, good, "en", "clean") for i in range(300)]
+    rows += [(1000 + i, junk if i < 40 else good, "en", "hot") for i in range(100)]
+    got = quality.judge(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string"))
+    kept = {r.doc_id for r in got.where("kept").collect()}
+    assert not kept & set(range(1000, 1040)) and set(range(300)) <= kept and set(range(1040, 1100)) <= kept
