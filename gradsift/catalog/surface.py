@@ -117,6 +117,23 @@ def nl_cosine(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.crossJoin(F.broadcast(probes)).where(c > 0.3).select(F.col("sample_id").alias("vec_id"), "probe", F.round(c, 6).alias("cosine"))
 
 
+@query("SELECT a.vec_id, b.vec_id AS probe, round(list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) AS cosine FROM embeddings a, (SELECT * FROM embeddings WHERE vec_id % 20 = 0) b WHERE list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) > 0.3")
+def nl_cosine_twentieth(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All vectors against all whose id is divisible by 20, which meet them in blocks of about 256."""
+    from gradsift.functions.hashing import hash32
+    from gradsift.functions.networks import inner
+    from gradsift.sources.corpora import raster_corpus
+
+    rows = raster_corpus(spark, sf_dir).select("sample_id", "pixels")
+    probes = rows.where("sample_id % 20 = 0")
+    blocks = max(1, -(-probes.count() // 256))
+    one = F.struct(F.col("sample_id").alias("probe"), F.col("pixels").alias("q"))
+    blocked = probes.groupBy((hash32("sample_id", 3) % blocks).alias("block")).agg(F.collect_list(one).alias("held")).select("held")
+    pairs = rows.crossJoin(blocked).select("sample_id", "pixels", F.inline("held"))
+    c = inner(F.col("pixels"), F.col("q"))
+    return pairs.where(c > 0.3).select(F.col("sample_id").alias("vec_id"), "probe", F.round(c, 6).alias("cosine"))
+
+
 _AGG = "count(*) AS n, sum(n_chars)::BIGINT AS chars"
 
 

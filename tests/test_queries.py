@@ -19,3 +19,8 @@ def test_sql(spark, name):
 @pytest.mark.parametrize("name", sorted(set(QUERIES) - set(SQL) - SLOW))
 def test_rows(spark, name):
     assert QUERIES[name](spark, SF).count() > 0
+
+
+def test_vector_search_takes_every_twentieth_vector(spark):
+    probes = {r.probe for r in QUERIES["nl_cosine_twentieth"](spark, SF).select("probe").distinct().collect()}
+    assert probes == set(range(0, 500, 20))
