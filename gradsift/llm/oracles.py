@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from gradsift.llm.quality import GAMMA, SLACK
-
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -14,20 +12,24 @@ def _low(e: str) -> str:
 _BLANK_WORDS = r"[^\x20\x09-\x0D]+"
 _ALNUM_WORDS = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 
+#: Each measure's value, quartile distances of its fence, and the least distance in buckets.
 _MEASURES = {
-    "symbols": "n_symbols / greatest(word_chars, 1)::DOUBLE", "repeats": "n_repeat_words / greatest(n_words, 1)::DOUBLE",
-    "dup_lines": "n_dup_lines / greatest(n_words, 1)::DOUBLE", "word_length": "word_chars / greatest(n_words, 1)::DOUBLE",
+    "symbols": ("(n_symbols + 0.5::DOUBLE) / (word_chars + 1)", 3, 35), "repeats": ("(n_repeat_words + 0.5::DOUBLE) / (n_words + 1)", 3, 35),
+    "dup_lines": ("(n_dup_lines + 0.5::DOUBLE) / (n_words + 1)", 3, 35), "word_length": ("word_chars / greatest(n_words, 1)::DOUBLE", 6, 2),
 }
 
 
+def _bucket(v: str) -> str:
+    return f"CASE WHEN ({v}) * 10000 < 1 THEN 0 ELSE floor(ln(({v}) * 10000) / ln(1.02::DOUBLE))::INT + 1 END"
+
+
 def _level(name: str, keys: str) -> str:
-    """Third quartile plus three spreads, and first less three, from bucket bounds."""
+    """Fences of a level, in buckets of a growth of 1.02 from 1/10000."""
     by = f"{keys}, " if keys else ""
     return f"""{name}_n AS (SELECT {by}m, b, count(*) AS n FROM e GROUP BY {by}m, b),
     {name}_u AS (SELECT *, sum(n) OVER (PARTITION BY {by}m ORDER BY b) AS upto, sum(n) OVER (PARTITION BY {by}m) AS docs FROM {name}_n),
-    {name}_q AS (SELECT {by}m, docs, min(b) FILTER (upto >= 0.25 * docs) AS b1, min(b) FILTER (upto >= 0.75 * docs) AS b3 FROM {name}_u GROUP BY {by}m, docs),
-    {name}_v AS (SELECT *, CASE WHEN b1 = 0 THEN 0 ELSE pow({GAMMA}::DOUBLE, b1) / 10000 END AS q1, CASE WHEN b3 = 0 THEN 0 ELSE pow({GAMMA}::DOUBLE, b3) / 10000 END AS q3 FROM {name}_q),
-    {name} AS (SELECT {by}m, docs, q3 + 3 * (q3 - q1) AS high, q1 - 3 * (q3 - q1) AS low FROM {name}_v)"""
+    {name}_q AS (SELECT {by}m, docs, min(b) FILTER (upto >= 0.25 * docs) AS q1, min(b) FILTER (upto >= 0.75 * docs) AS q3 FROM {name}_u GROUP BY {by}m, docs),
+    {name} AS (SELECT {by}m, docs, q3 + reach * greatest(q3 - q1, least_width) AS high, q1 - reach * greatest(q3 - q1, least_width) AS low FROM {name}_q JOIN ru USING (m))"""
 
 
 OP1 = f"""
@@ -42,18 +44,18 @@ WITH w AS (SELECT doc_id, lang, source, coalesce(text, '') AS t, regexp_extract_
                  (length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')))::BIGINT AS n_symbols,
                  coalesce(n_dup_lines, 0) AS n_dup_lines, coalesce(n_repeat_words, 0) AS n_repeat_words
           FROM w LEFT JOIN cov USING (doc_id) LEFT JOIN dup USING (doc_id)),
-    x AS ({' UNION ALL '.join(f"SELECT lang, source, '{m}' AS m, ({e}) * 10000 AS v FROM c WHERE n_words > 0" for m, e in _MEASURES.items())}),
-    e AS (SELECT lang, source, m, CASE WHEN v < 1 THEN 0 ELSE floor(ln(v) / ln({GAMMA}::DOUBLE))::INT + 1 END AS b FROM x),
+    e AS ({' UNION ALL '.join(f"SELECT lang, source, '{m}' AS m, {_bucket(v)} AS b FROM c WHERE n_words > 0" for m, (v, _, _) in _MEASURES.items())}),
+    ru AS (SELECT * FROM (VALUES {', '.join(f"('{m}', {r}, {w})" for m, (_, r, w) in _MEASURES.items())}) AS t(m, reach, least_width)),
     {_level('own', 'lang, source')}, {_level('bylang', 'lang')}, {_level('whole', '')},
-    f AS (SELECT o.lang, o.source, o.m, CASE WHEN o.docs >= 50 THEN o.high WHEN l.docs >= 50 THEN l.high ELSE a.high END AS high,
-                 CASE WHEN o.docs >= 50 THEN o.low WHEN l.docs >= 50 THEN l.low ELSE a.low END AS low
-          FROM own o JOIN bylang l ON o.lang IS NOT DISTINCT FROM l.lang AND o.m = l.m JOIN whole a ON o.m = a.m),
+    wi AS (SELECT o.lang, o.source, o.m, o.docs, o.high, o.low, CASE WHEN l.docs >= 50 THEN l.high ELSE a.high END AS wide_high, CASE WHEN l.docs >= 50 THEN l.low ELSE a.low END AS wide_low
+           FROM own o JOIN bylang l ON o.lang IS NOT DISTINCT FROM l.lang AND o.m = l.m JOIN whole a ON o.m = a.m),
+    f AS (SELECT lang, source, m, CASE WHEN docs >= 50 THEN least(high, wide_high) ELSE wide_high END AS high, CASE WHEN docs >= 50 THEN greatest(low, wide_low) ELSE wide_low END AS low FROM wi),
     h AS (SELECT lang, source, {', '.join(f"max(high) FILTER (m = '{m}') AS {m}_high" for m in _MEASURES)}, max(low) FILTER (m = 'word_length') AS low FROM f GROUP BY lang, source),
     j AS (SELECT c.*, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed, {', '.join(f'h.{m}_high' for m in _MEASURES)}, h.low
           FROM c LEFT JOIN h ON c.lang IS NOT DISTINCT FROM h.lang AND c.source IS NOT DISTINCT FROM h.source)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
-       NOT base_failed AND {' AND '.join(f'{e} <= coalesce({m}_high, 1e9) + {SLACK[m]}' for m, e in _MEASURES.items())}
-       AND {_MEASURES['word_length']} >= coalesce(low, 0) - 1.0 AS kept
+       coalesce(NOT base_failed AND {' AND '.join(f'{_bucket(v)} <= {m}_high' for m, (v, _, _) in _MEASURES.items())}
+       AND {_bucket(_MEASURES['word_length'][0])} >= low, FALSE) AS kept
 FROM j
 """
 

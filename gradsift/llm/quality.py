@@ -3,9 +3,10 @@
 Each document gets counts over its whole text. For each measure a sketch counts documents in
 buckets of equal relative width, by language and source; sketches of equal buckets merge by
 adding, so partial sums go map-side and a language's or the corpus's sketch is the sum of
-its parts. A measure's limit is its third quartile and three times the distance to the
-first, and some slack; a group too small for quartiles takes its language's limit, and a
-language too small the corpus's. Limits are joined back on language and source.
+its parts. A measure's limit stands beyond its third quartile by a power of the quartiles'
+ratio, so it follows the level and the spread of the group's own documents; a group too
+small for quartiles takes its language's limit, and a language too small the corpus's, and
+no group's is above its language's. Limits are joined back on language and source.
 
 Defined results: a null text has no words and fails the base rules; a null language or
 source is a group of its own; an empty table has no rows.
@@ -14,6 +15,7 @@ source is a group of its own; an empty table has no rows.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -93,8 +95,8 @@ def base_counts(docs: DataFrame, text_col: str = "text", keep: tuple[str, ...] =
     return out.withColumnsRenamed(dict(zip(names, keep, strict=True)))
 
 
-#: Growth of bucket bounds: a sketch's quantile is off by at most 5 %.
-GAMMA = 1.1
+#: Growth of bucket bounds: a sketch's quantile is off by at most 2 %.
+GAMMA = 1.02
 _SCALE = 10_000
 
 
@@ -106,7 +108,7 @@ def bucket(ratio: Column) -> Column:
 
 def bucket_value(index: Column) -> Column:
     """The upper bound of a bucket."""
-    return F.when(index == 0, F.lit(0.0)).otherwise(F.pow(F.lit(GAMMA), index) / _SCALE)
+    return F.pow(F.lit(GAMMA), index) / _SCALE
 
 
 def sketch(table: DataFrame, keys: list[str], measures: dict[str, Column]) -> DataFrame:
@@ -125,67 +127,91 @@ def merge(sketches: DataFrame, keys: list[str]) -> DataFrame:
 
 
 def quantiles(sketches: DataFrame, keys: list[str], at: dict[str, float]) -> DataFrame:
-    """A column for each quantile, and docs: the documents in the sketch."""
+    """The bucket of each quantile, and docs: the documents in the sketch."""
     group = Window.partitionBy(*keys, "measure")
     ranked = sketches.withColumn("_upto", F.sum("n").over(group.orderBy("bucket"))).withColumn("docs", F.sum("n").over(group))
     return ranked.groupBy(*keys, "measure", "docs").agg(
-        *(bucket_value(F.min(F.when(F.col("_upto") >= q * F.col("docs"), F.col("bucket")))).alias(name) for name, q in at.items())
+        *(F.min(F.when(F.col("_upto") >= q * F.col("docs"), F.col("bucket"))).alias(name) for name, q in at.items())
     )
 
 
-def fences(sketches: DataFrame, keys: list[str], reach: float) -> DataFrame:
-    q = quantiles(sketches, keys, {"q1": 0.25, "q3": 0.75})
-    width = F.col("q3") - F.col("q1")
-    return q.select(*keys, "measure", "docs", (F.col("q3") + reach * width).alias("high"), (F.col("q1") - reach * width).alias("low"))
+@dataclass(frozen=True)
+class Rule:
+    """A measure, and how many quartile distances beyond the quartiles its fences stand.
+
+    Distances are in buckets, so fences stand by factors: a measure's limit is its third
+    quartile times a power of the ratio of the quartiles. least: the distance that is taken
+    where the quartiles are closer, as with equal documents.
+    """
+
+    value: Column
+    reach: int
+    least: int
+
+
+def rules() -> dict[str, Rule]:
+    """Rates have half an event added, so that none in a long text is a lower rate than none in a short one."""
 
+    def rate(n: str, of: str) -> Column:
+        return (F.col(n) + 0.5) / (F.col(of) + 1)
 
-def measures() -> dict[str, Column]:
-    words, chars = F.greatest(F.col("n_words"), F.lit(1)), F.greatest(F.col("word_chars"), F.lit(1))
     return {
-        "symbols": F.col("n_symbols") / chars,
-        "repeats": F.col("n_repeat_words") / words,
-        "dup_lines": F.col("n_dup_lines") / words,
-        "word_length": F.col("word_chars") / words,
+        "symbols": Rule(rate("n_symbols", "word_chars"), 3, 35),
+        "repeats": Rule(rate("n_repeat_words", "n_words"), 3, 35),
+        "dup_lines": Rule(rate("n_dup_lines", "n_words"), 3, 35),
+        "word_length": Rule(F.col("word_chars") / F.greatest(F.col("n_words"), F.lit(1)), 6, 2),
     }
 
 
-#: Above the fence by so much, in the measure's unit, before a document fails.
-SLACK = {"symbols": 0.05, "repeats": 0.15, "dup_lines": 0.02, "word_length": 2.0}
+def fences(sketches: DataFrame, keys: list[str]) -> DataFrame:
+    """(keys, measure, docs, high, low): the last buckets that pass."""
+    q = quantiles(sketches, keys, {"q1": 0.25, "q3": 0.75})
+    of = rules()
+
+    def by_measure(x: dict[str, int]) -> Column:
+        return F.element_at(F.create_map(*(F.lit(v) for kv in x.items() for v in kv)), F.col("measure"))
 
+    width = by_measure({m: r.reach for m, r in of.items()}) * F.greatest(F.col("q3") - F.col("q1"), by_measure({m: r.least for m, r in of.items()}))
+    return q.select(*keys, "measure", "docs", (F.col("q3") + width).alias("high"), (F.col("q1") - width).alias("low"))
 
-def limits(counts: DataFrame, min_docs: int = 50, reach: float = 3.0) -> DataFrame:
-    """A row for each language and source, with <measure>_high and, for word_length, _low."""
-    own = sketch(counts.where(F.col("n_words") > 0), ["lang", "source"], measures())
+
+def limits(counts: DataFrame, min_docs: int = 50) -> DataFrame:
+    """A row for each language and source, with <measure>_high and, for word_length, _low, as buckets."""
+    own = sketch(counts.where(F.col("n_words") > 0), ["lang", "source"], {m: r.value for m, r in rules().items()})
     by_lang = merge(own, ["lang"])
     everything = merge(by_lang, [])
-    a = fences(own, ["lang", "source"], reach)
-    b = fences(by_lang, ["lang"], reach).select(F.col("lang").alias("_l"), F.col("measure").alias("_m"), F.col("docs").alias("_d2"), F.col("high").alias("_h2"), F.col("low").alias("_l2"))
-    c = fences(everything, [], reach).select(F.col("measure").alias("_m3"), F.col("high").alias("_h3"), F.col("low").alias("_l3"))
+    a = fences(own, ["lang", "source"])
+    b = fences(by_lang, ["lang"]).select(F.col("lang").alias("_l"), F.col("measure").alias("_m"), F.col("docs").alias("_d2"), F.col("high").alias("_h2"), F.col("low").alias("_l2"))
+    c = fences(everything, []).select(F.col("measure").alias("_m3"), F.col("high").alias("_h3"), F.col("low").alias("_l3"))
     joined = a.join(b, a["lang"].eqNullSafe(b["_l"]) & (a["measure"] == b["_m"])).join(F.broadcast(c), F.col("measure") == F.col("_m3"))
 
+    def wider(y: str, z: str) -> Column:
+        return F.when(F.col("_d2") >= min_docs, F.col(y)).otherwise(F.col(z))
+
     def level(x: str, y: str, z: str) -> Column:
-        return F.when(F.col("docs") >= min_docs, F.col(x)).when(F.col("_d2") >= min_docs, F.col(y)).otherwise(F.col(z))
+        return F.when(F.col("docs") >= min_docs, F.col(x)).otherwise(wider(y, z))
 
     # a source that is bad in large part widens its own fence, so its language's, or the corpus's, bounds it
-    known = F.col("_d2") >= min_docs
-    high = F.least(level("high", "_h2", "_h3"), F.when(known, F.col("_h2")).otherwise(F.col("_h3")))
-    low = F.greatest(level("low", "_l2", "_l3"), F.when(known, F.col("_l2")).otherwise(F.col("_l3")))
+    high = F.least(level("high", "_h2", "_h3"), wider("_h2", "_h3"))
+    low = F.greatest(level("low", "_l2", "_l3"), wider("_l2", "_l3"))
     chosen = joined.select("lang", "source", "measure", high.alias("high"), low.alias("low"))
-    picks = [F.max(F.when(F.col("measure") == m, F.col("high"))).alias(f"{m}_high") for m in measures()]
+    picks = [F.max(F.when(F.col("measure") == m, F.col("high"))).alias(f"{m}_high") for m in rules()]
     return chosen.groupBy("lang", "source").agg(*picks, F.max(F.when(F.col("measure") == "word_length", F.col("low"))).alias("word_length_low"))
 
 
-def judge(docs: DataFrame, text_col: str = "text", min_docs: int = 50, reach: float = 3.0) -> DataFrame:
+def judge(docs: DataFrame, text_col: str = "text", min_docs: int = 50) -> DataFrame:
     """doc_id, base counts, base_failed, kept, and the limits held against. docs: doc_id, text, lang, source."""
     stage = Stage(docs.sparkSession, "quality")
     counts = stage.put(base_counts(docs, text_col))
-    cut = limits(counts, min_docs, reach).withColumnsRenamed({"lang": "_lang", "source": "_source"})
+    cut = limits(counts, min_docs).withColumnsRenamed({"lang": "_lang", "source": "_source"})
     base_failed = (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
-    ok = F.lit(True)
-    for m, value in measures().items():
-        ok = ok & (value <= F.coalesce(F.col(f"{m}_high"), F.lit(1e9)) + SLACK[m])
-    ok = ok & (F.col("word_chars") / F.greatest(F.col("n_words"), F.lit(1)) >= F.coalesce(F.col("word_length_low"), F.lit(0.0)) - 1.0)
+    own = {m: bucket(r.value) for m, r in rules().items()}
+    ok = own["word_length"] >= F.col("word_length_low")
+    for m, b in own.items():
+        ok = ok & (b <= F.col(f"{m}_high"))
+    # a document without words is in no sketch, and fails the base rules
+    kept = ~base_failed & F.coalesce(ok, F.lit(False))
     return (
         counts.join(cut, counts["lang"].eqNullSafe(cut["_lang"]) & counts["source"].eqNullSafe(cut["_source"]), "left")
-        .select("doc_id", *_BASE, base_failed.alias("base_failed"), (~base_failed & ok).alias("kept"), *(f"{m}_high" for m in measures()))
+        .select("doc_id", *_BASE, base_failed.alias("base_failed"), kept.alias("kept"), *(bucket_value(F.col(f"{m}_high")).alias(f"{m}_high") for m in own))
     )
