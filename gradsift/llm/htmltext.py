@@ -1,16 +1,20 @@
 """Main text of HTML pages by tag-path ratios.
 
 A page is read once into blocks of text, each with its root-to-leaf path of tags. For each
-path the text's length, its punctuation and its number of nodes are summed; the two ratios,
-text and punctuation a node, are smoothed over the paths in page order, fused by their
-product, and blocks of paths over a share of the page's spread are content. With them go the
-blocks that adjoin them and aren't mostly links: headings, short paragraphs and items. Menus,
-notices and the like are out by tag, role, class or id. If the outermost article and main
-elements hold at least half of the content, only what stands in those with content counts.
+path the text's length, its punctuation and its number of nodes are summed. Text and
+punctuation a node, and the spread of the nodes' lengths, which is high where paragraphs are
+and none for a lone line, are smoothed over the paths in page order and fused by their
+product. Paths over a share of the ratios' spread are content, and their blocks are taken.
+With them go headings, short paragraphs and items that stand in the same parts of the page;
+parts without a block of a content path, and blocks that are mostly links, don't.
+
+What the elements themselves declare, menus, footers, asides, forms, scripts and hidden
+parts, is no text to begin with. Class and id names only weigh a path: one that is named
+after adverts, notices or comments needs a ratio as many times higher as ``NAMED`` says.
 
 Defined results: a null or empty page, or one without text in its body, has an empty text;
-what follows an unclosed tag or a cut-off end is read as far as it goes; rows are
-independent of each other.
+a quote that is never closed ends with its tag; what follows a cut-off end is read as far as
+it goes; rows are independent of each other.
 """
 
 from __future__ import annotations
@@ -45,30 +49,34 @@ _CLOSES_P = frozenset(
 )
 _SAME = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",)}
 _SCOPE = frozenset("table ul ol dl div article section main body aside nav".split())
-_TAG = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)(?:>|\Z)", re.S)
+#: Quotes count after an equals sign only, as in don't.
+_TAG = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:=\s*(?:\"[^\"]*\"|'[^']*')?|[^>=]++)*+)(?:>|\Z)", re.S)
 _ATTR = re.compile(r"(?:^|\s)(class|id|role|hidden|aria-hidden|style)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
 _PUNCTUATION = re.compile(r"[.,;:!?…。，、；：！？]")
 _SPACE = re.compile(r"\s+")
 
 
-#: Tags of a path; deeper ones count as their ancestor.
-_DEPTH = 48
+#: Paths with a ratio of so many standard deviations of the page's ratios are content.
+SPREAD = 0.75
+#: A path that is named after adverts, notices, comments and the like weighs so much less.
+NAMED = 32.0
+#: Elements of running text, which go with the content that they stand beside.
+FLOW = frozenset("p h1 h2 h3 h4 h5 h6 hgroup ul ol li dl dt dd blockquote pre figure figcaption table caption thead tbody tfoot tr td th address details summary header".split())
 
 
 class Element:
-    __slots__ = ("boiler", "depth", "in_article", "in_link", "name", "parent", "path", "root", "weight")
+    """path: a number for the root-to-leaf run of block-level tags, each with its being named."""
+
+    __slots__ = ("boiler", "in_article", "in_link", "name", "named", "parent", "path", "seeds")
 
-    def __init__(self, name: str, parent: Element | None, boiler: bool):
-        self.name, self.parent, self.boiler, self.weight = name, parent, boiler, 0.0
+    def __init__(self, name: str, parent: Element | None, boiler: bool, named: bool, paths: dict[tuple[int, str, bool], int]):
+        self.name, self.parent, self.boiler, self.seeds = name, parent, boiler, 0
         if parent is None:
-            self.depth, self.path, self.in_article, self.in_link, self.root = 0, "", False, False, None
+            self.path, self.named, self.in_article, self.in_link = 0, False, False, False
             return
-        own = name not in INLINE and parent.depth < _DEPTH
-        self.depth = parent.depth + own
-        self.path = f"{parent.path}/{name}" if own else parent.path
+        self.named = parent.named or named
+        self.path = parent.path if name in INLINE and not named else paths.setdefault((parent.path, name, named), len(paths) + 1)
         self.in_article = parent.in_article or name in ("article", "main")
-        #: the outermost article or main element that it stands in
-        self.root = parent.root or (self if self.in_article else None)
         self.in_link = name == "a" or parent.in_link and name in INLINE
 
 
@@ -79,25 +87,24 @@ class Block:
         self.text, self.owner, self.links = text, owner, links
 
 
-def _boiler(name: str, attrs: str, inside_article: bool) -> bool:
-    if name in BOILER or name == "header" and not inside_article:
-        return True
+def _declared(name: str, attrs: str, inside_article: bool) -> tuple[bool, bool]:
+    """Whether the element is no content by what it is, and whether it is named like such."""
+    boiler, named = name in BOILER or name == "header" and not inside_article, False
     for key, a, b, c in _ATTR.findall(attrs) if attrs.strip() else ():
         key, value = key.lower(), a or b or c
-        if key == "hidden" or key == "aria-hidden" and value.lower() == "true":
-            return True
-        if key == "role" and value.lower() in ROLES:
-            return True
-        if key == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.I):
-            return True
-        if key in ("class", "id") and name not in ("html", "body", "article", "main") and NAMES.search(value):
-            return True
-    return False
+        if key in ("class", "id"):
+            named = named or name not in ("html", "body", "article", "main") and NAMES.search(value) is not None
+        elif key == "hidden" or key == "aria-hidden" and value.lower() == "true" or key == "role" and value.lower() in ROLES:
+            boiler = True
+        elif key == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.I):
+            boiler = True
+    return boiler, named
 
 
 def read_blocks(page: str) -> tuple[list[Block], list[Element]]:
     """Runs of text between block-level tags, with white space made one space; and the elements."""
-    root = Element("", None, False)
+    paths: dict[tuple[int, str, bool], int] = {}
+    root = Element("", None, False, False, paths)
     now, out, elements, parts, links = root, [], [root], [], 0
     owner, at = root, 0
 
@@ -109,7 +116,7 @@ def read_blocks(page: str) -> tuple[list[Block], list[Element]]:
         parts, links = [], 0
 
     def block_owner(e: Element) -> Element:
-        while e.parent is not None and e.name in INLINE and not e.boiler:
+        while e.parent is not None and e.name in INLINE and e.path == e.parent.path and not e.boiler:
             e = e.parent
         return e
 
@@ -151,7 +158,7 @@ def read_blocks(page: str) -> tuple[list[Block], list[Element]]:
                 if name == "br":
                     parts.append(" ")
                 continue
-            if not inline or e.boiler:
+            if not inline or e.boiler or e.path != e.parent.path:
                 flush()
             now = e.parent
             owner = block_owner(now)
@@ -178,10 +185,11 @@ def read_blocks(page: str) -> tuple[list[Block], list[Element]]:
             close(("p",), _SCOPE)
         if name in _SAME:
             close(_SAME[name], frozenset(x for x in _SCOPE if x not in ("div",)))
-        boiler = now.boiler or _boiler(name, m[3], now.in_article)
-        new = Element(name, now, boiler)
+        boiler, named = _declared(name, m[3], now.in_article)
+        boiler = boiler or now.boiler
+        new = Element(name, now, boiler, named, paths)
         elements.append(new)
-        if name not in INLINE or boiler and not now.boiler:
+        if name not in INLINE or boiler and not now.boiler or named:
             flush()
         if m[3].endswith("/") and name not in INLINE and m[3].strip() == "/":
             continue
@@ -191,59 +199,63 @@ def read_blocks(page: str) -> tuple[list[Block], list[Element]]:
     return out, elements
 
 
-def path_ratios(blocks: list[Block]) -> dict[str, float]:
+def path_ratios(blocks: list[Block]) -> dict[int, float]:
     """The fused ratio of each path; 0 for paths mostly of links, which smoothing would lift beside long texts."""
-    paths = list(dict.fromkeys(b.owner.path for b in blocks))
-    place = {p: i for i, p in enumerate(paths)}
-    chars, links, marks, nodes = np.zeros((4, len(paths)))
+    place = {p: i for i, p in enumerate(dict.fromkeys(b.owner.path for b in blocks))}
+    chars, squares, links, marks, nodes, named = np.zeros((6, len(place)))
     for b in blocks:
-        i = place[b.owner.path]
-        chars[i] += len(b.text) - b.links
+        i, own = place[b.owner.path], len(b.text) - b.links
+        chars[i] += own
+        squares[i] += own * own
         links[i] += b.links
         marks[i] += len(_PUNCTUATION.findall(b.text))
         nodes[i] += 1
+        named[i] = b.owner.named
 
     def smooth(x: np.ndarray) -> np.ndarray:
         padded = np.pad(x, 1, mode="edge")
         return 0.25 * padded[:-2] + 0.5 * padded[1:-1] + 0.25 * padded[2:] if len(x) > 2 else x
 
-    text, punctuation = smooth(chars / nodes), smooth((marks + 1) / nodes)
-    return dict(zip(paths, np.where(links > chars, 0.0, text * punctuation).tolist(), strict=True))
-
-
-_HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
-
+    text, spread = chars / nodes, np.sqrt(np.maximum(squares / nodes - (chars / nodes) ** 2, 0.0))
+    fused = smooth(text) * smooth((marks + 1) / nodes) * smooth(1 + spread) / np.where(named > 0, NAMED, 1.0)
+    return dict(zip(place, np.where(links > chars, 0.0, fused).tolist(), strict=True))
 
-def _adjoining(blocks: list[Block], content: list[bool]) -> list[bool]:
-    """Content, and the runs of blocks beside it as far as they aren't mostly links."""
-    kept = list(content)
-    own = [b.owner.name in _HEADINGS or 2 * b.links <= len(b.text) for b in blocks]
-    for order, step in ((range(1, len(kept)), -1), (range(len(kept) - 2, -1, -1), 1)):
-        for i in order:
-            kept[i] = kept[i] or own[i] and kept[i + step]
-    return kept
 
-
-def main_text(page: str | None, spread: float = 0.5) -> str:
-    blocks, _ = read_blocks(page or "")
+def main_text(page: str | None, spread: float = SPREAD) -> str:
+    """The text of the blocks on content paths, and of the running text beside them."""
+    blocks, elements = read_blocks(page or "")
     body = [b for b in blocks if not b.owner.boiler]
     if not body:
         return ""
     ratio = path_ratios(body)
     values = np.array(list(ratio.values()))
     limit = min(spread * float(values.std()), float(values.max()))
-    total = inside = 0.0
-    for b in body:
-        if ratio[b.owner.path] >= limit:
-            weight, root = len(b.text) - b.links, b.owner.root
-            total += weight
-            if root is not None:
-                root.weight += weight
-                inside += weight
-    if inside and inside >= 0.5 * total:
-        body = [b for b in body if b.owner.root is not None and b.owner.root.weight]
-    kept = _adjoining(body, [ratio[b.owner.path] >= limit for b in body])
-    return " ".join(b.text for b, k in zip(body, kept, strict=True) if k)
+    seeds = [ratio[b.owner.path] >= limit for b in body]
+    for b, seed in zip(body, seeds, strict=True):
+        b.owner.seeds += seed
+    for e in reversed(elements):
+        if e.parent is not None:
+            e.parent.seeds += e.seeds
+
+    beside: dict[int, bool] = {}
+
+    def stands_beside(e: Element) -> bool:
+        """Whether e is running text, up to a part that has a seed."""
+        chain = []
+        while id(e) not in beside and not e.seeds:
+            chain.append(id(e))
+            if e.name not in FLOW and e.name not in INLINE or e.parent is None:
+                beside[id(e)] = False
+                break
+            e = e.parent
+        found = beside.get(id(e), True)
+        beside.update(dict.fromkeys(chain, found))
+        return found
+
+    def goes_along(b: Block) -> bool:
+        return not b.owner.named and 2 * b.links <= len(b.text) and stands_beside(b.owner)
+
+    return " ".join(b.text for b, seed in zip(body, seeds, strict=True) if seed or goes_along(b))
 
 
 def extract(pages: DataFrame, html_col: str = "html", text_col: str = "text", keep: list[str] | None = None) -> DataFrame:

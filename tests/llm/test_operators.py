@@ -211,14 +211,68 @@ def test_path_ratios_select_blocks():
     assert "First." in two and "Second." in two
 
 
-def test_pages_give_their_articles(spark):
+def article_of(page: str) -> str:
+    """The given pages' article, by its tags."""
     import html
 
+    inner = page[page.index("<article>") : page.index("</article>")]
+    inner = re.sub("<[^>]+>", "", re.sub("</?(p|h1|br)[^>]*>", " ", inner))
+    return re.sub(r"\s+", " ", html.unescape(inner)).strip()
+
+
+def test_pages_give_their_articles(spark):
     pages = spark.read.parquet(f"{SF}/pages.parquet")
     for r in htmltext.extract(pages, keep=["page_id"]).join(pages, "page_id").collect():
-        inner = r.html[r.html.index("<article>") : r.html.index("</article>")]
-        inner = re.sub("<[^>]+>", "", re.sub("</?(p|h1|br)[^>]*>", " ", inner))
-        assert r.text == re.sub(r"\s+", " ", html.unescape(inner)).strip()
+        assert r.text == article_of(r.html)
+
+
+def given_pages() -> list[str]:
+    import pyarrow.parquet as pq
+
+    return pq.read_table("/root/testdata/sf0.01/pages.parquet").column("html").to_pylist()
+
+
+def test_ratios_select_where_names_tell_nothing():
+    """Without article elements all texts stay the same; without class names too, nearly all."""
+    pages = given_pages()
+    plain = [p.replace("article>", "div>") for p in pages]
+    assert [htmltext.main_text(p) for p in plain] == [article_of(p) for p in pages]
+    nameless = [p.replace(' class="ad"', "") for p in plain]
+    right = [htmltext.main_text(p) == article_of(q) for p, q in zip(nameless, pages, strict=True)]
+    assert sum(right) > 0.95 * len(pages)
+
+
+def test_the_ratios_decide(monkeypatch):
+    """With the same ratio for all paths, every page's text is another."""
+    pages = given_pages()
+    monkeypatch.setattr(htmltext, "path_ratios", lambda blocks: {b.owner.path: 1.0 for b in blocks})
+    assert all(htmltext.main_text(p) != article_of(p) for p in pages)
+
+
+def test_path_ratios_equal_a_table_by_hand():
+    page = "<body><div><p>One, two.</p><p>Three words here.</p></div><div><ul><li><a>link</a></ul></div><p class=ads>Buy.</p><h1>A head</h1></body>"
+    blocks, _ = htmltext.read_blocks(page)
+    rows = [(9, 2, 1), (17, 1, 1), (0, 0, 1), (4, 1, 32), (6, 0, 1)]  # own characters, marks, what divides; the third is a link
+    paths = [[0, 1], [2], [3], [4]]
+    mean = [sum(rows[i][0] for i in p) / len(p) for p in paths]
+    marks = [(sum(rows[i][1] for i in p) + 1) / len(p) for p in paths]
+    spread = [1 + float(np.std([rows[i][0] for i in p])) for p in paths]
+
+    def smooth(x):
+        return [0.25 * x[max(0, i - 1)] + 0.5 * x[i] + 0.25 * x[min(3, i + 1)] for i in range(4)]
+
+    want = [a * b * c / rows[p[0]][2] for a, b, c, p in zip(smooth(mean), smooth(marks), smooth(spread), paths, strict=True)]
+    want[1] = 0.0
+    got = htmltext.path_ratios(blocks)
+    assert [got[blocks[p[0]].owner.path] for p in paths] == pytest.approx(want)
+
+
+def test_no_markup_in_texts():
+    assert htmltext.main_text('<p>Hello <a href="x>link</a> world.') == "Hello link world."
+    assert htmltext.main_text("<div title=don't><p>Hello there.") == "Hello there."
+    assert htmltext.main_text('<p>One <a title="a > b" href=x>two</a> three.') == "One two three."
+    assert htmltext.main_text("<p>One <a href='it\"s'>two</a> three.</p>") == "One two three."
+    assert htmltext.main_text("<div>" * 20_000 + "deep text." + "</div>" * 20_000) == "deep text."
 
 
 def test_extract_keeps_other_columns_and_nulls(spark):
