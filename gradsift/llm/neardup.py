@@ -8,19 +8,22 @@ has n - ceil(t n) + 1 tokens. The orders are:
   that no other set has before the shared ones. Only that quarter is counted for it, and most
   documents' prefixes have no shared token, so they link to nothing;
 * by rarity, for what is left: all tokens are counted, and a set's prefix has its own tokens
-  first, then the rarest shared ones. It makes the candidates;
-* by hash, upwards and downwards. Candidates must share prefix tokens under both.
+  first, then the rarest shared ones. Its shared prefix tokens make pairs;
+* by hash, upwards and downwards. A pair is a candidate only if it shares prefix tokens under
+  both of these as well. Prefixes alone are compared for that; whole sets are fetched, and
+  intersected, for the candidates that all orders leave.
 
 Since a set's own tokens are in no intersection, comparing shared tokens and sizes is exact.
 
 Only the classes are asked for, so links within a class need not all be found. First each
-node is compared with one node of each prefix token, that with the fewest tokens of its own,
+node is paired with one node of each prefix token, that with the fewest tokens of its own,
 which is the middle of a group of copies or the barest carrier of a passage; a large group
-takes comparisons linear in its size. Then all candidate pairs of different classes are
-compared that can be similar enough, so that no class is left apart from one it links to.
-What two sets have in common is at most what both share with the middle, as the smaller
-number, and what both share with others, likewise; sets of a middle and class that are alike
-in these numbers are ruled out together.
+takes pairs linear in its size. Then all pairs of different classes are filtered and compared
+that can be similar enough, so that no class is left apart from one it links to. What two
+sets have in common is at most what both share with the middle, as the smaller number, and
+what both share with others, likewise; sets of a middle and class that are alike in these
+numbers are ruled out together. Where a middle still has several classes, its sets that the
+orders ruled out are measured against it for that bound; this never links anything.
 
 Defined results: a text without words has an empty set and is alone; fewer words than a
 shingle are one shingle; a null id is an id; an empty table has no rows.
@@ -41,7 +44,9 @@ from gradsift.llm.staging import Stage
 
 #: Hashes are 63 bits, so that they are positive in a signed column.
 _COUNTED = 1 << 61
-_BLOOM_BITS = 1 << 24
+#: Bits of the filter for each key, and of the largest filter. More keys are joined, not broadcast.
+_BITS_A_KEY = 16
+MAX_BLOOM_BITS = 1 << 28
 
 
 def shingle_sets(texts: pa.Array, k: int = 5) -> Iterator[np.ndarray]:
@@ -89,11 +94,11 @@ def _profiles(docs: DataFrame, percent: int, k: int) -> DataFrame:
     return docs.select("id", "text").mapInArrow(run, f"id {kind}, " + ", ".join(f"{x} long" for x in names))
 
 
-def _tokens(docs: DataFrame, percent: int, k: int, bloom=None) -> DataFrame:
+def _tokens(docs: DataFrame, percent: int, k: int, bloom=None, every: bool = False) -> DataFrame:
     """(token, key): of each set the counted tokens, or its prefix by hash if that is longer.
 
-    With a filter of keys: all tokens of the sets in it. A task leaves out texts whose set its
-    batch has had.
+    With a filter of keys: all tokens of the sets in it; with every: of all sets. A task
+    leaves out texts whose set its batch has had.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -105,7 +110,7 @@ def _tokens(docs: DataFrame, percent: int, k: int, bloom=None) -> DataFrame:
                 if not len(s) or key in seen or bits is not None and not in_filter(bits, key):
                     continue
                 seen.add(key)
-                m = len(s) if bits is not None else max(prefix_length(len(s), percent), int(np.searchsorted(s, _COUNTED)))
+                m = len(s) if every or bits is not None else max(prefix_length(len(s), percent), int(np.searchsorted(s, _COUNTED)))
                 tokens.append(s[:m])
                 keys.append(np.full(m, key, dtype=np.int64))
             if tokens:
@@ -114,29 +119,51 @@ def _tokens(docs: DataFrame, percent: int, k: int, bloom=None) -> DataFrame:
     return docs.select("text").mapInArrow(run, "token long, key long")
 
 
-def _bloom(keys: DataFrame) -> np.ndarray:
-    """A Bloom filter of the keys; its size is fixed, and a full one only saves less."""
-    places = F.array(F.col("key") % _BLOOM_BITS, F.shiftright("key", 30) % _BLOOM_BITS)
-    words = keys.select(F.explode(places).alias("p")).groupBy(F.shiftright("p", 5).alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, CAST(p % 32 AS INT))")).alias("bits"))
-    out = np.zeros(_BLOOM_BITS // 32, dtype=np.int64)
+def _keyed_texts(docs: DataFrame, k: int) -> DataFrame:
+    """(key, text)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keys = [set_key(s) for s in shingle_sets(batch.column(0), k)]
+            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), batch.column(0)], names=["key", "text"])
+
+    return docs.select("text").mapInArrow(run, "key long, text string")
+
+
+def bloom_bits(n: int) -> int:
+    """A power of two with 16 bits a key, from 2**20 on."""
+    return max(1 << 20, 1 << (_BITS_A_KEY * n - 1).bit_length())
+
+
+def _places(key, bits: int):
+    """The two bits of a key; of a column or a number."""
+    return key % bits, (F.shiftright(key, 30) if isinstance(key, Column) else key >> 30) % bits
+
+
+def _bloom(keys: DataFrame, bits: int) -> np.ndarray:
+    """A Bloom filter of the keys, as words of 32 bits; at most as many rows reach the driver."""
+    words = keys.select(F.explode(F.array(*_places(F.col("key"), bits))).alias("p")).groupBy(F.shiftright("p", 5).alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, CAST(p % 32 AS INT))")).alias("bits"))
+    out = np.zeros(bits // 32, dtype=np.uint32)
     rows = words.toPandas()
     out[rows["w"].to_numpy(dtype=np.int64)] = rows["bits"].to_numpy(dtype=np.int64)
     return out
 
 
 def in_filter(bits: np.ndarray, key: int) -> bool:
-    return all(bits[x >> 5] >> (x & 31) & 1 for x in (key % _BLOOM_BITS, (key >> 30) % _BLOOM_BITS))
+    return all(int(bits[x >> 5]) >> (x & 31) & 1 for x in _places(key, 32 * len(bits)))
 
 
 class JaccardClasses:
     """The join's steps over one table; percent: the least similarity in hundredths."""
 
-    def __init__(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 80, k: int = 5):
-        self.percent, self.k = percent, k
+    def __init__(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 80, k: int = 5, max_bits: int = MAX_BLOOM_BITS):
+        self.percent, self.k, self.max_bits = percent, k, max_bits
         self.docs = docs.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{text_col}`").alias("text"))
         self.stage = Stage(docs.sparkSession, "jaccard")
         self.profiles = self.stage.put(_profiles(self.docs, percent, k))
         self.nodes = self.profiles.where("n > 0").groupBy("key", "n", "counted", "up", "down").agg(F.min("id").alias("least"))
+        #: pairs of the rarity order, and those that the orders by hash leave, by step
+        self.report: dict[str, tuple[DataFrame, DataFrame]] = {}
 
     def shared(self, tokens: DataFrame) -> DataFrame:
         """(token, df) of the tokens that at least two sets have."""
@@ -156,9 +183,14 @@ class JaccardClasses:
 
     def shared_tokens(self) -> DataFrame:
         """(key, least, n, c, up, down, tokens, prefix) of the nodes left: tokens are the c shared ones."""
-        bloom = self.docs.sparkSession.sparkContext.broadcast(_bloom(self.first_order()))
+        keys = self.stage.put(self.first_order())
+        bits = bloom_bits(keys.count())
+        if bits <= self.max_bits:
+            bloom = self.docs.sparkSession.sparkContext.broadcast(_bloom(keys, bits))
+            tokens = _tokens(self.docs, self.percent, self.k, bloom)
+        else:
+            tokens = _tokens(_keyed_texts(self.docs, self.k).join(keys, "key", "left_semi"), self.percent, self.k, every=True)
         self.stage.sweep()
-        tokens = _tokens(self.docs, self.percent, self.k, bloom)
         # the order only has to be one: a token's count is taken once, and written
         counted = self.stage.put(self.shared(tokens))
         found = (
@@ -171,25 +203,34 @@ class JaccardClasses:
             "key", "least", "n", "c", "up", "down", F.transform("found", token).alias("tokens"),
             F.transform(F.slice("found", F.lit(1), F.col("take").cast("int")), token).alias("prefix"),
         ))
-        self.stage.drop(counted)
+        self.stage.drop(counted, keys)
         return out
 
-    def compared(self, pairs: DataFrame, own: DataFrame) -> DataFrame:
-        """(a, b, i, linked): i is the size of the intersection of the pairs (a, b).
-
-        Linked are those that share prefix tokens under the orders by hash and are similar enough.
-        """
-
-        def side(x: str) -> DataFrame:
-            return own.select(F.col("key").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in ("n", "up", "down", "tokens")))
-
-        both = pairs.join(side("a"), "a").join(side("b"), "b").select(
-            "a", "b", "n_a", "n_b", F.least("up_a", "up_b").alias("up"), F.greatest("down_a", "down_b").alias("down"),
-            F.array_intersect("tokens_a", "tokens_b").alias("common"),
-        )
-        upwards, downwards = F.exists("common", lambda x: x <= F.col("up")), F.exists("common", lambda x: x >= F.col("down"))
-        i = F.size("common")
-        return both.select("a", "b", i.alias("i"), (upwards & downwards & (100 * i >= self.percent * (F.col("n_a") + F.col("n_b") - i))).alias("linked"))
+    def sides(self, pairs: DataFrame, own: DataFrame, *columns: Column) -> DataFrame:
+        """The pairs (a, b) with columns of both sides, named after their side."""
+        for x in "ab":
+            side = own.select(F.col("key").alias(x), *columns)
+            pairs = pairs.join(side.withColumnsRenamed({c: f"{c}_{x}" for c in side.columns[1:]}), x)
+        return pairs
+
+    def candidates(self, pairs: DataFrame, own: DataFrame) -> DataFrame:
+        """The pairs (a, b) that share prefix tokens under the orders by hash too. Whole sets aren't compared."""
+        rising = F.filter("tokens", lambda x: x <= F.col("up")).alias("rising")
+        falling = F.filter("tokens", lambda x: x >= F.col("down")).alias("falling")
+        both = self.sides(pairs.select("a", "b"), own, rising, falling)
+        return both.where(F.arrays_overlap("rising_a", "rising_b") & F.arrays_overlap("falling_a", "falling_b")).select("a", "b")
+
+    def common(self, pairs: DataFrame, own: DataFrame) -> DataFrame:
+        """(a, b, n_a, n_b, i): i is the size of the intersection."""
+        both = self.sides(pairs.select("a", "b"), own, F.col("n"), F.col("tokens"))
+        return both.select("a", "b", "n_a", "n_b", F.size(F.array_intersect("tokens_a", "tokens_b")).cast("long").alias("i"))
+
+    def verified(self, step: str, pairs: DataFrame, own: DataFrame) -> DataFrame:
+        """(a, b, i, linked) of the pairs that all orders leave: linked are the similar ones."""
+        pairs = self.stage.put(pairs)
+        left = self.stage.put(self.candidates(pairs, own))
+        self.report[step] = pairs, left
+        return self.common(left, own).select("a", "b", "i", (100 * F.col("i") >= self.percent * (F.col("n_a") + F.col("n_b") - F.col("i"))).alias("linked"))
 
     def run(self) -> DataFrame:
         """(id, n_shingles, component_id) of every row."""
@@ -200,7 +241,7 @@ class JaccardClasses:
         middles = held.groupBy("token").agg(barest, F.count(F.lit(1)).alias("_sets")).where("_sets > 1").select("token", F.col("f.key").alias("middle"))
         starred = stage.put(held.join(middles, "token").select("token", "key", "n", "c", "middle"))
         stars = starred.where("key <> middle").select(F.col("key").alias("a"), F.col("middle").alias("b")).distinct()
-        near = stage.put(self.compared(stars, own))
+        near = stage.put(self.verified("middles", stars, own))
         stage.sweep()
         edges = near.where("linked").select("a", "b")
         joined = stage.put(components(edges, stage))
@@ -209,11 +250,13 @@ class JaccardClasses:
         common = near.select(F.col("a").alias("key"), F.col("b").alias("middle"), "i")
         marked = (
             starred.join(joined.select(F.col("node").alias("key"), "comp"), "key", "left").join(common, ["key", "middle"], "left")
-            .select("middle", "key", "n", "c", F.coalesce("comp", "key").alias("comp"), F.coalesce("i", "c").alias("i")).distinct()
+            .select("middle", "key", "n", "c", F.coalesce("comp", "key").alias("comp"), F.when(F.col("key") == F.col("middle"), F.col("c")).otherwise(F.col("i")).alias("i")).distinct()
         )
-        live = stage.put(self.live(self.live(marked)))
-        rest = self.possible(live).select("a", "b").distinct()
-        more = stage.put(self.compared(rest, own).where("linked").select("a", "b"))
+        several = stage.put(self.live(marked))
+        ruled_out = several.where("i IS NULL").select(F.col("key").alias("a"), F.col("middle").alias("b"))
+        bound = self.common(ruled_out, own).select(F.col("a").alias("key"), F.col("b").alias("middle"), F.col("i").alias("_bound"))
+        live = stage.put(self.live(several.join(bound, ["key", "middle"], "left").withColumn("i", F.coalesce("i", "_bound")).select(marked.columns)))
+        more = stage.put(self.verified("classes", self.possible(live), own).where("linked").select("a", "b"))
         final = stage.put(components(edges.unionByName(more), stage))
 
         least = self.nodes.select("key", "least").join(final.select(F.col("node").alias("key"), "comp"), "key", "left").withColumn("comp", F.coalesce("comp", "key"))
@@ -223,7 +266,7 @@ class JaccardClasses:
             self.profiles.join(of_key, "key", "left")
             .select("id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("id")).alias("component_id"))
         )
-        stage.drop(own, held, starred, near, joined, live, more)
+        stage.drop(own, held, starred, near, joined, several, live, more)
         return out
 
     def live(self, marked: DataFrame) -> DataFrame:
@@ -236,16 +279,21 @@ class JaccardClasses:
         """Pairs (a, b) of a middle's sets in different classes that can be similar enough.
 
         Sets with a common prefix token have its middle in common, so these are all candidates.
-        First come the pairs of shapes (class, size, shared tokens, those shared with the
-        middle) that a middle has, then the sets of the shapes that are left.
+        First come the pairs of shapes (size, shared tokens, those shared with the middle) that
+        a middle has, then the classes that have them, then the classes' sets.
         """
-        shape = ["comp", "n", "c", "i"]
-        shapes = live.select("middle", *shape).distinct()
-        x, y = (shapes.select("middle", *(F.col(c).alias(f"{c}_{s}") for c in shape)) for s in "xy")
+        shape = ["n", "c", "i"]
+
+        def of(side: str, *columns: str) -> DataFrame:
+            return live.select("middle", *columns, *(F.col(c).alias(f"{c}_{side}") for c in shape)).distinct()
+
+        on = {x: ["middle", *(f"{c}_{x}" for c in shape)] for x in "xy"}
         most = F.least("i_x", "i_y") + F.least(F.col("c_x") - F.col("i_x"), F.col("c_y") - F.col("i_y"))
         enough = (100 + self.percent) * most >= self.percent * (F.col("n_x") + F.col("n_y"))
-        sizes = 100 * F.least("n_x", "n_y") >= self.percent * F.greatest("n_x", "n_y")
-        left = x.join(y, "middle").where((F.col("comp_x") < F.col("comp_y")) & sizes & enough)
-        a = live.select("middle", F.col("key").alias("a"), *(F.col(c).alias(f"{c}_x") for c in shape))
-        b = live.select("middle", F.col("key").alias("b"), *(F.col(c).alias(f"{c}_y") for c in shape))
-        return left.join(a, ["middle", *(f"{c}_x" for c in shape)]).join(b, ["middle", *(f"{c}_y" for c in shape)])
+        sizes = (F.col("n_x") <= F.col("n_y")) & (100 * F.col("n_x") >= self.percent * F.col("n_y"))
+        shapes = of("x").join(of("y"), "middle").where(sizes & enough)
+        classes = shapes.join(of("x", "comp").withColumnRenamed("comp", "comp_x"), on["x"]).join(of("y", "comp").withColumnRenamed("comp", "comp_y"), on["y"]).where("comp_x <> comp_y")
+        a = of("x", "comp", "key").withColumnsRenamed({"key": "a", "comp": "comp_x"})
+        b = of("y", "comp", "key").withColumnsRenamed({"key": "b", "comp": "comp_y"})
+        pairs = classes.join(a, [*on["x"], "comp_x"]).join(b, [*on["y"], "comp_y"])
+        return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()

@@ -161,6 +161,49 @@ def test_jaccard_of_chains_hubs_and_passages(spark):
     assert got == brute_classes(rows)
 
 
+def test_the_same_classes_where_the_keys_are_too_many_for_a_filter(spark):
+    rows = documents()
+    got = neardup.JaccardClasses(frame(spark, rows), max_bits=0).run().collect()
+    assert {(r.id, r.n_shingles, r.component_id) for r in got} == {(i, *v) for i, v in brute_classes(rows).items()}
+
+
+def test_the_filter_grows_with_the_keys(spark):
+    keys = spark.range(50_000).select(F.abs(F.xxhash64("id")).alias("key"))
+    bits = neardup.bloom_bits(200_000)
+    assert bits >= 16 * 200_000 and neardup.bloom_bits(1) == 1 << 20
+    own = neardup._bloom(keys, neardup.bloom_bits(50_000))
+    held = [r.key for r in keys.limit(500).collect()]
+    assert all(neardup.in_filter(own, k) for k in held)
+    assert sum(neardup.in_filter(own, k * 3 % (1 << 62)) for k in held) < 25
+
+
+def test_pairs_under_one_order_alone_are_not_compared(spark, monkeypatch):
+    """Sets with a shared prefix token by rarity, but not by hash both ways, aren't intersected."""
+    n, p = 40, neardup.prefix_length(40, 80)
+
+    def row(key, own_low, shared, own_high):
+        tokens = sorted([*own_low, *shared, *own_high])
+        return key, key, n, len(tokens), tokens[p - 1], tokens[-p], tokens, shared[:p]
+
+    shared = list(range(1000, 1020))
+    sets = [row(1, range(10), shared, range(2000, 2010)), row(2, range(10, 20), shared, range(2010, 2020)), row(3, range(10), shared, range(2000, 2010))]
+    own = spark.createDataFrame(sets, "key long, least long, n long, c long, up long, down long, tokens array<long>, prefix array<long>")
+    join = neardup.JaccardClasses(frame(spark, []).limit(0))
+    pairs = spark.createDataFrame([(1, 2), (1, 3), (2, 3)], "a long, b long")
+    compared = []
+    common = neardup.JaccardClasses.common
+
+    def watched(self, left, own):
+        compared.extend((r.a, r.b) for r in left.collect())
+        return common(self, left, own)
+
+    monkeypatch.setattr(neardup.JaccardClasses, "common", watched)
+    assert [(r.a, r.b, r.i, r.linked) for r in join.verified("test", pairs, own).collect()] == [(1, 3, 40, True)]
+    assert compared == [(1, 3)]
+    before, after = join.report["test"]
+    assert (before.count(), after.count()) == (3, 1)
+
+
 def test_jaccard_of_an_empty_table(spark):
     assert neardup.JaccardClasses(frame(spark, []).limit(0)).run().count() == 0
 
