@@ -3,11 +3,12 @@
 A model holds the probability of hashed byte trigrams in each language. A document's counts
 are a mixture of the languages and of noise, whose trigrams are all alike; expectation
 maximisation estimates the shares, and the set of languages is the one whose likelihood,
-less a penalty for each member, is highest. The prediction is the largest share's language.
+less a penalty for each member, is highest. The prediction is the largest share's language;
+where noise alone is chosen, it is the likeliest language, with score 0.
 
 Defined results: a text that is null or has no letter is ``und`` with score 0; so is any text
-where the model has no language; equal shares go to the language that sorts first; rows are
-independent of each other.
+where the model has no language; equal shares, and texts without a trigram, go to the
+language that sorts first; rows are independent of each other.
 """
 
 from __future__ import annotations
@@ -26,7 +27,12 @@ from pyspark.sql.pandas.types import to_arrow_type
 from gradsift.llm.bytescan import chunks
 
 BINS = 1 << 15
-_HAS_LETTER = re.compile(r"[^\W\d_]")
+_LATIN = re.compile("[A-Za-z]")
+
+
+def has_letter(text: str) -> bool:
+    """Whether a character of the general category L is in it: fractions and Roman numerals aren't."""
+    return _LATIN.search(text) is not None or any(map(str.isalpha, text))
 
 
 @lru_cache(maxsize=1)
@@ -89,6 +95,10 @@ class LanguageModel:
                 out[kept] = own
         return out, chosen
 
+    def likeliest(self, bins: np.ndarray, counts: np.ndarray) -> int:
+        """The language that alone explains the counts best."""
+        return int((np.log(self.table[:-1, bins]) @ counts).argmax())
+
     @staticmethod
     def _fit(like: np.ndarray, counts: np.ndarray, pi: np.ndarray, rounds: int) -> np.ndarray:
         for _ in range(rounds):
@@ -147,14 +157,14 @@ def identify(docs: DataFrame, model: LanguageModel, text_col: str = "text", keep
             pred, score, noise, sets = [], [], [], []
             for text, (bins, counts) in zip(texts, trigram_counts(texts), strict=True):
                 raw = text.as_py()
-                if raw is None or not names or _HAS_LETTER.search(raw) is None:
+                if raw is None or not names or not has_letter(raw):
                     pred.append("und")
                     score.append(0.0)
                     noise.append(0.0)
                     sets.append([])
                     continue
                 shares, chosen = m.shares(bins, counts)
-                k = int(shares[:-1].argmax())
+                k = int(shares[:-1].argmax()) if shares[:-1].any() else m.likeliest(bins, counts)
                 pred.append(names[k])
                 score.append(min(1.0, max(0.0, float(shares[k]))))
                 noise.append(float(shares[-1]))

@@ -71,8 +71,8 @@ def op8_merkle_fixity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def held_out() -> Column:
-    """A fifth of the documents, by a checksum of the id."""
-    return F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(5)) == 0
+    """A fifth of the documents, by a checksum of the id. A null id is held out."""
+    return F.coalesce(F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(5)) == 0, F.lit(True))
 
 
 def op9_language_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
