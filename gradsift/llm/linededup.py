@@ -69,15 +69,21 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
         .select(F.col("_id").alias("_gone_id"), "_gone")
     )
     lines = _lines(F.col(text_col))
+    # a long text has many lines and many to drop: these are looked up by a part of their hash
+    parts = F.when(F.size("_gone") > 64, F.lit(256)).otherwise(F.lit(1))
+    looked_up = F.transform(F.sequence(F.lit(0), parts - 1), lambda k: F.filter("_gone", lambda g: F.pmod(g["a"], parts) == k))
 
-    def stays(line: Column) -> Column:
-        key = _key(line)
-        return (F.char_length(key) < min_chars) | ~F.array_contains(F.col("_gone"), _digest(key))
+    def stays(at: Column) -> Column:
+        key = _key(at["line"])
+        own = _digest(key)
+        return (F.char_length(key) < min_chars) | ~F.array_contains(F.get("_parts", F.pmod(own["a"], F.size("_parts")).cast("int")), own)
 
-    kept = F.filter(lines, stays)
+    placed = F.transform(lines, lambda line, i: F.struct(i.alias("pos"), line.alias("line")))
+    kept = F.transform(F.filter(placed, stays), lambda at: at["line"])
     own = [F.col(f"`{c}`") for c in docs.columns]
     out = (
         docs.join(gone, docs[id_col].eqNullSafe(gone["_gone_id"]), "left")
+        .withColumn("_parts", F.when(F.col("_gone").isNotNull(), looked_up))
         .withColumn("_kept", F.when(F.col("_gone").isNotNull(), kept))
         .withColumn("_n_lines", F.size(lines).cast("long"))
         .withColumn("_n_dropped", F.when(F.col("_gone").isNull(), F.lit(0)).otherwise(F.col("_n_lines") - F.size("_kept")).cast("long"))
