@@ -27,6 +27,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
 
 from gradsift.llm.bytescan import ALNUM_SPLIT, chunks
+from gradsift.llm.staging import Stage
 
 WINDOW = 13
 #: Bytes of item text searched at once.
@@ -155,16 +156,27 @@ def _blocks(items: DataFrame, id_col: str, text_col: str, limit: int) -> Iterato
 def find_contamination(docs: DataFrame, items: DataFrame, text_col: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = WINDOW, block_bytes: int = ITEM_BLOCK_BYTES, keep: list[str] | None = None) -> DataFrame:
     """The kept columns (doc_id, if None), n_words, hit_runs and items, for each row.
 
-    hit_runs are the runs [a, b) of hit words, items the ids of the occurring items. Of the
-    benchmark, one block at a time is on the driver.
+    hit_runs are the runs [a, b) of hit words, items the ids of the occurring items. Of a
+    benchmark of several blocks, two at a time are on the driver.
     """
     spark, keep = docs.sparkSession, keep or ["doc_id"]
     source = docs.select(F.col(text_col).alias("_text"), *(F.col(f"`{c}`").alias(f"_k{i}") for i, c in enumerate(keep)))
-    parts = [_search(source, spark.sparkContext.broadcast(block), window) for block in _blocks(items, item_id, item_text, block_bytes)]
-    every = parts[0] if parts else _search(source, spark.sparkContext.broadcast([]), window)
-    if len(parts) > 1:
-        for p in parts[1:]:
-            every = every.unionByName(p)
+    source = source.withColumn("_row", F.monotonically_increasing_id())
+    blocks = _blocks(items, item_id, item_text, block_bytes)
+    block, later = next(blocks, []), next(blocks, None)
+    if later is None:
+        every = _search(source, spark.sparkContext.broadcast(block), window)
+    else:
+        # rows are numbered once, and written, so that all passes number them alike
+        stage = Stage(spark, "contamination")
+        source, every = stage.put(source), None
+        while block is not None:
+            shared = spark.sparkContext.broadcast(block)
+            found = _search(source, shared, window)
+            part = stage.put(found if every is None else found.where(F.size("hit_runs") > 0))
+            shared.destroy()
+            every = part if every is None else every.unionByName(part)
+            block, later = later, next(blocks, None)
         kept = [F.first(f"_k{i}").alias(f"_k{i}") for i in range(len(keep))]
         every = every.groupBy("_row").agg(
             *kept, F.first("n_words").alias("n_words"), F.flatten(F.collect_list("hit_runs")).alias("hit_runs"),
@@ -177,11 +189,11 @@ _LAST: list = [None, None]
 
 
 def _search(source: DataFrame, shared, window: int) -> DataFrame:
-    """A pass over the texts with the tables of one block of items. _row tells rows apart."""
+    """A pass over the texts, the first column, with the tables of one block of items."""
     keep = source.columns[1:]
     schema = pa.schema(
         [(c, to_arrow_type(source.schema[c].dataType)) for c in keep]
-        + [("_row", pa.int64()), ("n_words", pa.int64()), ("hit_runs", pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())]))), ("items", pa.list_(pa.string()))]
+        + [("n_words", pa.int64()), ("hit_runs", pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())]))), ("items", pa.list_(pa.string()))]
     )
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -197,9 +209,8 @@ def _search(source: DataFrame, shared, window: int) -> DataFrame:
             made = [pa.array(v, schema.field(k).type) for k, v in (("n_words", n_words), ("hit_runs", runs), ("items", items))]
             yield pa.RecordBatch.from_arrays([*batch.columns[1:], *made], schema=schema)
 
-    kinds = "".join(f"{c} {source.schema[c].dataType.simpleString()}, " for c in [*keep, "_row"] if c != "_row")
-    numbered = source.withColumn("_row", F.monotonically_increasing_id())
-    return numbered.mapInArrow(run, kinds + "_row long, n_words long, hit_runs array<struct<a:int,b:int>>, items array<string>")
+    kinds = "".join(f"{c} {source.schema[c].dataType.simpleString()}, " for c in keep)
+    return source.mapInArrow(run, kinds + "n_words long, hit_runs array<struct<a:int,b:int>>, items array<string>")
 
 
 def covered(runs: Column) -> Column:
