@@ -5,7 +5,8 @@ next white space, or white space of its own. Byte-level BPE cuts there in any ca
 word's ids don't depend on its neighbours. Each block sends its distinct words once, packed
 by word hash, so a frequent word costs one entry a block and not one an occurrence. A task
 of a hash slot merges what the blocks sent, encodes each distinct word once and sends the
-ids back to the block; its texts, packed, meet them there, and each word's place gets the
+ids back to the block; it takes the blocks of 64 input tasks and 32 blocks of each at most, 8 GB
+of texts, so its input doesn't grow with the corpus; its texts, packed, meet them there, and each word's place gets the
 word's ids. Decoding looks each id up in the id-to-piece table, whose size is the
 vocabulary's.
 
@@ -33,6 +34,9 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
 
 BLOCK_BYTES = 4 << 20
+#: Input tasks, and blocks of each, whose words one task merges.
+COHORT = (64, 32)
+_TASK = 1_000_000
 _WORDS = re.compile(r" ?\S+|\s+(?!\S)|\s+")
 _RARE = re.compile("[^\x00-\x1b\x20-ʯ‐-‧₠-₿]")
 
@@ -150,13 +154,18 @@ def _blocks(batches: Iterator[pa.RecordBatch], block_bytes: int) -> Iterator[tup
             texts.append(text)
             size += len(text) + 64
             if size >= block_bytes:
-                yield part * 1_000_000 + k, ids, texts
+                yield part * _TASK + k, ids, texts
                 k, ids, texts, size = k + 1, [], [], 0
     if ids:
-        yield part * 1_000_000 + k, ids, texts
+        yield part * _TASK + k, ids, texts
 
 
-def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = BLOCK_BYTES, n_slots: int | None = None, decoded_col: str | None = None) -> DataFrame:
+def cohort_of(block: int, tasks: int, blocks: int) -> int:
+    """A number for the blocks whose words meet; each has tasks * blocks of them at most."""
+    return block // _TASK // tasks * _TASK + block % _TASK // blocks
+
+
+def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = BLOCK_BYTES, n_slots: int | None = None, decoded_col: str | None = None, cohort: tuple[int, int] = COHORT) -> DataFrame:
     """(id, ids): ids are little-endian unsigned 32-bit integers. spec: the tokenizer's JSON.
 
     With decoded_col, also the text of the ids, as decode gives it, by the same worker.
@@ -168,7 +177,7 @@ def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "
     source = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
     id_type = source.schema["_id"].dataType.simpleString()
     id_arrow = to_arrow_type(source.schema["_id"].dataType)
-    exchange = pa.schema([("_slot", pa.int32()), ("_block", pa.int64()), ("_words", pa.binary())])
+    exchange = pa.schema([("_slot", pa.int32()), ("_cohort", pa.int64()), ("_block", pa.int64()), ("_words", pa.binary())])
     answer = pa.schema([("_block", pa.int64()), ("_blob", pa.binary())])
 
     def distinct_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -177,7 +186,7 @@ def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "
             found: set[str] = set()
             for text in texts:
                 found.update(split(text))
-            rows = [(s, block, _pack(*_pack_words(ws))) for s, ws in enumerate(_by_slot(found, slots)) if ws]
+            rows = [(s, cohort_of(block, *cohort), block, _pack(*_pack_words(ws))) for s, ws in enumerate(_by_slot(found, slots)) if ws]
             yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), exchange, strict=True)] if rows else [pa.array([], f.type) for f in exchange], schema=exchange)
 
     def encode_slot(group: pa.Table) -> pa.Table:
@@ -235,8 +244,8 @@ def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "
         return pa.table([*made, pa.array(map(join.text, out), pa.string())], names=["_id", "ids", decoded_col])
 
     answers = (
-        source.mapInArrow(distinct_words, "_slot int, _block long, _words binary")
-        .groupBy("_slot").applyInArrow(encode_slot, "_block long, _blob binary")
+        source.mapInArrow(distinct_words, "_slot int, _cohort long, _block long, _words binary")
+        .groupBy("_slot", "_cohort").applyInArrow(encode_slot, "_block long, _blob binary")
     )
     placed = source.mapInArrow(packed, "_block long, _blob binary")
     # two exchanges, not a union: a task of a union has another partition number, and so block
