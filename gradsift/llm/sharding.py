@@ -1,9 +1,10 @@
 """Shards by fixed virtual slots.
 
 A record's slot is a hash of its id, and never changes. Bytes are summed per slot, and a
-small versioned table maps slots to shards. Version 1 deals the slots out in turn; a later
-version is an edit of the one before, made to even out the shards' bytes or to take in
-another shard. Only the moved slots' records move.
+small versioned table, kept beside the shards, maps slots to shards. Version 1 deals the
+slots out in turn; a later version is an edit of the one before, made to even out the
+shards' bytes or to take in another shard. Only the moved slots' records move. A stored
+version is never written again.
 
 Defined results: a null text has no bytes; a null id is an id of its own; rows that repeat
 an id share a slot; an empty table has no rows and an unedited map.
@@ -11,12 +12,15 @@ an id share a slot; an empty table has no rows and an unedited map.
 
 from __future__ import annotations
 
+import uuid
 from dataclasses import dataclass, field
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from gradsift.llm.staging import shared_dir
+
 N_SLOTS = 4096
 
 
@@ -104,51 +108,103 @@ class SlotMap:
         self.versions.append(shard)
         return moved
 
-    def frame(self, spark: SparkSession) -> DataFrame:
-        """(version, slot, shard), to be stored beside the shards."""
-        rows = [(v + 1, s, int(x)) for v, m in enumerate(self.versions) for s, x in enumerate(m)]
+    def frame(self, spark: SparkSession, first: int = 1) -> DataFrame:
+        """(version, slot, shard) of the versions from the first on."""
+        rows = [(v, s, int(x)) for v, m in enumerate(self.versions, 1) if v >= first for s, x in enumerate(m)]
         return spark.createDataFrame(rows, "version int, slot int, shard int")
 
-
-def slot_totals(docs: DataFrame, id_col: str, text_col: str, n_slots: int = N_SLOTS) -> tuple[np.ndarray, np.ndarray]:
-    """Bytes and rows of each slot; n_slots rows reach the driver."""
-    size, rows = np.zeros(n_slots, dtype=np.int64), np.zeros(n_slots, dtype=np.int64)
+    def store(self, spark: SparkSession, path: str) -> None:
+        """Writes the versions that the path doesn't have, each to a folder of its own."""
+        for v in range(_stored(spark, path) + 1, len(self.versions) + 1):
+            self.frame(spark, v).where(F.col("version") == v).drop("version").coalesce(1).write.mode("error").parquet(f"{path}/version={v}")
+
+    @staticmethod
+    def load(spark: SparkSession, path: str) -> SlotMap:
+        """The map as stored, with all its versions."""
+        last = _stored(spark, path)
+        if not last:
+            raise FileNotFoundError(f"no slot map in {path}")
+        versions = []
+        for v in range(1, last + 1):
+            rows = spark.read.parquet(f"{path}/version={v}").toPandas().sort_values("slot")
+            if rows["slot"].tolist() != list(range(len(rows))):
+                raise ValueError(f"version {v} of the slot map has not every slot once")
+            versions.append(rows["shard"].to_numpy(dtype=np.int64))
+        return SlotMap(int(versions[-1].max()) + 1, len(versions[-1]), versions)
+
+
+def _stored(spark: SparkSession, path: str) -> int:
+    """The number of finished versions in a path."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    fs, last = at.getFileSystem(spark._jsc.hadoopConfiguration()), 0
+    while fs.exists(spark._jvm.org.apache.hadoop.fs.Path(f"{path}/version={last + 1}/_SUCCESS")):
+        last += 1
+    return last
+
+
+#: Rows of a part of a slot, which one task orders.
+PART_ROWS = 1_000_000
+
+
+def slot_totals(docs: DataFrame, id_col: str, text_col: str, n_slots: int = N_SLOTS, parts: int = 1) -> tuple[np.ndarray, np.ndarray]:
+    """Bytes of each slot, and rows of each slot's parts; n_slots * parts rows reach the driver."""
+    size, rows = np.zeros(n_slots, dtype=np.int64), np.zeros((n_slots, parts), dtype=np.int64)
     found = (
-        docs.select(slot_of(id_col, n_slots).alias("s"), record_bytes(text_col).alias("b"))
-        .groupBy("s").agg(F.sum("b").alias("b"), F.count(F.lit(1)).alias("n"))
+        docs.select(slot_of(id_col, n_slots).alias("s"), _part_of(id_col, text_col, parts).alias("p"), record_bytes(text_col).alias("b"))
+        .groupBy("s", "p").agg(F.sum("b").alias("b"), F.count(F.lit(1)).alias("n"))
     )
     for r in found.collect():
-        size[r["s"]], rows[r["s"]] = r["b"], r["n"]
+        size[r["s"]] += r["b"]
+        rows[r["s"], r["p"]] = r["n"]
     return size, rows
 
 
-def shard_records(docs: DataFrame, n_shards: int, id_col: str = "doc_id", text_col: str = "text", n_slots: int = N_SLOTS) -> tuple[DataFrame, SlotMap]:
+def _checksum(text_col: str) -> Column:
+    return F.crc32(F.coalesce(F.col(text_col), F.lit("")).cast("binary"))
+
+
+def _part_of(id_col: str, text_col: str, parts: int) -> Column:
+    """Of a slot, by id and text, so that rows that repeat an id don't all meet."""
+    return F.lit(0) if parts == 1 else F.pmod(F.xxhash64(F.lit("part"), F.col(id_col), _checksum(text_col)), F.lit(parts)).cast("int")
+
+
+def shard_records(docs: DataFrame, n_shards: int, id_col: str = "doc_id", text_col: str = "text", n_slots: int = N_SLOTS, map_path: str | None = None, part_rows: int = PART_ROWS) -> tuple[DataFrame, SlotMap]:
     """Each record's size, checksum, virtual slot, shard and place in its shard; and the map.
 
-    A place is the rank within the virtual slot plus the rows of the shard's earlier slots, so
-    the places of a shard run from 0 without a gap, and no task sorts more than its slots.
+    The map is the one stored in map_path, or a new one of n_shards; it is rebalanced by an
+    edit, stored as the next version, and read back for the join. A place is the rank within
+    a part of the virtual slot plus the rows of the shard's earlier slots and parts, so the
+    places of a shard run from 0 without a gap, and a task orders about part_rows rows.
     """
-    size, rows = slot_totals(docs, id_col, text_col, n_slots)
-    placed = SlotMap(n_shards, n_slots)
+    spark = docs.sparkSession
+    map_path = map_path or f"{shared_dir(spark)}/slot-map-{uuid.uuid4().hex}"
+    placed = SlotMap.load(spark, map_path) if _stored(spark, map_path) else SlotMap(n_shards, n_slots)
+    if placed.n_shards > n_shards:
+        raise ValueError(f"the stored map has {placed.n_shards} shards")
+    n_slots = placed.n_slots
+    parts = max(1, -(-docs.count() // (n_slots * part_rows)))
+    size, rows = slot_totals(docs, id_col, text_col, n_slots, parts)
+    while placed.n_shards < n_shards:
+        placed.grow(size)
     placed.rebalance(size)
-    shard = placed.current
-    first = np.zeros(n_slots, dtype=np.int64)
-    for s in range(n_shards):
-        own = np.flatnonzero(shard == s)
-        first[own] = np.cumsum(rows[own]) - rows[own]
-    table = docs.sparkSession.createDataFrame(
-        [(i, int(shard[i]), int(first[i])) for i in range(n_slots)], "_vs int, shard int, _first long"
+    placed.store(spark, map_path)
+    placed = SlotMap.load(spark, map_path)
+    shard, first = placed.current, np.zeros((n_slots, parts), dtype=np.int64)
+    for s in range(placed.n_shards):
+        own = shard == s
+        upto = np.cumsum(rows[own])
+        first[own] = (upto - rows[own].ravel()).reshape(-1, parts)
+    table = spark.createDataFrame(
+        [(i, p, int(shard[i]), int(first[i, p])) for i in range(n_slots) for p in range(parts)], "_vs int, _part int, shard int, _first long"
     )
     records = docs.select(
-        F.col(id_col).alias("doc_id"),
-        record_bytes(text_col).alias("size"),
-        F.crc32(F.coalesce(F.col(text_col), F.lit("")).cast("binary")).alias("text_crc32"),
-        slot_of(id_col, n_slots).alias("_vs"),
+        F.col(id_col).alias("doc_id"), record_bytes(text_col).alias("size"), _checksum(text_col).alias("text_crc32"),
+        slot_of(id_col, n_slots).alias("_vs"), _part_of(id_col, text_col, parts).alias("_part"),
     )
-    order = Window.partitionBy("_vs").orderBy("doc_id", "text_crc32", "size")
+    order = Window.partitionBy("_vs", "_part").orderBy("doc_id", "text_crc32", "size")
     out = (
         records.withColumn("_rank", F.row_number().over(order) - 1)
-        .join(F.broadcast(table), "_vs")
+        .join(F.broadcast(table), ["_vs", "_part"])
         .select(
             "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard",
             (F.col("_first") + F.col("_rank")).alias("slot"), F.lit(None).cast("int").alias("grown_shard"),

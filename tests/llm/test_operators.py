@@ -358,6 +358,46 @@ def test_virtual_slots(spark):
     assert sharding.shard_records(frame(spark, rows).limit(0), 4)[0].count() == 0
 
 
+def test_shards_equal_a_plain_count(spark):
+    """Sizes, checksums, and places by the map: rows in the order of slots and ids."""
+    import zlib
+
+    rows = documents()
+    out, placed = sharding.shard_records(frame(spark, rows), 4, n_slots=64)
+    slots = dict(spark.createDataFrame([(r[0],) for r in rows], "doc_id long").select("doc_id", sharding.slot_of("doc_id", 64).alias("s")).collect())
+    count, want = Counter(), Counter()
+    for key in sorted((slots[i], i, zlib.crc32((t or "").encode()), len((t or "").encode()) + 1) for i, t, *_ in rows):
+        s, i, crc, size = key
+        shard = int(placed.current[s])
+        want[i, size, crc, "bytes", shard, count[shard], None, s, 2] += 1
+        count[shard] += 1
+    assert Counter(map(tuple, out.collect())) == want
+
+
+def test_places_have_no_gaps_where_slots_have_parts(spark):
+    rows = documents() + [(10, f"same id, text {i}", "en", "s", 1, "", 1) for i in range(200)]
+    out = sharding.shard_records(frame(spark, rows), 3, n_slots=8, part_rows=5)[0].collect()
+    by_shard = defaultdict(list)
+    for r in out:
+        by_shard[r.shard].append(r.slot)
+    assert len(out) == len(rows) and all(sorted(s) == list(range(len(s))) for s in by_shard.values())
+
+
+def test_a_stored_map_is_edited(spark, tmp_path):
+    path, docs = f"file://{tmp_path}/map", frame(spark, documents())
+    first, one = sharding.shard_records(docs, 4, n_slots=64, map_path=path)
+    kept = {(r.doc_id, r.text_crc32): r.shard for r in first.collect()}
+    more = docs.unionByName(docs.withColumn("doc_id", F.col("doc_id") + 1000))
+    second, two = sharding.shard_records(more, 5, map_path=path)
+    assert len(one.versions) == 2 and len(two.versions) == 4 and all((a == b).all() for a, b in zip(one.versions, two.versions, strict=False))
+    again = sharding.SlotMap.load(spark, path)
+    assert again.n_shards == 5 and all((a == b).all() for a, b in zip(again.versions, two.versions, strict=True))
+    moved = (two.versions[-1] != two.versions[1]).mean()
+    assert 0 < moved < 0.6 and {r.shard for r in second.collect()} == set(range(5)) and set(kept.values()) == set(range(4))
+    with pytest.raises(FileNotFoundError):
+        sharding.SlotMap.load(spark, f"file://{tmp_path}/none")
+
+
 def test_rebalancing_evens_out_and_growth_only_fills_the_new_shard():
     rng = np.random.default_rng(0)
     size = rng.integers(1, 1000, 4096)
@@ -403,6 +443,18 @@ def test_bpe_equals_the_library(spark):
     assert tokenize.encode(frame(spark, rows).limit(0), spec).count() == 0
 
 
+def test_a_word_tasks_input_is_bounded(spark):
+    groups = Counter()
+    for task in range(300):
+        for k in range(100):
+            groups[tokenize.cohort_of(task * 1_000_000 + k, *tokenize.COHORT)] += 1
+    assert max(groups.values()) <= tokenize.COHORT[0] * tokenize.COHORT[1] and len(groups) >= 300 * 100 / 2048
+    spec, docs = queries.tokenizer_spec(), frame(spark, documents(), 5)
+    whole = {tuple(r) for r in tokenize.encode(docs, spec).select("doc_id", "ids").collect()}
+    apart = tokenize.encode(docs, spec, block_bytes=1000, n_slots=3, cohort=(2, 1))
+    assert {tuple(r) for r in apart.select("doc_id", "ids").collect()} == whole
+
+
 def test_words_keep_the_librarys_borders():
     import random
 
@@ -448,20 +500,68 @@ def test_language_accuracy_held_out(spark):
     assert all(0 <= r.score <= 1 for r in got)
 
 
+def test_mixtures_equal_a_plain_expectation_maximisation():
+    """Shares, penalised choice and the likeliest language, by loops over trigrams."""
+    from itertools import count
+    from math import log
+
+    rng = np.random.default_rng(1)
+    table = rng.dirichlet(np.full(40, 0.3), 3) + 1e-4
+    table = np.vstack([table, np.full(40, 1 / 40)])
+    model = langid.LanguageModel(("a", "b", "c"), table / table.sum(axis=1, keepdims=True), penalty=3.0)
+
+    def em(rows, counts, rounds):
+        pi = [1 / len(rows)] * len(rows)
+        for _ in range(rounds):
+            new = [0.0] * len(rows)
+            for t, n in counts.items():
+                total = sum(p * model.table[r][t] for p, r in zip(pi, rows, strict=True))
+                for k, r in enumerate(rows):
+                    new[k] += n * pi[k] * model.table[r][t] / total
+            pi = [x / sum(counts.values()) for x in new]
+        return pi
+
+    for _, mix in zip(count(), ([1, 0, 0, 0], [0.6, 0.4, 0, 0], [0, 0, 0, 1], [0.3, 0.3, 0.3, 0.1]), strict=False):
+        drawn = Counter(rng.choice(40, 400, p=np.array(mix) @ model.table).tolist())
+        start = em([0, 1, 2, 3], drawn, 12)
+        order = sorted(range(4), key=lambda r: (-start[r], r))
+        best = (-float("inf"), None, None)
+        for k in range(1, 5):
+            if k > 1 and start[order[k - 1]] < 0.02:
+                break
+            own = em(order[:k], drawn, 12)
+            fit = sum(n * log(sum(p * model.table[r][t] for p, r in zip(own, order[:k], strict=True))) for t, n in drawn.items())
+            score = fit - 3.0 * (k - 1) * log(400)
+            if score > best[0]:
+                best = (score, order[:k], own)
+        bins = np.array(sorted(drawn))
+        shares, chosen = model.shares(bins, np.array([drawn[b] for b in bins.tolist()]))
+        assert list(chosen) == best[1] and [shares[r] for r in chosen] == pytest.approx(best[2])
+        likeliest = max(range(3), key=lambda r: sum(n * log(model.table[r][t]) for t, n in drawn.items()))
+        assert model.likeliest(bins, np.array([drawn[b] for b in bins.tolist()])) == likeliest
+
+
+def test_letters_are_letters(spark):
+    assert not any(map(langid.has_letter, ("½ ²", "Ⅷ 12", "…!", "")))
+    assert all(map(langid.has_letter, ("a", "ß", "ª", "漢", "1é")))
+    docs = spark.createDataFrame([(None, "a", "en"), (3, "b", "en")], "doc_id long, text string, lang string")
+    assert docs.where(queries.held_out().isNull()).count() == 0
+
+
 def test_mixture_shares_and_edges(spark):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     model = langid.fit(docs)
     text = {r.lang: r.text for r in docs.where("n_chars > 2500").dropDuplicates(["lang"]).collect()}
     mixed = text["fr"][:1500] + "\n" + text["en"][:500]
-    rows = [(1, mixed), (2, None), (3, "12 !? …"), (4, ""), (5, "a"), (6, text["de"]), (6, text["de"]), (7, "qzxj7vkq" * 300)]
+    rows = [(1, mixed), (2, None), (3, "12 !? …"), (4, ""), (5, "a"), (6, text["de"]), (6, text["de"]), (7, "qzxj7vkq" * 300), (8, "½ ²")]
     df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("_score", F.lit("clash"))
     out = [(r[0], r) for r in langid.identify(df, model, keep=["doc_id"]).collect()]
     got = dict(out)
     shares = {x.lang: x.share for x in got[1]._languages}
     assert len(out) == len(rows) and set(shares) == {"fr", "en"} and 0.6 < shares["fr"] < 0.9 and got[1]._lang_pred == "fr"
-    assert [got[i]._lang_pred for i in (2, 3, 4)] == ["und"] * 3 and got[2]._score == 0
+    assert [got[i]._lang_pred for i in (2, 3, 4, 8)] == ["und"] * 4 and got[2]._score == 0
     assert got[5]._lang_pred in model.languages and got[6]._lang_pred == "de"
-    assert got[7]._noise > 0.5
+    assert got[7]._noise > 0.5 and got[7]._lang_pred in model.languages and 0 <= got[7]._score <= 1
     empty = langid.fit(docs.limit(0))
     assert empty.languages == () and langid.identify(df, empty).where("_lang_pred <> 'und'").count() == 0
 
@@ -492,6 +592,13 @@ def test_line_dedup(spark):
     assert linededup.dedup_lines(frame(spark, rows).limit(0)).count() == 0
 
 
+def test_long_texts_with_many_common_lines(spark):
+    common = [f"common line number {i}, which is long enough to be counted by the rule" for i in range(300)]
+    rows = [(i, "\n".join([f"own {i}", *common, "end"])) for i in range(6)]
+    out = {r.doc_id: r for r in linededup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert out[5].text == rows[5][1] and all(out[i].text == f"own {i}\nend" and out[i]._n_dropped == 300 for i in range(5))
+
+
 def test_a_source_with_much_junk_is_bounded_by_its_language(spark):
     good = "plain words make up this text of a dozen different good terms here"
     junk = "plain ##$$%% words &&** ||<> make ##$$ up %%&& this text of different terms"
