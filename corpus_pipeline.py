@@ -53,12 +53,20 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 @own_columns
 def ngram_jaccard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each class of near copies, the document with the smallest id stays."""
-    classes = neardup.JaccardClasses(docs).run()
-    stays = classes.where(F.col("id").eqNullSafe(F.col("component_id"))).select(F.col("id").alias("_stays")).distinct()
-    once = Window.partitionBy("doc_id", F.xxhash64("text")).orderBy(F.lit(0))
-    kept = docs.join(stays, docs["doc_id"].eqNullSafe(stays["_stays"]), "left_semi")
-    return kept.withColumn("_nth", F.row_number().over(once)).where("_nth = 1").drop("_nth")
+    """Of each class of near copies, the row with the smallest id stays.
+
+    Rows are told apart by id and text; of rows equal in both, the one whose other columns
+    come first as JSON stays. Texts without words are in no class, and all stay.
+    """
+    row = {"_row_id": F.col("doc_id"), "_row_a": F.xxhash64("text"), "_row_b": F.xxhash64(F.lit("row"), F.col("text"))}
+    marked = docs.withColumns(row)
+    classes = neardup.JaccardClasses(marked.select(F.struct(*row).alias("row"), "text"), id_col="row").run()
+    stays = classes.where(F.col("id").eqNullSafe(F.col("component_id"))).select(*(F.col(f"id.{c}").alias(f"_of{c}") for c in row), F.col("n_shingles").alias("_n")).distinct()
+    same = marked["_row_id"].eqNullSafe(stays["_of_row_id"]) & (marked["_row_a"] == stays["_of_row_a"]) & (marked["_row_b"] == stays["_of_row_b"])
+    others = F.to_json(F.struct(*(F.col(f"`{c}`") for c in docs.columns if c not in ("doc_id", "text"))))
+    once = Window.partitionBy(*row).orderBy(others)
+    kept = marked.join(stays, same).withColumn("_nth", F.row_number().over(once))
+    return kept.where("_nth = 1 OR _n = 0").select(*(f"`{c}`" for c in docs.columns))
 
 
 @own_columns
