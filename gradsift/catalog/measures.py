@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from gradsift.catalog.fragments import RANKED, SCORE, Z, exact_sample, stats, u
@@ -192,21 +192,24 @@ def kept_by_label(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _labelled(three(spark, sf_dir), spark, sf_dir)
 
 
-@query(f"WITH {RANKED}, bb AS (SELECT *, CASE WHEN pct < 0.2 THEN 'plain' WHEN pct >= 0.9 THEN 'chaotic' WHEN pct >= 0.4 AND pct < 0.8 THEN 'informative' ELSE 'between' END AS band FROM r) SELECT band, count(*) AS n, round(avg(x3), 6) AS distinct_words, round(avg(ln(1 + length(t)::DOUBLE)), 6) AS log_chars, list_sort(list(rank))[1:3]::VARCHAR AS first_ranks FROM bb GROUP BY band")
+@query(f"WITH {RANKED}, bb AS (SELECT *, CASE WHEN pct < 0.2 THEN 'plain' WHEN pct >= 0.9 THEN 'chaotic' WHEN pct >= 0.4 AND pct < 0.8 THEN 'informative' ELSE 'between' END AS band FROM r) SELECT band, count(*) AS n, round(avg(x3), 6) AS distinct_words, round(avg(ln(1 + length(t)::DOUBLE)), 6) AS log_chars, list_sort(list(rank))[1:3]::VARCHAR AS first_ranks, list(doc_id ORDER BY rank)[1:3]::VARCHAR AS exemplars FROM bb GROUP BY band")
 def region_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Bands of the ranking: richness of their texts, and the ranks of three exemplars."""
-    r = ranked(spark, sf_dir)
+    """Bands of the ranking: richness of their texts, and three exemplars, with their ranks."""
     from gradsift.functions.features import text_statistics
 
+    band = F.when(F.col("pct") < 0.2, "plain").when(F.col("pct") >= 0.9, "chaotic").when((F.col("pct") >= 0.4) & (F.col("pct") < 0.8), "informative").otherwise("between")
+    r = ranked(spark, sf_dir).withColumn("band", band)
     s = text_statistics(F.col("text"))
     shape = corpora.table(spark, sf_dir, "documents").select("doc_id", s["distinct"].alias("d"), s["log_chars"].alias("c"))
-    band = F.when(F.col("pct") < 0.2, "plain").when(F.col("pct") >= 0.9, "chaotic").when((F.col("pct") >= 0.4) & (F.col("pct") < 0.8), "informative").otherwise("between")
-    out = r.join(shape, "doc_id").groupBy(band.alias("band")).agg(
-        F.count(F.lit(1)).alias("n"), F.round(F.avg("d"), 6).alias("distinct_words"), F.round(F.avg("c"), 6).alias("log_chars"), F.min("rank").alias("_first"),
-    )
-    ranks = F.array(*(F.col("_first") + i for i in range(3)))
-    # "between" has two runs of ranks; its exemplars come from the first, which is long enough
-    return out.select("band", "n", "distinct_words", "log_chars", F.concat(F.lit("["), F.array_join(ranks.cast("array<string>"), ", "), F.lit("]")).alias("first_ranks"))
+    out = r.join(shape, "doc_id").groupBy("band").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("d"), 6).alias("distinct_words"), F.round(F.avg("c"), 6).alias("log_chars"))
+    # a group limit leaves three rows of each band and task before the exchange
+    first = r.withColumn("_nth", F.row_number().over(Window.partitionBy("band").orderBy("rank"))).where("_nth <= 3")
+    top = first.groupBy("band").agg(F.sort_array(F.collect_list(F.struct("rank", "doc_id"))).alias("x"))
+
+    def shown(column: str) -> Column:
+        return F.concat(F.lit("["), F.array_join(F.transform("x", lambda e: e[column].cast("string")), ", "), F.lit("]"))
+
+    return out.join(top, "band").select("band", "n", "distinct_words", "log_chars", shown("rank").alias("first_ranks"), shown("doc_id").alias("exemplars"))
 
 
 @query(f"WITH {RANKED}, {SHIFT} SELECT round(1 - count(*) FILTER (pct < 0.2 AND k.doc_id IS NOT NULL)::DOUBLE / count(*) FILTER (pct < 0.2), 6) AS plain_removed, round(1 - count(*) FILTER (pct >= 0.9 AND k.doc_id IS NOT NULL)::DOUBLE / count(*) FILTER (pct >= 0.9), 6) AS chaotic_removed FROM r LEFT JOIN k ON k.doc_id = r.doc_id")

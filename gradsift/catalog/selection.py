@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from gradsift.catalog.fragments import RANKED, RATER, Z, exact_sample, gaussian, stats, u
 from gradsift.catalog.registry import query
 from gradsift.functions.networks import linear, mlp
-from gradsift.operators import pruning
+from gradsift.operators import batching, pruning
 from gradsift.operators.batching import assign_batches
 from gradsift.operators.pruning import ShiftedGaussian
 from gradsift.operators.ranking import approx_percentile_of, rank_corpus, splitters
@@ -99,13 +99,21 @@ def prune_shifted_gaussian(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pruning.prune_shifted_gaussian(r, fifth(r), "doc_id", SHIFTED).select("doc_id")
 
 
-@query()
+_BINS = f"""bn AS (SELECT *, floor(pct * 100)::INT AS q, {gaussian(0.2, 0.6, 0.2)} AS g, {u('doc_id', 42)} AS h FROM r WHERE pct >= 0.2), kk AS (SELECT count(*) // 5 AS k FROM r),
+    qs AS (SELECT q, k * sum(g) / (SELECT sum(g) FROM bn) AS share, count(*) AS room FROM bn, kk GROUP BY q, k)"""
+
+
+# at a fifth no bin's quota exceeds its rows, so shares are rounded by largest remainders
+@query(f"""WITH {RANKED}, {_BINS}, rm AS (SELECT *, row_number() OVER (ORDER BY share - floor(share) DESC, q) AS nth FROM qs),
+    tk AS (SELECT q, floor(share) + (nth <= (SELECT k FROM kk) - (SELECT sum(floor(share)) FROM qs))::INT AS take FROM rm),
+    od AS (SELECT doc_id, q, row_number() OVER (PARTITION BY q ORDER BY h, doc_id) AS nth FROM bn) SELECT doc_id FROM od JOIN tk USING (q) WHERE nth <= take""")
 def prune_shifted_quota(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = ranked(spark, sf_dir)
     return pruning.prune_shifted_gaussian(r, fifth(r), "doc_id", SHIFTED, "quota").select("doc_id")
 
 
-@query()
+# nor is any probability cut at 1
+@query(f"WITH {RANKED}, {_BINS} SELECT doc_id FROM bn, kk WHERE h < least(1, g * k / (SELECT sum(g) FROM bn))")
 def prune_shifted_poisson(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = ranked(spark, sf_dir)
     return pruning.prune_shifted_gaussian(r, fifth(r), "doc_id", SHIFTED, "poisson").select("doc_id")
@@ -117,6 +125,13 @@ def prune_random(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pruning.prune_random(docs, fifth(docs), "doc_id").select("doc_id")
 
 
+@query("SELECT doc_id, lang, source FROM documents WHERE doc_id IN (SELECT min(doc_id) FROM documents GROUP BY coalesce(text, ''))")
+def dedup_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Of equal texts, the one with the smallest id."""
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "lang", "source")
+    return batching.dedup_exact(docs).select("doc_id", "lang", "source")
+
+
 @query("SELECT doc_id FROM documents")
 def prune_full(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pruning.prune_none(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id"))

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from gradsift.catalog.fragments import ROWS, lin
 from gradsift.catalog.registry import query
 from gradsift.functions.features import bigram_counts as count_bigrams
-from gradsift.functions.features import raster_features
+from gradsift.functions.features import hashed_word_bigrams, raster_features
 from gradsift.functions.hashing import hash32, hash_uniform
 from gradsift.operators import meta, proxies, rating
 from gradsift.operators.measures import selection_gain as gain
@@ -271,6 +271,14 @@ def bigram_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return doc_bigrams(spark, sf_dir)
 
 
+@query("""WITH w AS (SELECT doc_id, list_filter(string_split_regex(lower(text), '[ \\n]'), lambda x: x <> '') AS ws FROM documents),
+    k AS (SELECT doc_id, list_transform(ws, lambda x: ('0x' || substr(md5(x), 1, 8))::BIGINT % 32) AS c FROM w),
+    p AS (SELECT doc_id, c, unnest(range(1, len(c))) AS i FROM k) SELECT doc_id, c[i]::INT AS a, c[i + 1]::INT AS b, count(*) AS n FROM p GROUP BY ALL""")
+def word_bigram_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Transitions between words hashed to 32 classes, the other vocabulary of the autoregressive proxy."""
+    return hashed_word_bigrams(table(spark, sf_dir, "documents"), "doc_id", "text", VOCAB)
+
+
 @query(f"WITH {COUNTS}, {LOGITS} SELECT doc_id, sum(n)::BIGINT AS n, round(sum(n * (lse - value)) / sum(n), 6) AS loss FROM c JOIN lg USING (a, b) JOIN ls USING (a) GROUP BY doc_id")
 def bigram_loss(spark: SparkSession, sf_dir: str) -> DataFrame:
     return proxies.bigram_loss(doc_bigrams(spark, sf_dir), logits(spark), "doc_id").withColumn("loss", F.round("loss", 6))

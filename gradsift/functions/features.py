@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from functools import lru_cache
+from string import ascii_uppercase, digits
 
 import numpy as np
 import pyarrow as pa
@@ -24,15 +25,15 @@ def text_statistics(text: Column) -> dict[str, Column]:
     words = F.array_remove(F.split(F.replace(t, F.lit("\n"), F.lit(" ")), " "), "")
     n_words = F.greatest(F.size(words), F.lit(1)).cast("double")
 
-    def share(cls: str) -> Column:
-        return (n - F.char_length(F.regexp_replace(t, cls, ""))) / chars
+    def share(characters: str) -> Column:
+        return (n - F.char_length(F.translate(t, characters, ""))) / chars
 
     return {
         "log_chars": F.log1p(n.cast("double")),
-        "upper": share("[A-Z]"),
+        "upper": share(ascii_uppercase),
         "distinct": F.size(F.array_distinct(words)) / n_words,
-        "symbols": share("[#*$%&|<>]"),
-        "digits": share("[0-9]"),
+        "symbols": share("#*$%&|<>"),
+        "digits": share(digits),
         "word_chars": n / n_words,
     }
 
@@ -128,3 +129,12 @@ def bigram_counts(df: DataFrame, id_col: str, text_col: str, vocab: int = 32) ->
             yield pa.RecordBatch.from_arrays([ids, pa.array((cells // vocab).astype(np.int32)), pa.array((cells % vocab).astype(np.int32)), pa.array(counts.astype(np.int64))], names=[id_col, "a", "b", "n"])
 
     return df.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, a int, b int, n long")
+
+
+def hashed_word_bigrams(df: DataFrame, id_col: str, text_col: str, vocab: int = 32) -> DataFrame:
+    """(id, a, b, n): how often a word of hash class b follows one of class a; words are cut at spaces and line ends."""
+    words = F.filter(F.split(F.replace(F.lower(text_col), F.lit("\n"), F.lit(" ")), " "), lambda w: w != "")
+    classes = F.transform(words, lambda w: (F.conv(F.substring(F.md5(w.cast("binary")), 1, 8), 16, 10).cast("long") % vocab).cast("int"))
+    known = df.select(id_col, classes.alias("_c")).where(F.size("_c") > 1)
+    pairs = F.arrays_zip(F.slice("_c", F.lit(1), F.size("_c") - 1).alias("a"), F.slice("_c", F.lit(2), F.size("_c") - 1).alias("b"))
+    return known.select(id_col, F.explode(pairs).alias("_p")).groupBy(id_col, F.col("_p.a").alias("a"), F.col("_p.b").alias("b")).agg(F.count(F.lit(1)).alias("n"))

@@ -4,8 +4,11 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from gradsift.functions.networks import sigmoid
 
@@ -28,40 +31,33 @@ def clarity(pixels: Column) -> Column:
     return F.aggregate(cells, F.lit(0.0), lambda a, x: a + x * x) / n - mean * mean
 
 
-def _basis(k: int) -> list[float]:
-    scale = math.sqrt((1 if k == 0 else 2) / SIDE)
-    return [scale * math.cos(math.pi * (2 * i + 1) * k / (2 * SIDE)) for i in range(SIDE)]
+def _basis() -> np.ndarray:
+    """Rows are the cosine basis vectors of a side."""
+    k, i = np.meshgrid(np.arange(SIDE), np.arange(SIDE), indexing="ij")
+    return np.where(k == 0, math.sqrt(1 / SIDE), math.sqrt(2 / SIDE)) * np.cos(math.pi * (2 * i + 1) * k / (2 * SIDE))
 
 
 def frequency(pixels: Column, high: int = 8) -> Column:
     """Share of the energy in cosine coefficients whose indices sum to high or more.
 
-    The constant term doesn't count; without other energy the share is 0. The transform runs
-    over rows, then over columns.
+    The constant term doesn't count; without other energy the share is 0. As an expression,
+    64 coefficients of 64 cells are beyond what is compiled, so batches are multiplied.
     """
-    rows = F.array(*(F.array(*(_weighted([_cell(pixels, r, c) for c in range(SIDE)], _basis(v)) for v in range(SIDE))) for r in range(SIDE)))
-    # one projection after the other: rows are computed once and read eight times
-    return F.aggregate(F.array(rows), F.lit(0.0), lambda _, t: _share(t, high))
 
+    @F.pandas_udf(T.DoubleType())
+    def share(rows: pd.Series) -> pd.Series:
+        known = rows.notna().to_numpy()
+        out = pd.Series(np.full(len(rows), np.nan))
+        if known.any():
+            basis = _basis()
+            cells = np.stack(rows[known].to_numpy()).astype(float).reshape(-1, SIDE, SIDE)
+            energy = (basis @ cells @ basis.T) ** 2
+            order = np.add.outer(np.arange(SIDE), np.arange(SIDE))
+            top, rest = energy[:, order >= high].sum(axis=1), energy[:, (order > 0) & (order < high)].sum(axis=1)
+            out[known] = np.where(top + rest > 1e-12, top / np.maximum(top + rest, 1e-300), 0.0)
+        return out
 
-def _weighted(xs: list[Column], ws: list[float]) -> Column:
-    total = xs[0] * F.lit(ws[0])
-    for x, w in zip(xs[1:], ws[1:], strict=True):
-        total = total + x * F.lit(w)
-    return total
-
-
-def _share(t: Column, high: int) -> Column:
-    top, rest = F.lit(0.0), F.lit(0.0)
-    for u in range(SIDE):
-        for v in range(SIDE):
-            if u + v:
-                coefficient = _weighted([t[r][v] for r in range(SIDE)], _basis(u))
-                if u + v >= high:
-                    top = top + coefficient * coefficient
-                else:
-                    rest = rest + coefficient * coefficient
-    return F.when(top + rest > 1e-12, top / (top + rest)).otherwise(F.lit(0.0))
+    return share(pixels)
 
 
 def edge_density(pixels: Column, tau: float = 0.1) -> Column:
@@ -91,14 +87,14 @@ def text_clarity(text: Column) -> Column:
     """Stand-in for texts: share of characters that aren't symbols."""
     t = F.coalesce(text, F.lit(""))
     n = F.char_length(t)
-    return F.when(n > 0, F.char_length(F.regexp_replace(t, "[#*$%&|<>]", "")) / n).otherwise(F.lit(0.0))
+    return F.when(n > 0, F.char_length(F.translate(t, "#*$%&|<>", "")) / n).otherwise(F.lit(0.0))
 
 
 def text_edges(text: Column) -> Column:
     """Stand-in for texts: share of line breaks and punctuation."""
     t = F.coalesce(text, F.lit(""))
     n = F.char_length(t)
-    return F.when(n > 0, (n - F.char_length(F.regexp_replace(t, "[\n.,;:!?]", ""))) / n).otherwise(F.lit(0.0))
+    return F.when(n > 0, (n - F.char_length(F.translate(t, "\n.,;:!?", ""))) / n).otherwise(F.lit(0.0))
 
 
 def rare_word_share(docs: DataFrame) -> DataFrame:

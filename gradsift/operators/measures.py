@@ -150,9 +150,9 @@ def delta_vs_random(results: DataFrame, base: str = "random") -> DataFrame:
 def auc(scored: DataFrame, score: str, label: str) -> DataFrame:
     """Area under the ROC curve by rank sums, equal scores at their mean rank."""
     by = scored.groupBy(F.col(score).alias("_s")).agg(F.count(F.lit(1)).alias("_n"), F.sum(F.col(label).cast("long")).alias("_pos"))
-    from gradsift.operators.ranking import with_bin, splitters
+    from gradsift.operators.ranking import bins_for, splitters, with_bin
 
-    cuts = splitters(by, "_s")
+    cuts = splitters(by, "_s", bins_for(scored.count()))
     binned = with_bin(by, "_s", cuts)
     bins = binned.groupBy("_bin").agg(F.sum("_n").alias("_total"))
     before = bins.withColumn("_before", F.coalesce(F.sum("_total").over(Window.orderBy("_bin").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).select("_bin", "_before")

@@ -1,14 +1,18 @@
-"""Subset selection over ranked samples: top-K, blocks, Gaussians over the percentile, random."""
+"""Subset selection over ranked samples: top-K, blocks, Gaussians over the percentile, random.
+
+Defined results: an empty ranking gives empty selections; equal keys are taken by id; more
+rows than there are is an error; rows that repeat an id are drawn alike. Other columns pass.
+"""
 
 from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from gradsift.functions.hashing import hash_uniform
-from gradsift.operators.ranking import select_smallest
+from gradsift.operators.ranking import bins_for, select_smallest, unused
 
 
 @dataclass(frozen=True)
@@ -60,8 +64,8 @@ def prune_trimmed(ranked: DataFrame, ratio: float) -> DataFrame:
 
 
 def prune_random(df: DataFrame, k: int, id_col: str, seed: int = 42) -> DataFrame:
-    keyed = df.withColumn("_u", hash_uniform(id_col, seed))
-    return select_smallest(keyed, "_u", k, id_col).drop("_u")
+    u = unused(df, "_u")[0]
+    return select_smallest(df.withColumn(u, hash_uniform(id_col, seed)), u, k, id_col).drop(u)
 
 
 def prune_shifted_gaussian(ranked: DataFrame, k: int, id_col: str, cfg: ShiftedGaussian = ShiftedGaussian(), sampler: str = "exact", seed: int = 42, n_bins: int = 100) -> DataFrame:
@@ -72,27 +76,44 @@ def prune_shifted_gaussian(ranked: DataFrame, k: int, id_col: str, cfg: ShiftedG
     poisson: each sample on its own with probability min(1, c g), c from the bins; the size
     varies with a deviation of at most sqrt(k), and the filter needs no exchange.
     """
-    live = ranked.where(F.col("pct") >= cfg.discard).withColumn("_g", density(F.col("pct"), cfg)).withColumn("_u", hash_uniform(id_col, seed))
+    g, u, e, q, part, nth, take, cut = unused(ranked, "_g", "_u", "_e", "_q", "_part", "_nth", "_take", "_cut")
+    live = ranked.where(F.col("pct") >= cfg.discard).withColumn(g, density(F.col("pct"), cfg)).withColumn(u, hash_uniform(id_col, seed))
     if sampler == "exact":
-        keyed = live.where("_g > 0").withColumn("_e", -F.log("_u") / F.when(F.col("_g") > 0, F.col("_g")))
-        return select_smallest(keyed, "_e", k, id_col).drop("_g", "_u", "_e")
-    bins = live.withColumn("_q", F.floor(F.col("pct") * n_bins).cast("int"))
-    rows = {r["_q"]: (r["n"], r["g"]) for r in bins.groupBy("_q").agg(F.count(F.lit(1)).alias("n"), F.sum("_g").alias("g")).collect()}
-    if k > sum(n for n, _ in rows.values()):
-        raise ValueError(f"{k} samples wanted of {sum(n for n, _ in rows.values())} that are left")
+        keyed = live.where(F.col(g) > 0).withColumn(e, -F.log(u) / F.when(F.col(g) > 0, F.col(g)))
+        return select_smallest(keyed, e, k, id_col).drop(g, u, e)
+    bins = live.withColumn(q, F.floor(F.col("pct") * n_bins).cast("int"))
+    rows = {r["q"]: (r["n"], r["g"]) for r in bins.groupBy(F.col(q).alias("q")).agg(F.count(F.lit(1)).alias("n"), F.sum(g).alias("g")).collect()}
+    total = sum(n for n, _ in rows.values())
+    if k > total:
+        raise ValueError(f"{k} samples wanted of {total} that are left")
     if sampler == "quota":
-        quota = water_fill({q: g for q, (_, g) in rows.items()}, {q: n for q, (n, _) in rows.items()}, k)
-        table = ranked.sparkSession.createDataFrame(sorted(quota.items()), "_q int, _take long")
-        from pyspark.sql import Window
-
-        order = Window.partitionBy("_q").orderBy("_u", id_col)
-        return bins.withColumn("_nth", F.row_number().over(order)).join(F.broadcast(table), "_q").where("_nth <= _take").drop("_q", "_nth", "_take", "_g", "_u")
+        quota = water_fill({b: w for b, (_, w) in rows.items()}, {b: n for b, (n, _) in rows.items()}, k)
+        # of a bin, parts by hash below that in which the quota ends are kept unsorted
+        n_parts = min(1000, bins_for(-(-total // n_bins)))
+        parted = bins.withColumn(part, F.floor(F.col(u) * n_parts).cast("int"))
+        counts: dict[int, dict[int, int]] = {}
+        for r in parted.groupBy(F.col(q).alias("q"), F.col(part).alias("p")).count().collect():
+            counts.setdefault(r["q"], {})[r["p"]] = r["count"]
+        table = ranked.sparkSession.createDataFrame([(b, *_edge(counts[b], quota[b])) for b in sorted(counts)], f"`{q}` int, `{cut}` int, `{take}` long")
+        placed = parted.join(F.broadcast(table), q)
+        edge = placed.where(F.col(part) == F.col(cut)).withColumn(nth, F.row_number().over(Window.partitionBy(q).orderBy(u, F.col(f"`{id_col}`"))))
+        whole = placed.where(F.col(part) < F.col(cut))
+        return whole.unionByName(edge.where(F.col(nth) <= F.col(take)).drop(nth)).drop(g, u, q, part, cut, take)
     if sampler == "poisson":
-        c = inclusion_scale([(n, g / n) for n, g in rows.values()], k)
-        return live.where(F.col("_u") < F.least(F.lit(1.0), F.lit(c) * F.col("_g"))).drop("_g", "_u")
+        c = inclusion_scale([(n, w / n) for n, w in rows.values()], k)
+        return live.where(F.col(u) < F.least(F.lit(1.0), F.lit(c) * F.col(g))).drop(g, u)
     raise ValueError(f"no sampler {sampler!r}")
 
 
+def _edge(parts: dict[int, int], k: int) -> tuple[int, int]:
+    """The part in which the k-th row lies, and the rows to take from it."""
+    for p in sorted(parts):
+        if k <= parts[p]:
+            return p, k
+        k -= parts[p]
+    return max(parts) + 1, 0
+
+
 def water_fill(weight: dict[int, float], room: dict[int, int], k: int) -> dict[int, int]:
     """Whole quotas in proportion to weight, none above its room, k in all."""
     out, open_, left = dict.fromkeys(weight, 0), set(weight), k

@@ -52,10 +52,11 @@ def rate(df: DataFrame, raw: str, mode: str = "logit", batches: DataFrame | None
 
 
 def combine_scores(df: DataFrame, scores: Sequence[str], id_col: str) -> DataFrame:
-    """Mean of the scores' percentiles, each ranked over the corpus."""
+    """Mean of the scores' percentiles, each ranked over the corpus. The scores are written once, since each ranking reads them."""
     from gradsift.operators.ranking import rank_corpus
+    from gradsift.sources.staging import staged
 
-    total = F.lit(0.0)
+    df, total = staged(df, "scores"), F.lit(0.0)
     for s in scores:
         df = rank_corpus(df, s, id_col).withColumnRenamed("pct", f"_pct_{s}").drop("rank")
         total = total + (F.lit(1.0) - F.col(f"_pct_{s}"))

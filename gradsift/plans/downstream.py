@@ -242,3 +242,65 @@ def generate(logits: np.ndarray, n: int, length: int, seed: int = 42) -> np.ndar
     for t in range(1, length):
         out[:, t] = np.minimum((cumulative[out[:, t - 1]] < rng.random(n)[:, None]).sum(axis=1), len(logits) - 1)
     return out
+
+
+def class_shares(df: DataFrame, id_col: str, text_col: str, label_col: str, vocab: int = 32) -> DataFrame:
+    """(id, label, x): roots of the shares of the text's character classes, inputs of the second model family."""
+    from gradsift.functions.features import text_classes
+
+    kind = df.schema[id_col].dataType.simpleString()
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for f in frames:
+            counts = [np.bincount(text_classes(t, vocab), minlength=vocab) for t in f["_text"]]
+            yield pd.DataFrame({id_col: f[id_col], "label": f["label"], "x": [np.sqrt(c / max(1, c.sum())) for c in counts]})
+
+    source = df.where(F.col(label_col).isNotNull()).select(id_col, F.col(label_col).alias("label"), F.col(text_col).alias("_text"))
+    return source.mapInPandas(run, f"`{id_col}` {kind}, label string, x array<double>")
+
+
+def train_softmax(selections: DataFrame, rows: DataFrame, val: DataFrame, labels: list[str], steps: int = 12, rate: float = 2.5) -> DataFrame:
+    """(method, k, epoch, visits, val_loss) of a multinomial logistic model of the label, by full-batch descent.
+
+    selections: method, doc_id; rows and val: doc_id, label, x. Every row is in every step; a
+    task sends the sums of its part for each method, whose size is that of the model.
+    """
+    place, d = {x: i for i, x in enumerate(labels)}, len(rows.select("x").first()["x"]) + 1
+    held = staged(val.select(F.lit("").alias("method"), "label", "x"), "held")
+    joined = staged(rows.join(selections.select("method", "doc_id"), "doc_id").select("method", "label", "x").unionByName(held), "softmax")
+    methods = [r["method"] for r in selections.select("method").distinct().orderBy("method").collect()]
+    theta = {m: np.zeros((len(labels), d)) for m in methods}
+
+    def sums(sent):
+        def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            total = {}
+            for f in frames:
+                for method, own in f.groupby("method"):
+                    x = np.column_stack([np.stack(own["x"].to_numpy()), np.ones(len(own))])
+                    y = own["label"].map(place).to_numpy(dtype=np.int64)
+                    for m in sent.value if method == "" else [method]:
+                        nll = bigram_nll(x @ sent.value[m].T)
+                        slot = total.setdefault((method, m), [0, 0.0, np.zeros((len(place), d))])
+                        slot[0] += len(own)
+                        slot[1] += float(nll[np.arange(len(own)), y].sum())
+                        if method:
+                            p = np.exp(-nll)
+                            p[np.arange(len(own)), y] -= 1
+                            slot[2] += p.T @ x
+            yield pd.DataFrame([(k[0], k[1], n, loss, g.tobytes()) for k, (n, loss, g) in total.items()], columns=["part", "method", "n", "loss", "g"])
+
+        return run
+
+    curve, spark = [], selections.sparkSession
+    for step in range(steps + 1):
+        sent = spark.sparkContext.broadcast(theta)
+        got = joined.mapInPandas(sums(sent), "part string, method string, n long, loss double, g binary").collect()
+        sent.unpersist()
+        new = {}
+        for m in methods:
+            own = [r for r in got if r["method"] == m]
+            n, n_val = (sum(r["n"] for r in own if (r["part"] == "") == v) for v in (False, True))
+            curve.append((m, n, step, n * step, sum(r["loss"] for r in own if r["part"] == "") / max(1, n_val)))
+            new[m] = theta[m] - rate * sum((np.frombuffer(r["g"]).reshape(len(labels), d) for r in own if r["part"]), np.zeros((len(labels), d))) / max(1, n)
+        theta = new
+    return spark.createDataFrame(curve, "method string, k long, epoch int, visits long, val_loss double")

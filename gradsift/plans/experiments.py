@@ -5,6 +5,7 @@ run(name, spark, sf_dir, seed, **overrides) returns rows (method, k, metric, val
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -16,7 +17,7 @@ from gradsift.functions.hashing import hash_uniform
 from gradsift.operators import measures, pruning
 from gradsift.operators.pruning import ShiftedGaussian
 from gradsift.operators.ranking import rank_corpus
-from gradsift.plans.downstream import train_methods
+from gradsift.plans.downstream import class_shares, train_methods, train_softmax
 from gradsift.plans.rater import RaterConfig
 from gradsift.plans.training import MetaConfig, MetaTrainer, TrainState, rate_in_batches, shards_for
 from gradsift.sources import corpora
@@ -169,12 +170,19 @@ def _shares(ranked: DataFrame, pool: DataFrame, val: DataFrame, shares: tuple[in
 
 
 def cross_family(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
-    """Ratings from one family for a low-rank adapter, one epoch."""
-    ranked = ranked_pool(spark, sf_dir)
+    """Ratings from one family for others: a low-rank adapter, one epoch, and a softmax model of the language."""
+    ranked, pool, val = ranked_pool(spark, sf_dir), corpora.train_pool(spark, sf_dir), corpora.wanted(spark, sf_dir)
     sets = random_and_shifted(ranked, ranked.count() // 5, seed)
     base = train_rater(spark, sf_dir).theta_hat * 0.5
-    curve = trained_on(sets, corpora.train_pool(spark, sf_dir), corpora.wanted(spark, sf_dir), epochs=1, rank=4, rate=0.5, base=base)
-    return as_results(curve, "adapter_val_loss")
+    adapter = as_results(trained_on(sets, pool, val, epochs=1, rank=4, rate=0.5, base=base), "adapter_val_loss")
+    langs = corpora.table(spark, sf_dir, "documents").select("doc_id", "lang")
+    known = [r["lang"] for r in langs.where("lang IS NOT NULL").select("lang").distinct().orderBy("lang").collect()]
+
+    def shares(docs: DataFrame) -> DataFrame:
+        return class_shares(docs.select("doc_id", "text").join(langs, "doc_id"), "doc_id", "text", "lang")
+
+    softmax = train_softmax(staged(stacked(sets, ["doc_id"]), "selections"), shares(pool), shares(val), known)
+    return adapter.unionByName(as_results(softmax, "softmax_val_loss"))
 
 
 def mixed_domain(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
@@ -216,6 +224,29 @@ def training_trend(spark: SparkSession, sf_dir: str, seed: int = 42, epochs: int
     return trained_on(sets, corpora.train_pool(spark, sf_dir), corpora.wanted(spark, sf_dir), epochs=epochs, rate=2.0)
 
 
+def _timed(curve: DataFrame) -> DataFrame:
+    """Visits are the time: equal batches cost the same in every method."""
+    return staged(curve, "curves").select("method", "epoch", F.col("visits").cast("double").alias("elapsed"), F.col("val_loss").alias("value"))
+
+
+def speedup(spark: SparkSession, sf_dir: str, seed: int = 42, epochs: int = 10) -> DataFrame:
+    """Visits in which each selection reaches the best loss that a random half reaches, against the half's own."""
+    return measures.time_to_target(_timed(training_trend(spark, sf_dir, seed, epochs)), "random_50")
+
+
+def stability(spark: SparkSession, sf_dir: str, seed: int = 42, epochs: int = 10) -> DataFrame:
+    """Changes of direction of the trained curves, and their largest rise."""
+    return measures.curve_stability(_timed(training_trend(spark, sf_dir, seed, epochs)))
+
+
+def one_stage(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
+    """The head of ratings learned by the loss rule, without the second stage; with it; and random."""
+    ranked = ranked_pool(spark, sf_dir, MetaConfig(rule="loss"))
+    k = ranked.count() // 5
+    sets = random_and_shifted(ranked, k, seed) | {"one_stage": pruning.prune_top_k(ranked, k)}
+    return as_results(trained_on(sets, corpora.train_pool(spark, sf_dir), corpora.wanted(spark, sf_dir)))
+
+
 def update_rules(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
     """Gap and loss rules, with and without the group part: AUC against quality, last batch weight."""
     labels, out = corpora.table(spark, sf_dir, "labels").select("doc_id", "quality"), None
@@ -230,22 +261,24 @@ def update_rules(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
     return out
 
 
-def amortisation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sample visits of the rater, once, against those of the downstream runs that use it."""
-    n = corpora.train_pool(spark, sf_dir).select("doc_id").agg(F.count(F.lit(1)).alias("n"))
-    rater = rater_visits(n.first()["n"]) * 2
-    down = sum(int(x) for x in (3 * 3, 3 * 2, 1))
-    return n.select(F.lit(rater).cast("long").alias("rater_visits"), (F.col("n") / 5 * down).cast("long").alias("downstream_visits")).withColumn("share", F.col("rater_visits") / F.col("downstream_visits"))
+def amortisation(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
+    """Visits and seconds of the rater's training, run anew, against those of the data-scale runs that use it."""
+    pool = corpora.train_pool(spark, sf_dir)
+    began = time.monotonic()
+    state, log = MetaTrainer(MetaConfig(), 0, 5).run(pool_text(pool), corpora.wanted(spark, sf_dir))
+    rater_s, began = time.monotonic() - began, time.monotonic()
+    runs = _shares(rated_ranks(pool, state), pool, corpora.wanted(spark, sf_dir), (10, 20, 50), seed)
+    down, down_s = sum(r["visits"] for r in runs.collect()), time.monotonic() - began
+    visits = len(log) * MetaConfig.batch * 2
+    return spark.createDataFrame([(visits, rater_s, down, down_s, visits / down)], "rater_visits long, rater_seconds double, downstream_visits long, downstream_seconds double, share double")
 
 
 EXPERIMENTS: dict[str, Callable[..., DataFrame]] = {
     "method_comparison": comparison, "pruning_comparison": pruning_comparison, "model_scale": model_scale, "data_scale": data_scale,
     "cross_family": cross_family, "mixed_domain": mixed_domain, "second_domain": second_domain, "ablation": ablation,
-    "training_trend": training_trend, "update_rules": update_rules, "amortisation": amortisation,
+    "training_trend": training_trend, "speedup": speedup, "stability": stability, "one_stage": one_stage, "update_rules": update_rules, "amortisation": amortisation,
 }
 
 
 def run(name: str, spark: SparkSession, sf_dir: str, **overrides) -> DataFrame:
     return EXPERIMENTS[name](spark, sf_dir, **overrides)
-
-

@@ -460,3 +460,70 @@ def test_comparison_takes_rare_words_and_the_best_pruning(spark, monkeypatch):
     got = {r.method for r in experiments.comparison(spark, "/root/testdata/sf0.001").collect()}
     assert {"frequency_top", "frequency_middle"} <= set(trained)
     assert got == {"full", "random", "shifted_20", "shifted_50"} | {f"{m}_middle" for m in ranks}
+
+
+# ranking: the number of bins, and awkward inputs
+
+
+def test_bins_follow_the_rows():
+    from gradsift.operators import ranking
+
+    assert [ranking.bins_for(n) for n in (0, 10, 100_000, 100_001, 10**8)] == [1, 1, 1, 2, 1000]
+    assert ranking.bins_for(10**12) == ranking.MAX_BINS
+
+
+@pytest.mark.parametrize("bins", [1, 16])
+@pytest.mark.parametrize("text_ids", [False, True])
+def test_ranks_without_scores_with_ties_and_clashing_names(spark, bins, text_ids):
+    """Null and NaN scores come last, by id; a score that most rows share is split by id of any type."""
+    scores = [1.0] * 300 + [None, float("nan"), None] + [float(i % 7) for i in range(100)]
+    rows = [((f"id{i:04d}" if text_ids else i), s, i, -i, 7) for i, s in enumerate(scores)]
+    df = spark.createDataFrame(rows, f"id {'string' if text_ids else 'long'}, s double, _bin long, _in long, `_key` int").repartition(5)
+    for descending in (True, False):
+        def order(r):
+            bad = r[1] is None or r[1] != r[1]
+            return bad, 0.0 if bad else (-r[1] if descending else r[1]), r[0]
+
+        want = {r[0]: k for k, r in enumerate(sorted(rows, key=order), 1)}
+        got = rank_corpus(df, "s", "id", bins=bins, descending=descending)
+        assert got.columns == [*df.columns, "rank", "pct"]
+        found = got.collect()
+        assert {r.id: r["rank"] for r in found} == want and all(r["_bin"] == -r["_in"] for r in found)
+    wanted = {i for i, k in want.items() if k <= 250}
+    assert {r.id for r in select_smallest(df, "s", 250, "id", bins=bins).collect()} == wanted
+    assert rank_corpus(df.limit(0), "s", "id", bins=bins).count() == 0
+
+
+def test_a_shared_score_is_split_over_tasks(spark):
+    from gradsift.operators import ranking
+
+    df = spark.range(20_000).select(F.concat(F.lit("k"), "id").alias("id"), F.lit(0.5).alias("_s")).withColumn("b", F.lit(0.0))
+    parts = ranking._with_part(df, "b", "sub", "id", {0.0: 20_000}, {0.0: 40}).groupBy("sub").count().collect()
+    assert len(parts) > 30 and max(r["count"] for r in parts) < 3000
+
+
+def test_quota_sampler_in_parts_equals_one_part(spark, monkeypatch):
+    from gradsift.operators import pruning
+
+    ranked = rank_corpus(spark.range(4000).select("id", F.sin(F.col("id").cast("double")).alias("s")), "s", "id").cache()
+    whole = {r.id for r in pruning.prune_shifted_gaussian(ranked, 800, "id", sampler="quota").collect()}
+    monkeypatch.setattr(pruning, "bins_for", lambda n: 9)
+    assert {r.id for r in pruning.prune_shifted_gaussian(ranked, 800, "id", sampler="quota").collect()} == whole and len(whole) == 800
+
+
+def test_exact_copies_leave_the_first(spark):
+    from gradsift.operators.batching import dedup_exact
+
+    df = spark.createDataFrame([(3, "a"), (1, "a"), (2, "b"), (4, None), (5, None), (6, "")], "doc_id long, text string")
+    assert sorted(r.doc_id for r in dedup_exact(df).collect()) == [1, 2, 4, 6]
+    assert dedup_exact(df.limit(0)).count() == 0
+
+
+def test_softmax_family_learns_the_language(spark):
+    from gradsift.plans.downstream import class_shares, train_softmax
+
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text", "lang")
+    rows = class_shares(docs, "doc_id", "text", "lang")
+    sets = docs.select(F.lit("all").alias("method"), "doc_id")
+    curve = {r.epoch: (r.val_loss, r.k) for r in train_softmax(sets, rows, rows, ["de", "en", "es", "fr"], steps=8).collect()}
+    assert curve[0][0] == pytest.approx(math.log(4)) and curve[8][0] < 0.9 * curve[0][0] and curve[0][1] == docs.count()
