@@ -21,8 +21,8 @@ which is the middle of a group of copies or the barest carrier of a passage; a l
 takes pairs linear in its size. Then all pairs of different classes are filtered and compared
 that can be similar enough, so that no class is left apart from one it links to. What two
 sets have in common is at most what both share with the middle, as the smaller number, and
-what both share with others, likewise; sets of a middle and class that are alike in these
-numbers are ruled out together. Where a middle still has several classes, its sets that the
+what both share with others, likewise; and so in each of 64 parts of the hash range. Sets of
+a middle and class are ruled out together where they can be. Where a middle still has several classes, its sets that the
 orders ruled out are measured against it for that bound; this never links anything.
 
 Defined results: a text without words has an empty set and is alone; fewer words than a
@@ -42,6 +42,8 @@ from gradsift.llm.bytescan import BLANK_SPLIT, chunks, mix64
 from gradsift.llm.graph import components
 from gradsift.llm.staging import Stage
 
+#: Parts of a set by hash, whose counts bound what two sets have in common.
+_PARTS = 64
 #: Hashes are 63 bits, so that they are positive in a signed column.
 _COUNTED = 1 << 61
 #: Bits of the filter for each key, and of the largest filter. More keys are joined, not broadcast.
@@ -255,7 +257,9 @@ class JaccardClasses:
         several = stage.put(self.live(marked))
         ruled_out = several.where("i IS NULL").select(F.col("key").alias("a"), F.col("middle").alias("b"))
         bound = self.common(ruled_out, own).select(F.col("a").alias("key"), F.col("b").alias("middle"), F.col("i").alias("_bound"))
-        live = stage.put(self.live(several.join(bound, ["key", "middle"], "left").withColumn("i", F.coalesce("i", "_bound")).select(marked.columns)))
+        live = self.live(several.join(bound, ["key", "middle"], "left").withColumn("i", F.coalesce("i", "_bound")).select(marked.columns))
+        parts = F.transform(F.sequence(F.lit(0), F.lit(_PARTS - 1)), lambda b: F.size(F.filter("tokens", lambda t: t % _PARTS == b)))
+        live = stage.put(live.join(own.join(several.select("key").distinct(), "key", "left_semi").select("key", parts.alias("parts")), "key"))
         more = stage.put(self.verified("classes", self.possible(live), own).where("linked").select("a", "b"))
         final = stage.put(components(edges.unionByName(more), stage))
 
@@ -280,20 +284,31 @@ class JaccardClasses:
 
         Sets with a common prefix token have its middle in common, so these are all candidates.
         First come the pairs of shapes (size, shared tokens, those shared with the middle) that
-        a middle has, then the classes that have them, then the classes' sets.
+        a middle has, then the classes that have them, then the classes' sets. Classes and sets
+        meet only if their tokens, counted in parts by hash, can be enough in common: part by
+        part, two sets share at most the smaller count, and two classes the smaller of their
+        highest counts. Pairs that aren't so near as that are never made.
         """
         shape = ["n", "c", "i"]
 
         def of(side: str, *columns: str) -> DataFrame:
-            return live.select("middle", *columns, *(F.col(c).alias(f"{c}_{side}") for c in shape)).distinct()
+            return live.select("middle", *columns, *(F.col(c).alias(f"{c}_{side}") for c in shape))
+
+        def classes_of(side: str) -> DataFrame:
+            most = F.array(*(F.max(F.get("parts", F.lit(b))) for b in range(_PARTS))).alias(f"parts_{side}")
+            return of(side, "comp", "parts").groupBy("middle", *(f"{c}_{side}" for c in shape), F.col("comp").alias(f"comp_{side}")).agg(most)
+
+        def sets_of(side: str, name: str) -> DataFrame:
+            return of(side, "comp", "key", "parts").withColumnsRenamed({"key": name, "comp": f"comp_{side}", "parts": f"parts_{side}"})
+
+        def enough(most: Column) -> Column:
+            return (100 + self.percent) * most >= self.percent * (F.col("n_x") + F.col("n_y"))
 
         on = {x: ["middle", *(f"{c}_{x}" for c in shape)] for x in "xy"}
-        most = F.least("i_x", "i_y") + F.least(F.col("c_x") - F.col("i_x"), F.col("c_y") - F.col("i_y"))
-        enough = (100 + self.percent) * most >= self.percent * (F.col("n_x") + F.col("n_y"))
+        by_middle = F.least("i_x", "i_y") + F.least(F.col("c_x") - F.col("i_x"), F.col("c_y") - F.col("i_y"))
+        by_parts = F.aggregate(F.zip_with("parts_x", "parts_y", lambda x, y: F.least(x, y)), F.lit(0), lambda total, x: total + x)
         sizes = (F.col("n_x") <= F.col("n_y")) & (100 * F.col("n_x") >= self.percent * F.col("n_y"))
-        shapes = of("x").join(of("y"), "middle").where(sizes & enough)
-        classes = shapes.join(of("x", "comp").withColumnRenamed("comp", "comp_x"), on["x"]).join(of("y", "comp").withColumnRenamed("comp", "comp_y"), on["y"]).where("comp_x <> comp_y")
-        a = of("x", "comp", "key").withColumnsRenamed({"key": "a", "comp": "comp_x"})
-        b = of("y", "comp", "key").withColumnsRenamed({"key": "b", "comp": "comp_y"})
-        pairs = classes.join(a, [*on["x"], "comp_x"]).join(b, [*on["y"], "comp_y"])
+        shapes = of("x").distinct().join(of("y").distinct(), "middle").where(sizes & enough(by_middle))
+        classes = shapes.join(classes_of("x"), on["x"]).join(classes_of("y"), on["y"]).where((F.col("comp_x") != F.col("comp_y")) & enough(by_parts)).drop("parts_x", "parts_y")
+        pairs = classes.join(sets_of("x", "a"), [*on["x"], "comp_x"]).join(sets_of("y", "b"), [*on["y"], "comp_y"]).where(enough(by_parts))
         return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()

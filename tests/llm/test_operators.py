@@ -161,6 +161,29 @@ def test_jaccard_of_chains_hubs_and_passages(spark):
     assert got == brute_classes(rows)
 
 
+def test_near_copies_that_are_no_links_make_few_pairs(spark):
+    """Copies of a base that isn't there, each below the bar with any other: no pair of classes is made."""
+    import random
+
+    rng = random.Random(8)
+    base = [f"b{i}" for i in range(150)]
+    rows = []
+    for i in range(200):
+        w = list(base)
+        for at in rng.sample(range(0, 150, 10), 4):  # changes far apart take five shingles each
+            w[at] = f"x{i}y{at}"
+        rows.append((i, " ".join(w), "", "", 0, "", 0))
+    join = neardup.JaccardClasses(frame(spark, rows))
+    monkey = neardup.Stage.drop
+    neardup.Stage.drop = lambda self, *tables: None
+    try:
+        got = {r.id: (r.n_shingles, r.component_id) for r in join.run().collect()}
+        made = join.report["classes"][0].count()
+    finally:
+        neardup.Stage.drop = monkey
+    assert got == brute_classes(rows) and made < 2000
+
+
 def test_the_same_classes_where_the_keys_are_too_many_for_a_filter(spark):
     rows = documents()
     got = neardup.JaccardClasses(frame(spark, rows), max_bits=0).run().collect()
