@@ -27,6 +27,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
 
 from gradsift.llm.bytescan import ALNUM_SPLIT, chunks
+from gradsift.llm.memory import trimmed
 from gradsift.llm.staging import Stage
 
 WINDOW = 13
@@ -210,7 +211,7 @@ def _search(source: DataFrame, shared, window: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*batch.columns[1:], *made], schema=schema)
 
     kinds = "".join(f"{c} {source.schema[c].dataType.simpleString()}, " for c in keep)
-    return source.mapInArrow(run, kinds + "n_words long, hit_runs array<struct<a:int,b:int>>, items array<string>")
+    return source.mapInArrow(trimmed(run), kinds + "n_words long, hit_runs array<struct<a:int,b:int>>, items array<string>")
 
 
 def covered(runs: Column) -> Column:

@@ -25,6 +25,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
 
 from gradsift.llm.bytescan import chunks
+from gradsift.llm.memory import trimmed
 
 BINS = 1 << 15
 _LATIN = re.compile("[A-Za-z]")
@@ -127,7 +128,7 @@ def fit(docs: DataFrame, lang_col: str = "lang", text_col: str = "text", id_col:
             yield pa.RecordBatch.from_arrays([pa.array([lang] * len(at), pa.string()), pa.array(at), pa.array(own[at])], names=["lang", "bin", "n"])
 
     rows = (
-        labelled.select("_lang", "_text").mapInArrow(count, "lang string, bin long, n long")
+        labelled.select("_lang", "_text").mapInArrow(trimmed(count), "lang string, bin long, n long")
         .groupBy("lang", "bin").agg(F.sum("n").alias("n")).toPandas()
     )
     if not len(rows):
@@ -172,5 +173,5 @@ def identify(docs: DataFrame, model: LanguageModel, text_col: str = "text", keep
             yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], *(pa.array(v, f.type) for v, f in zip((pred, score, noise, sets), list(schema)[len(keep) :], strict=True))], schema=schema)
 
     kinds = ", ".join(f"_k{i} {source.schema[f'_k{i}'].dataType.simpleString()}" for i in range(len(keep)))
-    out = source.mapInArrow(run, f"{kinds}, _lang_pred string, _score double, _noise double, _languages array<struct<lang:string,share:double>>")
+    out = source.mapInArrow(trimmed(run), f"{kinds}, _lang_pred string, _score double, _noise double, _languages array<struct<lang:string,share:double>>")
     return out.select(*(F.col(f"_k{i}").alias(c) for i, c in enumerate(keep)), "_lang_pred", "_score", "_noise", "_languages")

@@ -40,6 +40,7 @@ from pyspark.sql import functions as F
 
 from gradsift.llm.bytescan import BLANK_SPLIT, chunks, mix64
 from gradsift.llm.graph import components
+from gradsift.llm.memory import trimmed
 from gradsift.llm.staging import Stage
 
 #: Parts of a set by hash, whose counts bound what two sets have in common.
@@ -93,7 +94,7 @@ def _profiles(docs: DataFrame, percent: int, k: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(cols[:, i]) for i in range(5))], names=["id", *names])
 
     kind = docs.schema["id"].dataType.simpleString()
-    return docs.select("id", "text").mapInArrow(run, f"id {kind}, " + ", ".join(f"{x} long" for x in names))
+    return docs.select("id", "text").mapInArrow(trimmed(run), f"id {kind}, " + ", ".join(f"{x} long" for x in names))
 
 
 def _tokens(docs: DataFrame, percent: int, k: int, bloom=None, every: bool = False) -> DataFrame:
@@ -118,7 +119,7 @@ def _tokens(docs: DataFrame, percent: int, k: int, bloom=None, every: bool = Fal
             if tokens:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(tokens)), pa.array(np.concatenate(keys))], names=["token", "key"])
 
-    return docs.select("text").mapInArrow(run, "token long, key long")
+    return docs.select("text").mapInArrow(trimmed(run), "token long, key long")
 
 
 def _keyed_texts(docs: DataFrame, k: int) -> DataFrame:
@@ -129,7 +130,7 @@ def _keyed_texts(docs: DataFrame, k: int) -> DataFrame:
             keys = [set_key(s) for s in shingle_sets(batch.column(0), k)]
             yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), batch.column(0)], names=["key", "text"])
 
-    return docs.select("text").mapInArrow(run, "key long, text string")
+    return docs.select("text").mapInArrow(trimmed(run), "key long, text string")
 
 
 def bloom_bits(n: int) -> int:

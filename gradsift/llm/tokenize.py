@@ -33,6 +33,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
 
+from gradsift.llm.memory import trim, trimmed
+
 BLOCK_BYTES = 4 << 20
 #: Input tasks, and blocks of each, whose words one task merges.
 COHORT = (64, 32)
@@ -190,6 +192,11 @@ def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "
             yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), exchange, strict=True)] if rows else [pa.array([], f.type) for f in exchange], schema=exchange)
 
     def encode_slot(group: pa.Table) -> pa.Table:
+        out = encode_words(group)
+        trim()
+        return out
+
+    def encode_words(group: pa.Table) -> pa.Table:
         asked = [_read_words(*_unpack(b)) for b in group.column("_words").to_pylist()]
         every = sorted(set().union(*asked))
         ids = dict(zip(every, _splitter(shared.value).encode(every), strict=True))
@@ -208,6 +215,11 @@ def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "
             yield pa.RecordBatch.from_arrays([pa.array([block], pa.int64()), pa.array([blob], pa.binary())], schema=answer)
 
     def assemble(answered: pa.Table, block: pa.Table) -> pa.Table:
+        out = put_together(answered, block)
+        trim()
+        return out
+
+    def put_together(answered: pa.Table, block: pa.Table) -> pa.Table:
         sent = {}
         for blob in answered.column("_blob").to_pylist():
             head, lengths, ids = _unpack(blob)
@@ -244,10 +256,10 @@ def encode(docs: DataFrame, spec: str, id_col: str = "doc_id", text_col: str = "
         return pa.table([*made, pa.array(map(join.text, out), pa.string())], names=["_id", "ids", decoded_col])
 
     answers = (
-        source.mapInArrow(distinct_words, "_slot int, _cohort long, _block long, _words binary")
+        source.mapInArrow(trimmed(distinct_words), "_slot int, _cohort long, _block long, _words binary")
         .groupBy("_slot", "_cohort").applyInArrow(encode_slot, "_block long, _blob binary")
     )
-    placed = source.mapInArrow(packed, "_block long, _blob binary")
+    placed = source.mapInArrow(trimmed(packed), "_block long, _blob binary")
     # two exchanges, not a union: a task of a union has another partition number, and so block
     return (
         answers.groupBy("_block").cogroup(placed.groupBy("_block"))
@@ -306,4 +318,4 @@ def decode(encoded: DataFrame, spec: str, ids_col: str = "ids", text_col: str =
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, pa.string())], names=[*batch.schema.names, text_col])
 
     kind = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in encoded.schema)
-    return encoded.mapInArrow(texts, f"{kind}, `{text_col}` string")
+    return encoded.mapInArrow(trimmed(texts), f"{kind}, `{text_col}` string")
