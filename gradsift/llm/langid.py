@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
 
-from gradsift.llm.bytescan import chunks
+from gradsift.llm.bytescan import CHUNK_BYTES, chunks
 from gradsift.llm.memory import trimmed
 
 BINS = 1 << 15
@@ -46,24 +46,41 @@ def _folded() -> np.ndarray:
     return t
 
 
-def trigram_counts(texts: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """(bins, counts) of each text. Trigrams of spaces alone don't count."""
-    for c in chunks(texts):
-        b = _folded()[c.data]
-        bins = np.zeros(len(b), dtype=np.int64)
-        if len(b) >= 3:
-            code = (b[:-2] << np.uint64(16)) | (b[1:-1] << np.uint64(8)) | b[2:]
-            hashed = (code * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - 15)
-            bins[:-2] = np.where((b[:-2] == 32) & (b[1:-1] == 32) | (b[1:-1] == 32) & (b[2:] == 32), -1, hashed.astype(np.int64))
+def _bins(data: np.ndarray) -> np.ndarray:
+    """The bin of each trigram of the bytes; -1 for those with two spaces in a row."""
+    if len(data) < 3:
+        return np.zeros(0, dtype=np.int64)
+    b = _folded()[data]
+    code = (b[:-2] << np.uint64(16)) | (b[1:-1] << np.uint64(8)) | b[2:]
+    hashed = (code * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - 15)
+    return np.where((b[:-2] == 32) & (b[1:-1] == 32) | (b[1:-1] == 32) & (b[2:] == 32), -1, hashed.astype(np.int64))
+
+
+def _counted(pieces: Iterator[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    full = np.zeros(BINS, dtype=np.int64)
+    for own in pieces:
+        full += np.bincount(own[own >= 0], minlength=BINS)
+    at = np.flatnonzero(full)
+    return at, full[at]
+
+
+def trigram_counts(texts: pa.Array, piece: int = CHUNK_BYTES) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(bins, counts) of each text. Trigrams of spaces alone don't count.
+
+    A text longer than a piece is counted piece by piece, two bytes over each end, so that
+    memory beside the text itself doesn't follow its length.
+    """
+    for c in chunks(texts, piece):
+        if len(c) == 1:
+            yield _counted(_bins(c.data[at : at + piece + 2]) for at in range(0, len(c.data), piece))
+            continue
+        bins = _bins(c.data)
         for d in range(len(c)):
             own = bins[c.offsets[d] : max(c.offsets[d], c.offsets[d + 1] - 2)]
-            own = own[own >= 0]
             if len(own) > 4096:
-                full = np.bincount(own, minlength=BINS)
-                at = np.flatnonzero(full)
-                yield at, full[at]
+                yield _counted(iter((own,)))
             else:
-                yield np.unique(own, return_counts=True)
+                yield np.unique(own[own >= 0], return_counts=True)
 
 
 @dataclass(frozen=True)

@@ -523,6 +523,21 @@ def test_language_accuracy_held_out(spark):
     assert all(0 <= r.score <= 1 for r in got)
 
 
+def test_trigrams_of_long_texts_by_pieces():
+    """Texts around and beyond a piece, by a loop over their bytes."""
+    rng = np.random.default_rng(3)
+    alphabet = list("abC éß漢 \n.,1")
+    texts = ["".join(rng.choice(alphabet, n)) for n in (0, 1, 2, 3, 7, 8, 9, 10, 11, 15, 16, 17, 18, 33, 100, 5000)] + [" " * 40, None, "漢" * 30]
+    for piece in (1, 2, 3, 8, 1 << 20):
+        for text, (bins, counts) in zip(texts, langid.trigram_counts(pa.array(texts), piece), strict=True):
+            b = bytes(x | 32 if 65 <= x <= 90 else x if x >= 128 or 97 <= x <= 122 else 32 for x in (text or "").encode())
+            plain = Counter(b[i : i + 3] for i in range(len(b) - 2) if b"  " not in b[i : i + 3])
+            hashed = Counter()
+            for t, n in plain.items():
+                hashed[(int.from_bytes(t, "big") * 0x9E3779B97F4A7C15 % 2**64) >> 49] += n
+            assert dict(zip(bins.tolist(), counts.tolist(), strict=True)) == hashed
+
+
 def test_mixtures_equal_a_plain_expectation_maximisation():
     """Shares, penalised choice and the likeliest language, by loops over trigrams."""
     from itertools import count
