@@ -13,6 +13,7 @@ from collections.abc import Callable, Iterator
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StreamingQueryListener
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 from pyspark.sql import types as T
 
@@ -60,6 +61,31 @@ def stream_window_loss(sdf: DataFrame, kind: str, size: str = "1 day", slide: st
     return marked.groupBy(w.alias("w"), *keys).agg(F.count(F.lit(1)).alias("n"), F.avg("value").alias("mean_value")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), *keys, "n", "mean_value")
 
 
+class LateRows(StreamingQueryListener):
+    """Rows that came behind the watermark and were dropped, by stream (query id).
+
+    The counts are those of the operators that hold state, in every batch: where rows are
+    aggregated before the exchange, late ones of a key and batch may count as one. Register it
+    with spark.streams.addListener; a stream's counts go on after a restart in the session.
+    """
+
+    def __init__(self) -> None:
+        self.dropped: dict[str, int] = {}
+
+    def onQueryStarted(self, event) -> None:
+        self.dropped.setdefault(str(event.id), 0)
+
+    def onQueryProgress(self, event) -> None:
+        name, lost = str(event.progress.id), sum(o.numRowsDroppedByWatermark for o in event.progress.stateOperators)
+        self.dropped[name] = self.dropped.get(name, 0) + lost
+
+    def onQueryIdle(self, event) -> None:
+        pass
+
+    def onQueryTerminated(self, event) -> None:
+        pass
+
+
 def stream_dedup(sdf: DataFrame, id_cols: list[str], delay: str = "1 day") -> DataFrame:
     return sdf.withWatermark("ts", delay).dropDuplicatesWithinWatermark(id_cols)
 

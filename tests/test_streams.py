@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import functions as F
 
 from gradsift.sources import sinks
@@ -34,6 +36,27 @@ def test_rows_behind_the_watermark_are_dropped(spark, tmp_path):
     assert got["2024-01-01 00:00:00"] == 1 and got["2024-01-01 10:00:00"] == 1
 
 
+def test_late_rows_are_counted(spark, tmp_path):
+    p, ck, out = (str(tmp_path / x) for x in ("in", "ck", "out"))
+    late = streams.LateRows()
+    spark.streams.addListener(late)
+    try:
+        for rows in (
+            [(1, "2024-01-01 00:10:00", "a", 1.0), (2, "2024-01-01 10:00:00", "a", 1.0)],
+            [(3, "2024-01-01 00:20:00", "a", 9.0), (4, "2024-01-01 00:30:00", "b", 9.0), (5, "2024-01-01 10:30:00", "a", 1.0)],
+        ):
+            write(spark, p, rows)
+            w = streams.stream_window_loss(source(spark, p), "tumbling", "1 hour", delay="1 hour").writeStream
+            query = w.foreachBatch(streams.each_batch_once(out)).outputMode("append").option("checkpointLocation", ck).trigger(availableNow=True).start()
+            query.awaitTermination()
+        until = time.monotonic() + 60  # a listener hears of a batch some time after it
+        while late.dropped.get(str(query.id)) != 2 and time.monotonic() < until:
+            time.sleep(0.2)
+    finally:
+        spark.streams.removeListener(late)
+    assert late.dropped == {str(query.id): 2}
+
+
 def test_selection_is_the_same_after_a_restart(spark, tmp_path):
     p, ck, out = (str(tmp_path / x) for x in ("in", "ck", "out"))
     for k in range(3):
