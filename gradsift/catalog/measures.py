@@ -51,7 +51,8 @@ def frechet_full(spark: SparkSession, sf_dir: str) -> DataFrame:
     SELECT round(avg(list_dot_product(v, w) / sqrt(list_dot_product(v, v)) / sqrt(list_dot_product(w, w))), 6) AS alignment, count(*) AS pairs FROM p""")
 def alignment_score(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Mean cosine of a raster's vector and its caption's letter counts."""
-    low = F.lower("text")
+    # Spark lower-cases this one capital to two characters, which would shift every count
+    low = F.lower(F.replace("text", F.lit("\u0130"), F.lit("i")))
     letters = [(F.char_length("text") - F.char_length(F.replace(low, F.lit(chr(96 + i)), F.lit("")))).cast("double") for i in range(1, 27)]
     texts = corpora.table(spark, sf_dir, "documents").select(F.col("doc_id").alias("sample_id"), F.array(*letters, *[F.lit(0.0)] * 38).alias("w"))
     pairs = corpora.raster_corpus(spark, sf_dir).select("sample_id", "pixels").join(texts, "sample_id")

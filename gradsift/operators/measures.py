@@ -67,8 +67,14 @@ def _root(x: np.ndarray) -> np.ndarray:
     return (v * np.sqrt(np.maximum(w, 0))) @ v.T
 
 
+def over(x: Column, n: Column) -> Column:
+    """x / n of a norm n as IEEE 754 has it, where ANSI mode raises an error at 0: 0 / 0 is NaN."""
+    return F.when(n == 0, x * F.lit(float("inf"))).otherwise(x / n)
+
+
 def cosine(a: Column, b: Column) -> Column:
-    return inner(a, b) / (norm(a) * norm(b))
+    """NaN where one is zero: such a pair has no angle, and its mean none either."""
+    return over(over(inner(a, b), norm(a)), norm(b))
 
 
 def alignment_score(pairs: DataFrame, a: str, b: str) -> DataFrame:
