@@ -9,7 +9,7 @@ import pyarrow.parquet as pq
 import pytest
 
 from gradsift.catalog import QUERIES, SQL
-from tests.helpers import database
+from tests.helpers import assert_equal, database
 
 
 @pytest.mark.parametrize(("texts", "vector", "defined"), [
@@ -26,3 +26,12 @@ def test_alignment_without_letters_or_pixels(spark, tmp_path, texts, vector, def
     mean, pairs = database(str(tmp_path)).execute(SQL["alignment_score"]).fetchone()
     assert found.pairs == pairs == 2
     assert found.alignment == pytest.approx(mean, abs=1e-9, nan_ok=True) and math.isfinite(mean) == defined
+
+
+def test_schedules_follow_the_documents(spark, tmp_path):
+    sizes = [None, 0, 1, 512, 513, 2_000_000]
+    pq.write_table(pa.table({"doc_id": range(6), "n_chars": pa.array(sizes, pa.int64())}), tmp_path / "documents.parquet")
+    df = QUERIES["udtf_unroll_steps"](spark, str(tmp_path))
+    assert len(df.inputFiles()) == 1
+    assert {r.doc_id: r["count"] for r in df.groupBy("doc_id").count().collect()} == {2: 1, 3: 1, 4: 2, 5: 3907}
+    assert_equal(spark, QUERIES["udtf_unroll_steps"], SQL["udtf_unroll_steps"], str(tmp_path))
